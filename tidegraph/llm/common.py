@@ -36,3 +36,11 @@ def per_batch(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | Non
 def small_side(df: DataFrame, rows: int) -> DataFrame:
     """Hints a broadcast if the counted rows keep within the bound; else Spark shuffles."""
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
+
+def bounded_rows(df: DataFrame, column: str, rows: int, salt: int = 31) -> DataFrame:
+    """About `rows` rows at most, chosen by a hash of the column over all of df; all of them if no more are there."""
+    there = df.count()
+    if there <= rows:
+        return df
+    return df.where(F.pmod(F.xxhash64(F.col(column), F.lit(salt)), F.lit(1 << 30)) < int((1 << 30) * rows / there))
