@@ -1,7 +1,7 @@
 """Quality classifier: logistic regression over hashed word n-grams, trained with FTRL-proximal.
 
 Tokens are runs of letters and digits (A-Z lowered, bytes from 0x80 on counted as letters) and runs
-of other visible characters. Each unigram and bigram falls into one of 2^bits coordinates; a text's
+of other visible characters. Each unigram and bigram falls into one of 2^bits coordinates (a word and its repetition into the same one); a text's
 vector holds each coordinate's share of its n-grams, times a constant, so length alone moves
 nothing, and the score is a sparse dot product: the mean of the coordinates' weights.
 
@@ -31,6 +31,9 @@ _CLASS[:33] = 0
 _CLASS[127] = 0
 _CLASS[48:58] = _CLASS[65:91] = _CLASS[97:123] = _CLASS[128:] = 1
 
+#: The code of any word followed by itself: all such bigrams share one coordinate.
+_REPEAT = np.uint64(0xD1B54A32D192ED03)
+
 
 @dataclass(frozen=True)
 class Quality:
@@ -57,6 +60,7 @@ def ngrams(block: Block, bits: int) -> tuple[np.ndarray, np.ndarray]:
     ends = first[1:] - 1
     inner[ends[np.diff(first) > 0]] = False
     two = (one[:-1] * np.uint64(3) + one[1:] * np.uint64(0x9E3779B97F4A7C15)) if len(one) else one
+    two[one[:-1] == one[1:]] = _REPEAT
     shift = np.uint64(64 - bits)
     out = np.empty(2 * len(one) - (np.diff(first) > 0).sum(), np.int32)
     place = np.arange(len(one)) + np.concatenate(([0], np.cumsum(inner)[:-1])) if len(one) else np.zeros(0, np.int64)
