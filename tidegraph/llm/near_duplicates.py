@@ -7,9 +7,10 @@ pass this test are confirmed on the full sets, so no false link remains; the cha
 exactly the threshold shares no band is about 1e-8 or less.
 
 Groups of copies never turn into all their pairs. Documents with equal sets collapse to one
-representative first. Then each band's bucket links its members to the bucket's smallest id only;
-a second round compares just those members of a bucket that the confirmed links have left in
-different components.
+representative first. Then each band's bucket links its members to one of them only, the one that
+meets most others over all bands; a second round compares just those members of a bucket that the
+confirmed links have left in different components, chunk by chunk, by parity bitmaps of the full sets, which rule out most pairs
+just below the threshold and never a link.
 
 Cases: null or blank texts have an empty set and link with nothing; a document of fewer words than
 a shingle has one shingle, the whole sequence; repeated rows and ids are all kept, and equal ids
@@ -42,6 +43,7 @@ class NearDuplicates:
     bands: int = 32
     rows: int = 4
     words: int = 16  # of 64 bits in an odd sketch
+    parity_words: int = 48  # of 64 bits in the parity bitmap of a full set
 
     @property
     def samples(self) -> int:
@@ -142,6 +144,98 @@ def _full_sets(docs: DataFrame, ids: DataFrame, rows: int, width: int) -> DataFr
     return per_batch(chosen, one, "id bigint, members array<bigint>")
 
 
+def _parities(docs: DataFrame, ids: DataFrame, rows: int, how: NearDuplicates) -> DataFrame:
+    """The parity bitmaps of the full sets of the given ids."""
+
+    def one(batch: pa.RecordBatch) -> pa.RecordBatch:
+        out = []
+        for block in blocks(batch.column(1)):
+            values, first = shingle_sets(block, how.width)
+            at = (mix64(values + seeds(1, 17)) % np.uint64(how.parity_words * 64)).astype(np.int64)
+            at += np.repeat(np.arange(block.n), np.diff(first)) * how.parity_words * 64
+            bits = np.bincount(at, minlength=block.n * how.parity_words * 64).astype(np.uint8) & 1
+            out.append(np.packbits(bits).view(np.int64).reshape(block.n, how.parity_words))
+        return pa.RecordBatch.from_arrays([batch.column(0), _lists(np.concatenate(out))], names=["id", "parity"])
+
+    chosen = docs.join(small_side(ids, rows), "id", "left_semi").select("id", "text")
+    return per_batch(chosen, one, "id bigint, parity array<bigint>")
+
+
+#: Members of one bucket that are compared with each other in one piece.
+CHUNK = 1024
+
+
+def _compare(piece: dict[str, np.ndarray], how: NearDuplicates) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of pairs in different components whose parity bitmaps admit a link.
+
+    Sets that differ in d members have bitmaps that differ in d bits at most, so no link is lost.
+    """
+    component, n, bits = piece["component"], piece["n"], piece["parity"]
+    left = np.flatnonzero(piece["side"] == 0)
+    right = np.flatnonzero(piece["side"] == 1) if piece["i"][0] != piece["j"][0] else left
+    names, counts = np.unique(component, return_counts=True)
+    most = names[counts.argmax()]  # pairs inside the largest component need no look
+    if left is right:
+        left = left[component[left] != most]
+    found_a, found_b = [], []
+    step = max(1, (1 << 22) // max(1, len(right) * bits.shape[1]))
+    for at in range(0, len(left), step):
+        rows = left[at : at + step]
+        apart = np.bitwise_count(bits[rows][:, None, :] ^ bits[right][None, :, :]).sum(axis=2, dtype=np.int64)
+        fit = (100 + how.percent) * apart <= (100 - how.percent) * (n[rows][:, None] + n[right][None, :])
+        x, y = np.nonzero(fit & (component[rows][:, None] != component[right][None, :]))
+        found_a.append(rows[x])
+        found_b.append(right[y])
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *found_a]), np.concatenate([none, *found_b])
+
+
+def _across(known: DataFrame, how: NearDuplicates) -> DataFrame:
+    """Pairs (a, b) that share a bucket and not a component, for the test on full sets.
+
+    known: key, size (of the bucket), id, component, n, parity. A large bucket is cut into chunks by
+    a hash of the id, and each two chunks meet in a piece of their own.
+    """
+    cut = known.withColumn("chunks", F.expr(f"cast(ceil(size / {CHUNK}) as int)")).withColumn("own", F.expr("cast(pmod(xxhash64(id, key), chunks) as int)"))
+    pieces = (
+        cut.withColumn("other", F.explode(F.expr("sequence(0, chunks - 1)")))
+        .select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.expr("if(own <= other, 0, 1)").alias("side"), "id", "component", "n", "parity")
+        .repartition("key", "i", "j")
+        .sortWithinPartitions("key", "i", "j")
+    )
+
+    def run(batches):
+        kept: dict[str, np.ndarray] | None = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            lists = batch.column("parity")
+            now = {k: batch.column(k).to_numpy() for k in ("key", "i", "j", "side", "id", "component", "n")}
+            now["parity"] = lists.flatten().to_numpy().view(np.uint64).reshape(batch.num_rows, how.parity_words)
+            if kept is not None:
+                now = {k: np.concatenate((kept[k], now[k])) for k in now}
+            new = np.flatnonzero((now["key"][1:] != now["key"][:-1]) | (now["i"][1:] != now["i"][:-1]) | (now["j"][1:] != now["j"][:-1])) + 1
+            cuts = np.concatenate(([0], new))
+            yield pairs(now, cuts)
+            kept = {k: v[cuts[-1] :].copy() for k, v in now.items()}
+        if kept is not None:
+            yield pairs(kept, np.array([0, len(kept["key"])]))
+
+    def pairs(rows: dict[str, np.ndarray], cuts: np.ndarray) -> pa.RecordBatch:
+        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+            if hi - lo > 1:
+                piece = {k: v[lo:hi] for k, v in rows.items()}
+                x, y = _compare(piece, how)
+                a.append(piece["id"][x])
+                b.append(piece["id"][y])
+        a, b = np.concatenate(a), np.concatenate(b)
+        both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
+        return pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array(both[1])], names=["a", "b"])
+
+    return pieces.mapInArrow(run, "a bigint, b bigint").where("a < b").distinct()
+
+
 def _alike(a: str, b: str, how: NearDuplicates):
     """Odd sketches a and b differ in few enough bits, and set sizes admit the similarity."""
     bits = " + ".join(f"bit_count({a}.odd[{i}] ^ {b}.odd[{i}])" for i in range(how.words))
@@ -176,28 +270,31 @@ def near_duplicates(docs: DataFrame, how: NearDuplicates = NearDuplicates(), id_
     )
 
     members = reps.select("id", F.explode("keys").alias("key"))
-    buckets = members.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).where("lead < last").select("key", "lead")
-    shared = scratch.save(members.join(buckets, "key").select("key", "id", "lead"), "shared")
-    starred = shared.where("id <> lead").select(F.col("lead").alias("a"), F.col("id").alias("b")).distinct()
+    buckets = members.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi"), F.count("id").alias("size")).where("lo < hi").select("key", "size")
+    shared = scratch.save(members.join(buckets, "key").select("key", "id", "size"), "shared")
+    # the member that meets most others over all its buckets is nearest to what they are copies of
+    met = shared.groupBy("id").agg(F.sum("size").alias("met"))
+    leads = shared.join(met, "id").groupBy("key").agg(F.max(F.struct("met", "id"))["id"].alias("lead"))
+    pair = F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b")
+    starred = scratch.save(shared.join(leads, "key").where("id <> lead").select(*pair).distinct(), "starred")
     x, y = reps.select(F.col("id").alias("a"), "n", "odd").alias("x"), reps.select(F.col("id").alias("b"), "n", "odd").alias("y")
     first = starred.join(x, "a").join(y, "b").where(_alike("x", "y", how)).select("a", "b").distinct()
     links = _confirm(scratch.save(first, "pairs-1"), docs, how, scratch, "1")
     found = scratch.save(connected_components(links, scratch, "cc1"), "components-1")
 
     # what is left: members of one bucket in different components
-    placed = shared.select("key", "id").join(found, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
+    placed = shared.join(found, "id", "left").select("key", "size", "id", F.coalesce("component", "id").alias("component"))
     mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
-    rest = placed.join(mixed, "key", "left_semi").join(reps.select("id", "n"), "id")
-    rest = scratch.save(rest, "rest")
-    left, right = rest.alias("l"), rest.alias("r")
-    close = F.expr(f"l.key = r.key and l.id < r.id and l.component <> r.component and 100 * least(l.n, r.n) >= {how.percent} * greatest(l.n, r.n)")
+    rest = scratch.save(placed.join(mixed, "key", "left_semi"), "rest")
+    ids = scratch.save(rest.select("id").distinct(), "rest-ids")
+    parity = scratch.save(_parities(docs, ids, ids.count(), how), "parities")
+    known = rest.join(reps.select("id", "n"), "id").join(parity, "id").select("key", "size", "id", "component", "n", "parity")
     # a pair that some bucket's star has tested already needs no second test
-    across = left.join(right, close).select(F.col("l.id").alias("a"), F.col("r.id").alias("b")).distinct().join(starred, ["a", "b"], "left_anti")
-    second = across.join(x, "a").join(y, "b").where(_alike("x", "y", how)).select("a", "b").distinct()
+    second = _across(known, how).join(starred, ["a", "b"], "left_anti")
     more = _confirm(scratch.save(second, "pairs-2"), docs, how, scratch, "2")
     if not more.isEmpty():
         found = scratch.save(connected_components(links.unionByName(more), scratch, "cc2"), "components-2")
-    for name in ("shared", "rest", "reps"):
+    for name in ("shared", "rest", "reps", "parities"):
         scratch.drop(name)
 
     # an id of several rows may stand in several classes
