@@ -356,5 +356,5 @@ def find(docs: DataFrame, model: PersonalData, text_column: str = "text", output
 
     schema = T.StructType([docs.schema.fields[i] for i in kept])
     for name in added[:4]:
-        schema = schema.add(name, "bigint")
+        schema = schema.add(name, "long")
     return per_batch(docs, one, schema.add("base_sha256", "string").add("spans", "string"))
