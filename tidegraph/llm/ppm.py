@@ -2,7 +2,7 @@
 
 A model is a trie of byte contexts up to some order, made from counts of byte strings one longer
 than the longest context. A symbol is coded in the longest known context; a context that lacks it
-costs an escape (method C: as many escapes as distinct symbols), after which the symbols it holds
+costs an escape (method D: each distinct symbol gives half a count to escapes), after which the symbols it holds
 are excluded in the next shorter context. As seen symbols of a context are seen in its suffixes
 too, every exclusion depends on one trie node only, so all of it can be worked out once, when the
 counts are frozen. A document is framed by 0xFF, which UTF-8 never has: contexts before its start
@@ -138,16 +138,16 @@ class FrozenTrie:
         with np.errstate(divide="ignore", invalid="ignore"):
             for k in range(order + 1):
                 n, q = total[k], kinds[k]
-                self.enter.append(np.log2(n + q))
-                self.escape.append(np.log2((n + q) / q))
+                self.enter.append(np.log2(2 * n))
+                self.escape.append(np.log2(2 * n / q))
                 if k:
                     above = _find(self.node_key[k - 1], self.node_key[k] & _mask(k - 1))
                     shorter = self.symbol_count[k - 1][_find(self.symbol_key[k - 1], self.symbol_key[k] & _mask(k))]
                     at = np.searchsorted(self.symbol_key[k] >> _U(8), self.node_key[k])
                     left = total[k - 1][above] - (np.add.reduceat(shorter, at) if len(at) else shorter)
                     kept = kinds[k - 1][above] - q
-                    self.barred.append(np.log2(left + kept))
-                    self.barred_escape.append(np.where(kept > 0, np.log2((left + kept) / kept), 0.0))
+                    self.barred.append(np.log2(2 * left))
+                    self.barred_escape.append(np.where(kept > 0, np.log2(2 * left / kept), 0.0))
                 else:
                     self.barred.append(np.zeros(0))
                     self.barred_escape.append(np.zeros(0))
@@ -172,7 +172,7 @@ class FrozenTrie:
             if k < self.order and came.any():
                 cost[came & hit] = self.barred[k + 1][before[came & hit]]
                 cost[came & ~hit] = self.barred_escape[k + 1][before[came & ~hit]]
-            cost[hit] -= np.log2(self.symbol_count[k][symbol[hit]])
+            cost[hit] -= np.log2(2 * self.symbol_count[k][symbol[hit]] - 1)
             out[todo] += cost
             todo, before = todo[~hit], node[~hit]
         out[todo] += self.last
@@ -201,9 +201,9 @@ class AdaptiveTrie:
             if done or not seen:
                 continue
             open_ = {s: c for s, c in seen.items() if s not in barred}
-            whole = sum(open_.values()) + len(open_)
+            whole = 2 * sum(open_.values())
             if symbol in open_:
-                bits += np.log2(whole / open_[symbol])
+                bits += np.log2(whole / (2 * open_[symbol] - 1))
                 done = True
             elif open_:
                 bits += np.log2(whole / len(open_))
