@@ -11,7 +11,8 @@ Since the model is linear after the average, each n-gram's embedding meets the s
 training ends; scoring looks up one number an n-gram.
 
 Training takes about train_rows labelled documents at most, chosen by a hash of the id over all,
-each with its whole text.
+each with its whole text, and fewer of them if they have more than
+train_bytes of text.
 
 Cases: null texts and texts without words get the intercept's score; with no labelled row every
 score is 0.5, with one class it leans there; null and repeated ids are scored as they are; an empty
@@ -29,7 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from tidegraph.llm.common import bounded_rows, per_batch
-from tidegraph.llm.textblocks import LOWER, Block, blocks, runs
+from tidegraph.llm.textblocks import LOWER, Block, blocks, prefix_code, range_code, runs
 
 _WORD = np.zeros(256, bool)
 _WORD[48:58] = _WORD[65:91] = _WORD[97:123] = _WORD[128:] = True
@@ -42,6 +43,7 @@ class Toxicity:
     dim: int = 8
     segment: int = 24
     train_rows: int = 8000
+    train_bytes: int = 64 << 20
     kept_back: float = 0.25
     epochs: int = 6
     batch: int = 64
@@ -87,93 +89,132 @@ def segments(block: Block, how: Toxicity) -> tuple[np.ndarray, np.ndarray, list[
     return seg_first, total, out
 
 
+class WordBags:
+    """The training texts as numbers of distinct words, and the n-grams of each word."""
+
+    def __init__(self, texts: pa.ChunkedArray, how: Toxicity):
+        number: dict[int, int] = {}
+        spelt: list[bytes] = []
+        self.words: list[np.ndarray] = []
+        for column in texts.chunks:
+            for block in blocks(column):
+                found = runs(block, _WORD[block.data])
+                codes, first, back = np.unique(range_code(prefix_code(LOWER[block.data]), found.start, found.end), return_index=True, return_inverse=True)
+                own = np.empty(len(codes), np.int32)
+                for k, (code, at) in enumerate(zip(codes.tolist(), first.tolist(), strict=True)):
+                    own[k] = number.setdefault(code, len(spelt))
+                    if own[k] == len(spelt):
+                        spelt.append(block.data[found.start[at] : found.end[at]].tobytes())
+                self.words += np.split(own[back], found.first[1:-1])
+        hashes, words, done = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)], 0
+        for block in blocks(pa.array([w.decode("utf-8", "replace") for w in spelt], pa.string())):
+            for hashed, seg in segments(block, how)[2]:
+                hashes.append(hashed)
+                words.append(seg + done)
+            done += block.n
+        hashes, words = np.concatenate(hashes), np.concatenate(words)
+        order = np.argsort(words, kind="stable")
+        self.grams = hashes[order]
+        self.sizes = np.bincount(words, minlength=len(spelt))
+        self.first = np.concatenate(([0], np.cumsum(self.sizes)))
+
+    def grams_of(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """n-grams of the words back to back, and where each word's begin; every word has some."""
+        sizes = self.sizes[words]
+        starts = np.cumsum(sizes) - sizes
+        return self.grams[np.repeat(self.first[words] - starts, sizes) + np.arange(sizes.sum())], starts
+
+    def segment_of(self, words: np.ndarray, gains: np.ndarray, segment: int) -> tuple[float, slice]:
+        """The steepest segment's average gain, and where it is in words."""
+        cut = np.arange(0, len(words), segment)
+        mean = np.add.reduceat(gains, cut) / np.add.reduceat(self.sizes[words], cut)
+        best = int(mean.argmax())
+        return float(mean[best]), slice(best * segment, (best + 1) * segment)
+
+
 class ToxicityModel:
     def __init__(self, how: Toxicity):
         self.how = how
         self.values = np.zeros(1 << how.bits, np.float32)  # what an n-gram adds to the log odds, before the average
         self.intercept = 0.0
 
-    def fit(self, rows: list[tuple[np.ndarray, np.ndarray, np.ndarray, int]]) -> ToxicityModel:
-        """rows: per document the n-grams of its segments back to back, their counts, segment offsets, label."""
+    def fit(self, bags: WordBags, labels: np.ndarray) -> ToxicityModel:
         h, rng = self.how, np.random.default_rng(self.how.seed)
-        # a part is kept back, to place the threshold on texts not trained on
-        spare = rng.random(len(rows)) < h.kept_back
-        kept = [r for r, k in zip(rows, spare, strict=True) if k]
-        rows = [r for r, k in zip(rows, spare, strict=True) if not k]
-        if not kept or not rows:
-            rows = kept = [*rows, *kept]
-        y = np.array([r[3] for r in rows], float)
-        if not len(rows):
+        if not len(labels):
             return self
+        # a part is kept back, to place the threshold on texts not trained on
+        spare = rng.random(len(labels)) < h.kept_back
+        kept, used = np.flatnonzero(spare), np.flatnonzero(~spare)
+        if not len(kept) or not len(used):
+            kept = used = np.arange(len(labels))
+        y = labels.astype(np.int64)
         # n-grams of too few documents would only be learnt by heart
-        common = np.bincount(np.concatenate([np.unique(r[0]) for r in rows]), minlength=1 << h.bits) >= h.min_docs
+        met = np.zeros(1 << h.bits, np.int32)
+        for d in used:
+            met[np.unique(bags.grams_of(np.unique(bags.words[d]))[0])] += 1
+        common = met >= h.min_docs
         table = (rng.normal(0, 0.01, (1 << h.bits, h.dim)) * common[:, None]).astype(np.float32)
         top = rng.normal(0, 1, (h.dim, 2)).astype(np.float32)
         top /= np.linalg.norm(top[:, 1] - top[:, 0])
-        prior = (y.sum() + 1) / (len(y) + 2)
+        prior = (y[used].sum() + 1) / (len(used) + 2)
         bias = np.array([0.0, np.log(prior / (1 - prior))], np.float32)
         weight = np.where(y == 1, 0.5 / prior, 0.5 / (1 - prior)).astype(np.float32)
         for epoch in range(h.epochs):
-            order = rng.permutation(len(rows))
+            order = rng.permutation(used)
             rate = np.float32(h.rate * (1 - epoch / h.epochs))
             for lo in range(0, len(order), h.batch):
-                part = [i for i in order[lo : lo + h.batch] if len(rows[i][2]) > 1]
+                part = [d for d in order[lo : lo + h.batch] if len(bags.words[d])]
                 if not part:
                     continue
-                ids = np.concatenate([rows[i][0] for i in part])
-                sizes = np.concatenate([np.diff(rows[i][2]) for i in part])
-                first = np.concatenate(([0], np.cumsum(sizes)))[:-1]
-                counts = np.concatenate([rows[i][1] for i in part]).astype(np.float32)
-                share = counts * (h.scale / np.repeat(np.add.reduceat(counts, first), sizes))
-                share *= common[ids]
-                per = np.array([len(rows[i][2]) - 1 for i in part])
-                at = np.concatenate(([0], np.cumsum(per)))
-                if epoch == 0:  # no segment stands out yet: the average over all
-                    cut, i, w = first[at[:-1]], ids, share / np.repeat(np.repeat(per, per), sizes)
-                    doc = np.repeat(np.repeat(np.arange(len(part)), per), sizes)
-                else:
-                    odds = np.add.reduceat((table @ (top[:, 1] - top[:, 0]))[ids] * share, first)
-                    best = np.array([a + odds[a:b].argmax() for a, b in zip(at[:-1], at[1:], strict=True)])
-                    take = np.concatenate([np.arange(first[b], first[b] + sizes[b]) for b in best])
-                    cut, i, w = np.concatenate(([0], np.cumsum(sizes[best])))[:-1], ids[take], share[take]
-                    doc = np.repeat(np.arange(len(part)), sizes[best])
-                hidden = np.add.reduceat(table[i] * w[:, None], cut)
+                words, doc = [], []
+                for k, d in enumerate(part):
+                    own = bags.words[d]
+                    if epoch:  # else no segment stands out yet, and the average is over all
+                        own = own[bags.segment_of(own, self._word_sums(bags, own, table @ (top[:, 1] - top[:, 0])), h.segment)[1]]
+                    words.append(own)
+                    doc.append(np.full(len(own), k))
+                words, doc = np.concatenate(words), np.concatenate(doc)
+                total = np.bincount(doc, bags.sizes[words], len(part))
+                i, at = bags.grams_of(words)
+                doc = np.repeat(doc, bags.sizes[words])
+                w = (h.scale * common[i] / total[doc]).astype(np.float32)
+                hidden = np.add.reduceat(table[i] * w[:, None], np.searchsorted(doc, np.arange(len(part))))
                 z = hidden @ top + bias
-                p = np.exp(z - z.max(axis=1, keepdims=True))
-                p /= p.sum(axis=1, keepdims=True)
-                g = p
-                g[np.arange(len(part)), y[part].astype(int)] -= 1
+                g = np.exp(z - z.max(axis=1, keepdims=True))
+                g /= g.sum(axis=1, keepdims=True)
+                g[np.arange(len(part)), y[part]] -= 1
                 g *= weight[part][:, None]
                 g_top, g_hidden = hidden.T @ g, g @ top.T
-                grown = g_hidden[doc] * w[:, None]
                 u, back = np.unique(i, return_inverse=True)
-                for d in range(h.dim):
-                    table[u, d] -= rate * (np.bincount(back, weights=grown[:, d], minlength=len(u)) + h.decay * table[u, d])
+                for k in range(h.dim):
+                    table[u, k] -= rate * (np.bincount(back, g_hidden[doc, k] * w, len(u)) + h.decay * table[u, k])
                 top -= rate * 0.1 * g_top / len(part)
                 bias -= rate * 0.1 * g.sum(axis=0) / len(part)
         self.values = (h.scale * (table @ (top[:, 1] - top[:, 0]))).astype(np.float32)
         self.intercept = float(bias[1] - bias[0])
-        return self.calibrate(kept)
+        return self._place(np.array([self.log_odds(bags, d) for d in kept]), y[kept])
+
+    @staticmethod
+    def _word_sums(bags: WordBags, words: np.ndarray, values: np.ndarray) -> np.ndarray:
+        i, at = bags.grams_of(words)
+        return np.add.reduceat(values[i], at)
 
-    def calibrate(self, rows) -> ToxicityModel:
+    def log_odds(self, bags: WordBags, d: int) -> float:
+        own = bags.words[d]
+        if not len(own):
+            return self.intercept
+        return self.intercept + float(bags.segment_of(own, self._word_sums(bags, own, self.values), self.how.segment)[0])
+
+    def _place(self, odds: np.ndarray, y: np.ndarray) -> ToxicityModel:
         """Moves the intercept to where these documents are best told apart."""
-        y = np.array([r[3] for r in rows])
-        odds = np.array([self._odds_of_row(r) for r in rows])
         order = np.argsort(odds, kind="stable")
-        wrong = np.concatenate(([(y == 0).sum()], (y == 0).sum() - np.cumsum((y[order] == 0) * 1.0) + np.cumsum((y[order] == 1) * 1.0)))
+        wrong = np.concatenate(([0], np.cumsum(np.where(y[order] == 1, 1, -1))))
         at = np.flatnonzero(wrong == wrong.min())
         mid = at[len(at) // 2]
         lo, hi = (odds[order[mid - 1]] if mid else odds.min() - 1), (odds[order[mid]] if mid < len(odds) else odds.max() + 1)
         self.intercept -= float((lo + hi) / 2)
         return self
 
-    def _odds_of_row(self, row) -> float:
-        ids, counts, first, _ = row
-        if len(first) < 2:
-            return self.intercept
-        total = np.add.reduceat(counts.astype(float), first[:-1])
-        return self.intercept + float((np.add.reduceat(self.values[ids] * counts, first[:-1]) / total).max())
-
     def score(self, column: pa.Array) -> np.ndarray:
         out = []
         for block in blocks(column):
@@ -193,32 +234,12 @@ class ToxicityModel:
 def fit(docs: DataFrame, labels: DataFrame, how: Toxicity = Toxicity()) -> ToxicityModel:
     """docs: doc_id, text; labels: doc_id, label (0 or 1; others are left out)."""
     chosen = bounded_rows(labels.where("doc_id is not null and label in (0, 1)"), "doc_id", how.train_rows)
-
-    def one(batch: pa.RecordBatch) -> pa.RecordBatch:
-        ids, counts, firsts = [], [], []
-        for block in blocks(batch.column(1)):
-            seg_first, total, grams = segments(block, how)
-            key = np.concatenate([np.zeros(0, np.int64), *(s.astype(np.int64) << 32 | g for g, s in grams)])
-            key, c = np.unique(key, return_counts=True)
-            cut = np.searchsorted(key, np.arange(len(total) + 1, dtype=np.int64) << 32)
-            for i in range(block.n):
-                own = cut[seg_first[i] : seg_first[i + 1] + 1]
-                own = own[np.concatenate(([True], np.diff(own) > 0))] if len(own) > 1 else own
-                a, b = (own[0], own[-1]) if len(own) else (0, 0)
-                ids.append((key[a:b] & 0xFFFFFFFF).astype(np.int32))
-                counts.append(c[a:b].astype(np.int32))
-                firsts.append((own - a).astype(np.int32) if len(own) > 1 else np.zeros(1, np.int32))
-        lists = []
-        for part in (ids, counts, firsts):
-            at = np.concatenate(([0], np.cumsum([len(x) for x in part]))).astype(np.int32)
-            lists.append(pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(part))))
-        return pa.RecordBatch.from_arrays([batch.column(0), *lists, batch.column(2)], names=["doc_id", "ids", "counts", "firsts", "label"])
-
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen.select("doc_id", "label")), "doc_id").select("doc_id", "text", "label")
-    got = per_batch(rows, one, "doc_id bigint, ids array<int>, counts array<int>, firsts array<int>, label int").toArrow().sort_by([("doc_id", "ascending"), ("label", "ascending")])
-    columns = [got[x].combine_chunks() for x in ("ids", "counts", "firsts")]
-    data = [(*(v.values.to_numpy() for v in x), y) for *x, y in zip(*columns, got["label"].to_pylist(), strict=True)]
-    return ToxicityModel(how).fit(data)
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen.select("doc_id", "label")), "doc_id").select("doc_id", "label", "text")
+    long = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    if long > how.train_bytes:
+        rows = rows.where(F.pmod(F.xxhash64("doc_id", F.lit(41)), F.lit(1 << 30)) < int((1 << 30) * how.train_bytes / long))
+    got = rows.toArrow().sort_by([("doc_id", "ascending"), ("label", "ascending"), ("text", "ascending")])
+    return ToxicityModel(how).fit(WordBags(got["text"], how), got["label"].to_numpy())
 
 
 def score(docs: DataFrame, model: ToxicityModel, text_column: str = "text") -> DataFrame:
