@@ -46,29 +46,28 @@ class LmScoring:
 def _counts(texts: DataFrame, order: int) -> DataFrame:
     """kind, key, n: words (with END) and byte strings of the texts, counted in each partition first."""
 
-    def tally(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-        return np.unique(np.concatenate(parts), return_counts=True)
+    def merge(held: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+        return add_up(np.concatenate([k for k, _ in held]), np.concatenate([c for _, c in held]))
 
-    def out(kind: int, held: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
-        keys, counts = add_up(np.concatenate([k for k, _ in held]), np.concatenate([c for _, c in held]))
+    def out(kind: int, keys: np.ndarray, counts: np.ndarray) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), kind, np.int8)), pa.array(keys.view(np.int64)), pa.array(counts)], names=["kind", "key", "n"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, list] = {_WORD: [], _STRING: []}
         for batch in batches:
-            words, strings = [np.full(batch.num_rows, END)], []
-            for block in blocks(batch.column(0), 4 << 20):
-                words.append(word_codes(block, spaced_words(block)))
-                strings.append(own_keys(block, order).astype(np.uint64))
-            for kind, parts in ((_WORD, words), (_STRING, strings)):
-                if parts:
-                    held[kind].append(tally(parts))
-                if sum(len(k) for k, _ in held[kind]) > 1 << 21:  # bounds the worker's memory
-                    yield out(kind, held[kind])
-                    held[kind] = []
+            held[_WORD].append((np.array([END]), np.array([batch.num_rows])))
+            for block in blocks(batch.column(0), 2 << 20):
+                found = {_WORD: word_codes(block, spaced_words(block)), _STRING: own_keys(block, order).astype(np.uint64)}
+                for kind, keys in found.items():
+                    held[kind].append(np.unique(keys, return_counts=True))
+                    # bounds the worker's memory: many keys are merged, and given out if they stay many
+                    if sum(len(k) for k, _ in held[kind]) > 1 << 20:
+                        held[kind] = [merge(held[kind])]
+                        if len(held[kind][0][0]) > 1 << 19:
+                            yield out(kind, *held[kind].pop())
         for kind, parts in held.items():
             if parts:
-                yield out(kind, parts)
+                yield out(kind, *merge(parts))
 
     return texts.mapInArrow(run, "kind tinyint, key bigint, n bigint").groupBy("kind", "key").agg(F.sum("n").alias("n"))
 
