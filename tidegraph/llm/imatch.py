@@ -43,7 +43,7 @@ class IMatch:
     least_share: float = 0.0005
     most_share: float = 0.05
     #: Part of the lexicon kept by each random subset.
-    subsets: tuple[float, ...] = (1, 1 / 2, 1 / 4, *(1 / 8,) * 2, *(1 / 16,) * 5, *(1 / 32,) * 8, *(1 / 64,) * 12, *(1 / 128,) * 10)
+    subsets: tuple[float, ...] = (1, 1 / 2, 1 / 4, *(1 / 8,) * 2, *(1 / 16,) * 4, *(1 / 32,) * 7, *(1 / 64,) * 9, *(1 / 128,) * 7)
 
 
 def terms(block: Block) -> tuple[np.ndarray, np.ndarray]:
@@ -121,8 +121,9 @@ def likeness(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.where(some > 0, ((a == b) & (a > 0)).sum(axis=1) / np.maximum(some, 1), 1.0)
 
 
-def as_text(hashes: np.ndarray) -> list[str]:
-    return [".".join(f"{x >> 32:08x}" if x else "" for x in row) for row in hashes.tolist()]
+def packed(hashes: np.ndarray) -> list[bytes]:
+    """Four bytes a field, of the hash's upper half; zeros for a field without a term."""
+    return [row.tobytes() for row in (hashes >> np.uint64(32)).astype(">u4")]
 
 
 def fingerprints(docs: DataFrame, lexicon: Lexicon, text_column: str = "text") -> DataFrame:
@@ -133,13 +134,13 @@ def fingerprints(docs: DataFrame, lexicon: Lexicon, text_column: str = "text") -
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                made = pa.array(as_text(shared.value.hashes(batch.column(at))))
+                made = pa.array([x.hex() for x in packed(shared.value.hashes(batch.column(at)))])
                 yield pa.RecordBatch.from_arrays([*batch.columns, made], names=[*batch.schema.names, "fingerprint"])
 
     return docs.mapInArrow(run, T.StructType(list(docs.schema.fields)).add("fingerprint", "string"))
 
 
-_PAIR = "doc_id bigint, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
+_PAIR = "doc_id bigint, n_chars bigint, edited_sha256 binary, fingerprint binary, edited_fingerprint binary, near_edited double, near_next double"
 #: Rows of a partition that are worked on at once.
 _ROWS = 256
 
@@ -149,8 +150,8 @@ def _pairs(ids: list, texts: list[str], following: list[str], lexicon: Lexicon)
     a, b, c = (lexicon.hashes(pa.array(x, pa.large_string())) for x in (texts, edited, following))
     return pa.RecordBatch.from_arrays(
         [
-            pa.array(ids, pa.int64()), pa.array([len(t) for t in texts], pa.int64()), pa.array([hashlib.sha256(t.encode()).hexdigest() for t in edited]),
-            pa.array(as_text(a)), pa.array(as_text(b)), pa.array(likeness(a, b)), pa.array(likeness(a, c)),
+            pa.array(ids, pa.int64()), pa.array([len(t) for t in texts], pa.int64()), pa.array([hashlib.sha256(t.encode()).digest() for t in edited]),
+            pa.array(packed(a)), pa.array(packed(b)), pa.array(likeness(a, b)), pa.array(likeness(a, c)),
         ],
         names=["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"],
     )
@@ -193,7 +194,7 @@ def with_next(docs: DataFrame, lexicon: Lexicon, partitions: int) -> DataFrame:
             yield from done(part, ids, texts)
             yield edge(False)
 
-    pair = pa.struct([("doc_id", pa.int64()), ("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64())])
+    pair = pa.struct([("doc_id", pa.int64()), ("n_chars", pa.int64()), ("edited_sha256", pa.binary()), ("fingerprint", pa.binary()), ("edited_fingerprint", pa.binary()), ("near_edited", pa.float64()), ("near_next", pa.float64())])
 
     def done(part: int, ids: list, texts: list) -> Iterator[pa.RecordBatch]:
         """All but the last row, each with the one after it."""
@@ -203,7 +204,7 @@ def with_next(docs: DataFrame, lexicon: Lexicon, partitions: int) -> DataFrame:
             struct = pa.StructArray.from_arrays(made.columns, names=made.schema.names)
             yield pa.RecordBatch.from_arrays([pa.array([part] * n, pa.int32()), pa.nulls(n, pa.bool_()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.string()), struct], names=["part", "first", "doc_id", "text", "pair"])
 
-    inner = scratch.save(ranged.mapInArrow(run, f"part int, first boolean, doc_id bigint, text string, pair struct<{_PAIR.replace(' bigint', ':bigint').replace(' string', ':string').replace(' double', ':double')}>"), "ranges")
+    inner = scratch.save(ranged.mapInArrow(run, f"part int, first boolean, doc_id bigint, text string, pair struct<{_PAIR.replace(' bigint', ':bigint').replace(' binary', ':binary').replace(' double', ':double')}>"), "ranges")
     edges = inner.where("first is not null")
     heads = edges.where("first").select("part", F.col("text").alias("following"))
     # the first range at or after part + 1 that has rows, else the first of all
@@ -217,4 +218,5 @@ def with_next(docs: DataFrame, lexicon: Lexicon, partitions: int) -> DataFrame:
             if batch.num_rows:
                 yield _pairs(*(c.to_pylist() for c in batch.columns), shared.value)
 
-    return inner.where("first is null").select("pair.*").unionByName(lasts.select("doc_id", "text", "following").mapInArrow(close, _PAIR))
+    found = inner.where("first is null").select("pair.*").unionByName(lasts.select("doc_id", "text", "following").mapInArrow(close, _PAIR))
+    return found.withColumns({c: F.lower(F.hex(c)) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")})
