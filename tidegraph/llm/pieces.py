@@ -41,6 +41,8 @@ LONG = 96
 #: Words of one length that advance together.
 _ROWS = 1 << 15
 _FILTER = 22
+#: Bytes of text whose distinct words are segmented together; a worker takes some 150 bytes for each.
+PIECE_BLOCK = 3 << 19
 
 
 def _hash(points: np.ndarray) -> np.ndarray:
@@ -180,7 +182,7 @@ class PieceModel:
 
     def encode(self, column: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Per block: the texts' ids back to back, and offsets."""
-        for block in blocks(column, 8 << 20):
+        for block in blocks(column, PIECE_BLOCK):
             yield self._encode(block)
 
     def _encode(self, block: Block) -> tuple[np.ndarray, np.ndarray]:
@@ -240,7 +242,7 @@ def encode(docs: DataFrame, model: PieceModel, text_column: str = "text", digest
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             lo = 0
-            for block in blocks(batch.column(at), 8 << 20):
+            for block in blocks(batch.column(at), PIECE_BLOCK):
                 ids, first = shared.value._encode(block)
                 rows = [batch.column(i).slice(lo, block.n) for i in kept]
                 lo += block.n
