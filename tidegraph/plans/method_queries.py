@@ -302,7 +302,7 @@ register("rank_personalized")(lambda spark, d: rank.rank(held(spark, d, "part_ne
 @register("rank_delta_vs_exact")
 def _delta(spark, d):
     g = held(spark, d, "part_next")
-    return measures.compare_ranks(rank.rank_delta(g).ranks, rank.rank(g, tol=1e-12, max_iter=60).ranks)
+    return measures.compare_ranks(rank.rank_delta(g, 1e-7).ranks, rank.rank(g, tol=1e-12, max_iter=60).ranks)
 
 
 # -- announced scope -------------------------------------------------------------------------------

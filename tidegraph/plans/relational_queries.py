@@ -172,7 +172,7 @@ _G = "FROM {orders} JOIN {customer} ON o_custkey = c_custkey JOIN {nation} ON c_
 for _name, _by in (("agg_grouping_sets", "GROUPING SETS ((n_regionkey, c_mktsegment), (o_orderstatus), ())"), ("agg_cube", "CUBE (n_regionkey, c_mktsegment)"), ("agg_rollup", "ROLLUP (n_regionkey, c_mktsegment)")):
     _cols = ["n_regionkey", "c_mktsegment"] + ["o_orderstatus"] * (_name == "agg_grouping_sets")
     _shown = {"n_regionkey": "coalesce(n_regionkey, -1) AS region", "c_mktsegment": "coalesce(c_mktsegment, '') AS segment", "o_orderstatus": "coalesce(o_orderstatus, '') AS status"}
-    _sel = f"SELECT {', '.join(_shown[c] for c in _cols)}, CAST({{g}}({', '.join(_cols)}) AS BIGINT) AS gid, count(*) AS n, round(sum(o_totalprice), 1) AS total {_G} GROUP BY {_by}"
+    _sel = f"SELECT {', '.join(_shown[c] for c in _cols)}, CAST({{g}}({', '.join(_cols)}) AS BIGINT) AS gid, count(*) AS n, CAST(sum(CAST(o_totalprice AS DECIMAL(18, 2))) AS DOUBLE) AS total {_G} GROUP BY {_by}"
     both(_name, _sel.replace("{g}", "grouping_id"), re.sub(r"\{(\w+)\}", r"\1", _sel.replace("{g}", "grouping")))
 
 
