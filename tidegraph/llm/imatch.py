@@ -15,7 +15,7 @@ terms reach it, however many documents there are, so it may be broadcast. Docume
 counted over all texts, within partitions first.
 
 Cases: null texts count as empty; an empty text has the fingerprint of no terms; null ids, repeated
-rows and ids keep their rows; ties in doc_id are ordered by text; an empty table gives an empty result.
+rows and ids keep their rows; ties in doc_id are ordered by the texts' squeezed bytes; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -26,6 +26,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -55,20 +56,22 @@ def terms(block: Block) -> tuple[np.ndarray, np.ndarray]:
 def document_frequencies(texts: DataFrame) -> DataFrame:
     """key, n over a column of texts."""
 
+    def merge(held: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+        return add_up(np.concatenate([k for k, _ in held]), np.concatenate([c for _, c in held]))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, np.ndarray]] = []
         for batch in batches:
-            parts = [terms(b)[0] for b in blocks(batch.column(0))]
-            if parts:
-                held.append(np.unique(np.concatenate(parts), return_counts=True))
-            if sum(len(k) for k, _ in held) > 1 << 21:
-                yield out(held)
-                held = []
+            for block in blocks(batch.column(0)):
+                held.append(np.unique(terms(block)[0], return_counts=True))
+                if sum(len(k) for k, _ in held) > 1 << 20:  # bounds the worker's memory
+                    held = [merge(held)]
+                    if len(held[0][0]) > 1 << 19:
+                        yield out(*held.pop())
         if held:
-            yield out(held)
+            yield out(*merge(held))
 
-    def out(held) -> pa.RecordBatch:
-        keys, counts = add_up(np.concatenate([k for k, _ in held]), np.concatenate([c for _, c in held]))
+    def out(keys: np.ndarray, counts: np.ndarray) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(counts)], names=["key", "n"])
 
     return texts.mapInArrow(run, "key bigint, n bigint").groupBy("key").agg(F.sum("n").alias("n"))
@@ -167,8 +170,17 @@ def with_next(docs: DataFrame, lexicon: Lexicon, partitions: int) -> DataFrame:
     spark = docs.sparkSession
     scratch = Scratch(spark, "imatch")
     shared = spark.sparkContext.broadcast(lexicon)
-    ranged = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).repartitionByRange(partitions, "doc_id").sortWithinPartitions("doc_id", "text")
-    ranged = ranged.select(F.spark_partition_id().alias("part"), "doc_id", "text")
+
+    def squeeze(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pack = zstandard.ZstdCompressor(level=1).compress
+        for batch in batches:
+            for lo in range(0, batch.num_rows, _ROWS):
+                part = batch.slice(lo, _ROWS)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([pack((t or "").encode()) for t in part.column(1).to_pylist()], pa.binary())], names=["doc_id", "z"])
+
+    # texts move once, squeezed; equal texts stay equal, so ties keep an order
+    ranged = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(squeeze, "doc_id bigint, z binary")
+    ranged = ranged.repartitionByRange(partitions, "doc_id").sortWithinPartitions("doc_id", "z").select(F.spark_partition_id().alias("part"), "doc_id", "z")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, ids, texts, opened = -1, [], [], False
@@ -179,9 +191,10 @@ def with_next(docs: DataFrame, lexicon: Lexicon, partitions: int) -> DataFrame:
                 [pa.array([part], pa.int32()), pa.array([first]), pa.array([ids[k]], pa.int64()), pa.array([texts[k]]), pa.nulls(1, pair)], names=["part", "first", "doc_id", "text", "pair"]
             )
 
+        unpack = zstandard.ZstdDecompressor().decompress
         for batch in batches:
-            for p, d, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                part = p
+            for p, d, z in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                part, t = p, unpack(z).decode()
                 ids.append(d)
                 texts.append(t)
                 if not opened:
