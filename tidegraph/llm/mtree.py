@@ -178,7 +178,7 @@ class MTree:
                 at = todo[page == p]
                 lo, hi, out = self.pages[p][3:]
                 # rows by their stored distance to the routing vector: none with |d(q, c) - d(v, c)| too large
-                room = np.sqrt(np.maximum(norms[at] + self.most - 2.0 * (limit[at] - 1), 0)) + 2 * self.slack
+                room = np.sqrt(np.maximum(norms[at] + self.most - 2.0 * (limit[at].astype(float) - 1), 0)) + 2 * self.slack
                 a = lo + np.searchsorted(out, (far[at, p] - room).min() - self.slack)
                 b = lo + np.searchsorted(out, (far[at, p] + room).max() + self.slack, side="right")
                 if a >= b:
