@@ -79,3 +79,17 @@ def test_adaptive():
     with pytest.raises(ZeroDivisionError):
         adaptive.run_all([lambda: 1 // 0])
     assert measures.timed(lambda: 5, 2)["result"] == 5
+
+
+def test_edges_stay_where_they_are(spark):
+    """With edges bucketed by the join key, a join moves the other side only."""
+    from pyspark.sql import functions as F
+
+    from tidegraph.plans.scratch import Scratch
+
+    scratch = Scratch(spark, "plan")
+    edges = scratch.save_bucketed(spark.createDataFrame([(i, i + 1) for i in range(50)], EDGES), "edges", "src")
+    ranks = scratch.save(spark.range(50).select(F.col("id").alias("src"), F.lit(1.0).alias("rank")), "ranks")
+    plan = edges.join(ranks.hint("merge"), "src")._jdf.queryExecution().executedPlan().toString()
+    scratch.drop_table("edges")
+    assert plan.count("Exchange") == 1

@@ -88,15 +88,15 @@ def bfs_dropin(g: Graph, root: int) -> Traversal:
 def bfs_level(g: Graph, root: int, max_level: int | None = None, combine: bool = True, direction: str = "push", targets: DataFrame | None = None) -> Traversal:
     """One global step a level.
 
-    Levels are append-only slices on shared storage; only the frontier is joined with the edges, and it
-    is broadcast while its counted rows keep within the bound. combine=False sends one row an edge to
+    Levels are append-only slices on shared storage. Edges are bucketed by source once, so only the frontier
+    moves to join them, and it is broadcast while its counted rows keep within the bound. combine=False sends one row an edge to
     the owner before any reduction. direction: push along out-edges, pull (unreached vertices look for
     a reached in-neighbour), or auto, which pulls while the frontier holds over a tenth of the vertices.
     Stops early when all targets (id) are reached.
     """
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs")
-    edges = g.edges.select("src", "dst")
+    edges = scratch.save_bucketed(g.edges.select("src", "dst"), "edges", "src")
     front = scratch.save(_seed(spark, root), "0")
     paths, log, n, depth = [scratch.path("0")], [], 1, 0
     whole = g.vertices.count() if direction != "push" else 0
@@ -122,6 +122,7 @@ def bfs_level(g: Graph, root: int, max_level: int | None = None, combine: bool =
             paths.append(scratch.path(str(depth)))
         if targets is not None and targets.join(spark.read.schema(STATE).parquet(*paths), "id", "left_anti").isEmpty():
             break
+    scratch.drop_table("edges")
     return Traversal(spark.read.schema(STATE).parquet(*paths), log)
 
 

@@ -105,17 +105,19 @@ def rank(
     w = F.col(weight) if weight else F.lit(1.0)
     edges = g.edges.select("src", "dst", w.cast("double").alias("w"))
     degree = edges.groupBy("src").agg(F.sum("w").alias("d")).where("d > 0")
-    # weights become shares of the source's out-weight once; the layout is by the join key of the mode
-    edges = edges.join(degree, "src").select("src", "dst", (F.col("w") / F.col("d")).alias("share"))
+    # edges are bucketed by the key at which the mode reads them, so no iteration shuffles them again
+    if mode == "prejoined":
+        edges = edges.join(degree, "src").select("src", "dst", (F.col("w") / F.col("d")).alias("share"))
+    else:
+        edges = edges.withColumnRenamed("w", "share")
     if mode == "split":
         edges = edges.withColumn("inside", owner(F.col("src"), how, blocks) == owner(F.col("dst"), how, blocks)) if how != "block" else edges.withColumn("inside", F.lit(True))
-    edges = scratch.save(edges.repartition("dst" if mode == "pull" else "src"), "edges")
-    lone = scratch.save(g.vertices.join(degree.select(F.col("src").alias("id")), "id", "left_anti"), "lone")
+    edges = scratch.save_bucketed(edges, "edges", "dst" if mode == "pull" else "src")
     ranks = g.vertices
     n = ranks.count()
-    ranks = ranks.withColumn("lone", F.lit(False)).join(lone.withColumn("l", F.lit(True)), "id", "left").select("id", F.coalesce("l", "lone").alias("lone"), F.lit(1 / max(n, 1)).alias("rank"))
+    ranks = ranks.join(degree.withColumnRenamed("src", "id"), "id", "left").select("id", F.col("d").isNull().alias("lone"), F.coalesce("d", F.lit(1.0)).alias("d"), F.lit(1 / max(n, 1)).alias("rank"))
     if restart is not None:
-        ranks = ranks.join(restart, "id", "left").select("id", "lone", F.coalesce("p", F.lit(0.0)).alias("p"), F.coalesce("p", F.lit(0.0)).alias("rank"))
+        ranks = ranks.join(restart, "id", "left").select("id", "lone", "d", F.coalesce("p", F.lit(0.0)).alias("p"), F.coalesce("p", F.lit(0.0)).alias("rank"))
     ranks = scratch.save(ranks, "0")
     held = ranks.where("lone").agg(F.coalesce(F.sum("rank"), F.lit(0.0))).first()[0]
     log: list[dict] = []
@@ -130,9 +132,11 @@ def rank(
 
     for i in range(1, max_iter + 1):
         began = time.time()
-        source = ranks.where("not lone").select(F.col("id").alias("src"), "rank")
+        # the contribution phase: rank over out-degree at the vertex, unless the edges hold it
+        share = F.col("rank") if mode == "prejoined" else F.col("rank") / F.col("d")
+        source = ranks.where("not lone").select(F.col("id").alias("src"), share.alias("c"))
         source = small(source, n, 100_000) if mode == "pull" else source
-        sent = edges.join(source, "src").select("src", "dst", (F.col("rank") * F.col("share")).alias("c"), *(["inside"] if mode == "split" else []))
+        sent = edges.join(source, "src").select("src", "dst", (F.col("c") * F.col("share")).alias("c"), *(["inside"] if mode == "split" else []))
         if mode == "split":
             parts = [gather(sent.where(c).drop("inside")) for c in ("inside", "not inside")]
             sums = parts[0].unionByName(parts[1]).groupBy("id").agg(F.sum("s").alias("s"))
@@ -149,7 +153,7 @@ def rank(
         new = new.observe(
             seen, F.coalesce(F.sum(F.abs(F.col("new") - F.col("rank"))), F.lit(0.0)).alias("err"), F.coalesce(F.sum("new"), F.lit(0.0)).alias("mass"), F.coalesce(F.sum(F.when(F.col("lone"), F.col("new"))), F.lit(0.0)).alias("held")
         )
-        ranks = scratch.save(new.select("id", "lone", *(["p"] if restart is not None else []), F.col("new").alias("rank")), str(i))
+        ranks = scratch.save(new.select("id", "lone", "d", *(["p"] if restart is not None else []), F.col("new").alias("rank")), str(i))
         if i > 1:
             scratch.drop(str(i - 2))
         got = seen.get
@@ -157,6 +161,7 @@ def rank(
         log.append({"iter": i, "l1_error": got["err"], "mass": got["mass"], "dangling": held, "seconds": time.time() - began})
         if tol is not None and got["err"] < tol:
             break
+    scratch.drop_table("edges")
     return Ranks(ranks.select("id", "rank"), log)
 
 

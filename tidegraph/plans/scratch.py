@@ -36,6 +36,20 @@ class Scratch:
         df.write.mode("overwrite").parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
+    def save_bucketed(self, df: DataFrame, name: str, key: str) -> DataFrame:
+        """Saves df as a table bucketed and sorted by key, one file a bucket, as many buckets as shuffles have partitions.
+
+        Joins and groups by the key then move the other side only. Release it with drop_table.
+        """
+        n = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        label = f"tide_{self.root.rpartition('-')[2]}_{name.replace('-', '_')}"
+        df.repartition(n, key).write.bucketBy(n, key).sortBy(key).option("path", self.path(name)).format("parquet").saveAsTable(label)
+        return self.spark.table(label)
+
+    def drop_table(self, name: str) -> None:
+        self.spark.sql(f"drop table if exists tide_{self.root.rpartition('-')[2]}_{name.replace('-', '_')}")
+        self.drop(name)
+
     def drop(self, name: str = "") -> None:
         """Deletes one table, or all with no name."""
         jvm = self.spark.sparkContext._jvm
