@@ -351,6 +351,47 @@ def test_pieces_round_trip_and_brute_force(texts):
             assert ids[a:b].tolist() == want
 
 
+@given(st.lists(st.sampled_from(["the", "ing ", " ", "a", "st", "\n", "é", "日", "  ", "tion", "1", "A", "..", "aa", "'s", "\u2003"]), max_size=14))
+@settings(max_examples=300, deadline=None)
+def test_pieces_are_those_of_the_library(parts):
+    import sentencepiece
+
+    text = "".join(parts)
+    m, sp = pieces.load(MODEL_PATH), sentencepiece.SentencePieceProcessor(model_file=MODEL_PATH)
+    for block in textblocks.blocks(pa.array([text])):
+        assert m._encode(block)[0].tolist() == sp.encode(text)
+
+
+def test_pieces_on_documents(spark):
+    import sentencepiece
+
+    m, sp = pieces.load(MODEL_PATH), sentencepiece.SentencePieceProcessor(model_file=MODEL_PATH)
+    for r in pieces.encode(docs(spark).select("doc_id", "text").withColumn("copy", F.col("text")), m).collect():
+        assert r["ids"] == sp.encode(r["copy"])
+
+
+@given(st.text(alphabet=" abc", max_size=12))
+@settings(max_examples=200, deadline=None)
+def test_pieces_of_a_unigram_model_have_the_best_sum(text):
+    from itertools import product
+
+    rng = np.random.default_rng(8)
+    words = ["".join(p) for k in (1, 2, 3) for p in product(" abc", repeat=k)]
+    words = [w for w in words if " " not in w.lstrip(" ")][::2]
+    m = pieces.PieceModel(words, (-rng.uniform(1, 9, len(words))).tolist(), list(range(256, 256 + len(words))), list(range(256)))
+    score = dict(zip(words, m.scores.tolist(), strict=True))
+    framed = " " + text
+    best = [0.0]
+    for e in range(1, len(framed) + 1):
+        best.append(max([best[e - 1] + m.unknown, *(best[e - k] + score[framed[e - k : e]] for k in (1, 2, 3) if k <= e and framed[e - k : e] in score)]))
+    for block in textblocks.blocks(pa.array([text])):
+        ids, first = m._encode(block)
+        if text:
+            assert sum(m.unknown if i < 256 else float(m.scores[i - 256]) for i in ids.tolist()) == pytest.approx(best[-1])
+            data, cut = m.decode(ids, first)
+            assert bytes(data).decode() == text
+
+
 def test_pieces_cases(spark, odd, none):
     m = pieces.load(MODEL_PATH)
     made = pieces.encode(odd, m)

@@ -8,10 +8,11 @@ the sorted piece keys, and for each end position the best sum of scores and its
 vectorised maxima. Ties go to the longer last piece. A character that no piece covers is spelt in byte
 pieces, at the lowest score less ten.
 
-The file may be of any SentencePiece kind: this finds the segmentation with the greatest sum of
-scores, which is how unigram models are encoded. A file of merge ranks (BPE) has no probabilities, so
-a piece of rank r counts as log(1 / (r + 2)); the segmentation is then not always the one that merging
-gives. Both decode to the same text.
+For a unigram model that is the segmentation with the greatest sum of scores. A file of merge ranks (BPE)
+asks for the outcome of merging, best rank first. The same recurrence finds it on a smaller lattice: two
+pieces may adjoin only where merging their joint text leaves just these two, and a text has exactly one
+path of such pairs. Whether two pieces may adjoin follows from the ranks at which merging would have
+made and joined their inner parts; it is worked out for whole arrays of pairs.
 
 Decoding joins the pieces' bytes and takes the first space away, which restores every text exactly
 (a literal U+2581 is spelt in bytes, for the pieces use it for spaces).
@@ -32,6 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from tidegraph.llm.ppm import KeyTable
 from tidegraph.llm.textblocks import Block, blocks, mix64, powers
 
 SPACE, MARK = 32, 0x2581
@@ -41,6 +43,8 @@ LONG = 96
 #: Words of one length that advance together.
 _ROWS = 1 << 15
 _FILTER = 22
+#: Places for pairs of pieces whose test is remembered, as a power of two.
+_CACHE = 19
 #: Bytes of text whose distinct words are segmented together; a worker takes some 150 bytes for each.
 PIECE_BLOCK = 3 << 19
 
@@ -52,11 +56,12 @@ def _hash(points: np.ndarray) -> np.ndarray:
 class PieceModel:
     """pieces: normal pieces with spaces for marks; scores; ids; bytes_: ids of the 256 byte pieces."""
 
-    def __init__(self, pieces: list[str], scores: list[float], ids: list[int], bytes_: list[int]):
+    def __init__(self, pieces: list[str], scores: list[float], ids: list[int], bytes_: list[int], merges: bool = False):
         self.pieces, self.ids = pieces, np.array(ids, np.int32)
         self.scores = np.array(scores, float)
         self.bytes_ = np.array(bytes_, np.int32)
-        self.unknown = float(self.scores.min()) - 10.0
+        # where merging decides, an unknown character stands only where no piece covers it
+        self.unknown = -1e12 if merges else float(self.scores.min()) - 10.0
         self.longest = max(map(len, pieces))
         if any(" " in p.lstrip(" ") for p in pieces):
             raise ValueError("a piece holds a space after another character")
@@ -65,7 +70,13 @@ class PieceModel:
         self.keys, self.rank = keys[order], order
         self.maybe = np.zeros(1 << _FILTER, bool)
         self.maybe[(keys >> np.uint64(64 - _FILTER)).astype(np.int64)] = True
+        self.known: dict[int, bool] = {}
+        self.cached_key, self.cached = np.full(1 << _CACHE, np.iinfo(np.uint64).max, np.uint64), np.zeros(1 << _CACHE, bool)
         self.by_text = {p: i for i, p in enumerate(pieces)}
+        self.merges = merges
+        if merges:
+            self._learn_merges()
+            self.scores = np.full(len(pieces), -1.0)  # one path is left, whatever its sum
         size = int(max(self.ids.max(), self.bytes_.max())) + 1
         spelt = [b""] * size
         for p, i in zip(pieces, ids, strict=True):
@@ -84,9 +95,82 @@ class PieceModel:
         normal = {i: p for i, p in kinds.items() if not sp.is_byte(i)}
         spelt = {p: i for i, p in kinds.items() if sp.is_byte(i)}
         scores = np.array([sp.get_score(i) for i in normal])
-        if np.mean(scores[:1000] == np.floor(scores[:1000])) == 1:  # merge ranks: by Zipf's law the share of a piece falls as one over its rank
-            scores = -np.log(2.0 + np.argsort(np.argsort(-scores, kind="stable")))
-        return cls([p.replace(chr(MARK), " ") for p in normal.values()], scores.tolist(), list(normal), [spelt[f"<0x{b:02X}>"] for b in range(256)])
+        merges = bool((scores[:1000] == np.floor(scores[:1000])).all())  # whole numbers are ranks
+        return cls([p.replace(chr(MARK), " ") for p in normal.values()], scores.tolist(), list(normal), [spelt[f"<0x{b:02X}>"] for b in range(256)], merges)
+
+    def _learn_merges(self) -> None:
+        """Ranks, the last merge of each piece, and which two pieces join into which.
+
+        A piece that merging never makes of its own text is closed off.
+        """
+        n = len(self.pieces)
+        self.order = np.empty(n, np.int64)
+        self.order[np.argsort(-self.scores, kind="stable")] = np.arange(n)
+        self.left, self.right = np.arange(n), np.arange(n)
+        self.made = np.ones(n, bool)
+        order = self.order.tolist()
+        for i, p in enumerate(self.pieces):
+            if len(p) > 1:
+                parts = [self.by_text.get(c, -1) for c in p]
+                while len(parts) > 1:
+                    joins = [(order[j], k, j) for k in range(len(parts) - 1) if min(parts[k], parts[k + 1]) >= 0 and (j := self.by_text.get(self.pieces[parts[k]] + self.pieces[parts[k + 1]], -1)) >= 0]
+                    if not joins:
+                        break
+                    _, k, j = min(joins)
+                    if len(parts) == 2:
+                        self.left[i], self.right[i] = parts
+                    parts[k : k + 2] = [j]
+                self.made[i] = parts == [i]
+        pairs, whole = [], []
+        for i, p in enumerate(self.pieces):
+            for cut in range(1, len(p)):
+                a, b = self.by_text.get(p[:cut]), self.by_text.get(p[cut:])
+                if a is not None and b is not None:
+                    pairs.append(a << 32 | b)
+                    whole.append(order[i])
+        keys = np.array(pairs, np.uint64)
+        self.pair_table, self.pair_rank = KeyTable(keys), np.append(np.array(whole, np.int64), np.iinfo(np.int64).max)
+
+    def _adjoin_cached(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+        """Through a table of fixed size in which a later pair takes an earlier one's place."""
+        keys = first.astype(np.uint64) << np.uint64(32) | second.astype(np.uint64)
+        at = ((keys * _BASE) >> np.uint64(64 - _CACHE)).astype(np.int64)
+        out = self.cached[at]
+        new = np.flatnonzero(self.cached_key[at] != keys)
+        if len(new):
+            out[new] = self._adjoin(first[new], second[new])
+            self.cached_key[at[new]] = keys[new]
+            # where two of these pairs share a place, both writes must be of the pair that stays
+            stays = self.cached_key[at[new]] == keys[new]
+            self.cached[at[new[stays]]] = out[new[stays]]
+        return out
+
+    def _adjoin(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+        """For each pair of pieces, whether merging leaves their border alone.
+
+        Going back through the merges of both, the latest first: at each point the two parts at the border
+        must not join at a rank that merging would have taken before the parts themselves were made.
+        """
+        keys, back = np.unique(first.astype(np.uint64) << np.uint64(32) | second.astype(np.uint64), return_inverse=True)
+        a, b = (keys >> np.uint64(32)).astype(np.int64), (keys & np.uint64(0xFFFFFFFF)).astype(np.int64)
+        fine = self.made[a] & self.made[b]
+        # a join counts if it comes before the step that is being undone; on equal ranks the one further left does
+        limit = np.full(len(a), np.iinfo(np.int64).max - 1)
+        todo = np.flatnonzero(fine)
+        while len(todo):
+            x, y = a[todo], b[todo]
+            rank = self.pair_rank[self.pair_table.find(x.astype(np.uint64) << np.uint64(32) | y.astype(np.uint64))]
+            broken = rank < limit[todo]
+            fine[todo[broken]] = False
+            todo, x, y = todo[~broken], x[~broken], y[~broken]
+            whole_x, whole_y = self.left[x] == x, self.left[y] == y
+            rank_x, rank_y = np.where(whole_x, -1, self.order[x]), np.where(whole_y, -1, self.order[y])
+            undo_x = rank_x > rank_y
+            limit[todo] = np.where(undo_x, rank_x, rank_y + 1)
+            a[todo] = np.where(undo_x, self.right[x], x)
+            b[todo] = np.where(undo_x, y, self.left[y])
+            todo = todo[~(whole_x & whole_y)]
+        return fine[back]
 
     @staticmethod
     def _key(text: str) -> int:
@@ -106,6 +190,8 @@ class PieceModel:
             top, at = best[e - 1] + self.unknown, (1, -1)
             for size in range(1, min(e, self.longest) + 1):
                 i = self.by_text.get(text[e - size : e])
+                if i is not None and self.merges and not self._may_follow(back[e - size][1] if size < e else -1, i):
+                    continue
                 if i is not None and best[e - size] + self.scores[i] >= top:
                     top, at = best[e - size] + self.scores[i], (size, i)
             best[e], back[e] = top, at
@@ -116,6 +202,15 @@ class PieceModel:
             e -= size
         return [x for part in reversed(out) for x in part]
 
+    def _may_follow(self, before: int, piece: int) -> bool:
+        """before is -1 at a word's start and for a spelt character."""
+        if before < 0:
+            return bool(self.made[piece])
+        key = before << 32 | piece
+        if key not in self.known:
+            self.known[key] = bool(self._adjoin(np.array([before]), np.array([piece]))[0])
+        return self.known[key]
+
     def _equal(self, words: np.ndarray) -> np.ndarray:
         """Segments the rows of a matrix: piece numbers by column of their last character, -1 where none ends
         and -2 for a spelt character."""
@@ -130,17 +225,30 @@ class PieceModel:
         shift = np.uint64(64 - _FILTER)
         for e in range(1, length + 1):
             top = best[e - 1] + self.unknown
-            for size in range(1, min(e, self.longest) + 1):
-                key = prefix[e] - prefix[e - size] * up[size]
-                at = np.flatnonzero(self.maybe[(key >> shift).astype(np.int64)])
+            open_ = np.arange(n)  # with merges, a row is done with the one piece that may end here
+            for size in range(min(e, self.longest), 0, -1):
+                some = open_ if len(open_) < n else slice(None)
+                key = prefix[e][some] - prefix[e - size][some] * up[size]
+                at = open_[self.maybe[(key >> shift).astype(np.int64)]]
                 if not len(at):
                     continue
-                found = np.minimum(np.searchsorted(self.keys, key[at]), len(self.keys) - 1)
-                hit = self.keys[found] == key[at]
+                key = prefix[e][at] - prefix[e - size][at] * up[size]
+                found = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
+                hit = self.keys[found] == key
                 at, piece = at[hit], self.rank[found[hit]]
+                if self.merges and len(at):
+                    before = piece_of[e - size][at] if size < e else np.full(len(at), -2)
+                    free = self.made[piece]
+                    inner = before >= 0
+                    free[inner] = self._adjoin_cached(before[inner], piece[inner])
+                    at, piece = at[free], piece[free]
                 score = best[e - size][at] + self.scores[piece]
-                better = score >= top[at]
+                better = score > top[at]  # the longer piece came first and keeps ties
                 at = at[better]
+                if self.merges and len(at):
+                    left = np.ones(n, bool)
+                    left[at] = False
+                    open_ = open_[left[open_]]
                 top[at], size_of[e][at], piece_of[e][at] = score[better], size, piece[better]
             best[e] = top
         out = np.full((n, length), -1, np.int32)
