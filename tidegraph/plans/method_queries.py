@@ -205,6 +205,24 @@ register("edge_cut_block", f"WITH e AS ({EDGES['part_next']}), n AS (SELECT coun
     lambda spark, d: measures.edge_cut(graph(spark, d, "part_next"), "block", 8, spark.read.parquet(f"{d}/part.parquet").count()).withColumn("share", F.round("share", 6))
 )
 register("edge_cut_cyclic", f"WITH e AS ({EDGES['part_next']}) {_CUT} (SELECT src % 8 AS a, dst % 8 AS b FROM e)")(lambda spark, d: measures.edge_cut(graph(spark, d, "part_next"), "cyclic", 8).withColumn("share", F.round("share", 6)))
+_OWNERS = {"block": "floor({c} * {b} / n)", "cyclic": "{c} % {b}"}
+
+
+@register(
+    "ownership_ablation",
+    f"WITH e AS MATERIALIZED ({EDGES['part_next']}), n AS (SELECT count(*) AS n FROM part) "
+    + " UNION ALL ".join(f"SELECT '{how}' AS owner, {b}::INTEGER AS blocks, sum(CASE WHEN {f.format(c='src', b=b)} <> {f.format(c='dst', b=b)} THEN 1 ELSE 0 END)::BIGINT AS cut FROM e, n" for how, f in _OWNERS.items() for b in (1, 4, 8, 16)),
+)
+def _ownership(spark, d):
+    """Edges between blocks by owner function and number of blocks; all in one pass over the edges."""
+    n = spark.read.parquet(f"{d}/part.parquet").count()
+    cases = [(how, b) for how in _OWNERS for b in (1, 4, 8, 16)]
+    crosses = lambda how, b: (owner(F.col("src"), how, b, n) != owner(F.col("dst"), how, b, n)).cast("bigint")
+    row = graph(spark, d, "part_next").edges.agg(*(F.coalesce(F.sum(crosses(how, b)), F.lit(0)).alias(f"{how}_{b}") for how, b in cases))
+    each = F.array(*(F.struct(F.lit(how).alias("owner"), F.lit(b).alias("blocks"), F.col(f"{how}_{b}").alias("cut")) for how, b in cases))
+    return row.select(F.inline(each))
+
+
 register("edge_cut_hash")(lambda spark, d: measures.edge_cut(graph(spark, d, "part_next"), "hash", 8))
 register("urand_graph", EDGES["urand_dense"])(lambda spark, d: graph(spark, d, "urand_dense").edges)
 register("urand_bfs", bfs_sql("urand_dense", STATE_SQL))(lambda spark, d: bfs.bfs_hops(held(spark, d, "urand_dense"), 0, hops=1, how="cyclic").state)
