@@ -112,7 +112,7 @@ def rank(
         edges = edges.withColumnRenamed("w", "share")
     if mode == "split":
         edges = edges.withColumn("inside", owner(F.col("src"), how, blocks) == owner(F.col("dst"), how, blocks)) if how != "block" else edges.withColumn("inside", F.lit(True))
-    edges = scratch.save_bucketed(edges, "edges", "dst" if mode == "pull" else "src")
+    edges = scratch.save_bucketed(edges, "edges", "dst" if mode == "pull" else "src", g.edges)
     ranks = g.vertices
     n = ranks.count()
     ranks = ranks.join(degree.withColumnRenamed("src", "id"), "id", "left").select("id", F.col("d").isNull().alias("lone"), F.coalesce("d", F.lit(1.0)).alias("d"), F.lit(1 / max(n, 1)).alias("rank"))

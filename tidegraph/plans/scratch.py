@@ -12,6 +12,9 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Estimated bytes of a bucket below which fewer buckets are made.
+BUCKET_BYTES = 4 << 20
+
 
 def shared_folder(spark: SparkSession) -> str:
     """The cluster's folder; a local one only where the session names none, as in tests."""
@@ -36,12 +39,14 @@ class Scratch:
         df.write.mode("overwrite").parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
-    def save_bucketed(self, df: DataFrame, name: str, key: str) -> DataFrame:
-        """Saves df as a table bucketed and sorted by key, one file a bucket, as many buckets as shuffles have partitions.
+    def save_bucketed(self, df: DataFrame, name: str, key: str, like: DataFrame | None = None) -> DataFrame:
+        """Saves df as a table bucketed and sorted by key, one file a bucket.
 
-        Joins and groups by the key then move the other side only. Release it with drop_table.
+        Joins and groups by the key then move the other side only. There are as many buckets as shuffles have
+        partitions, or fewer for little data, by the estimated bytes of df, or of like. Release it with drop_table.
         """
-        n = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        size = int(str((like or df)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+        n = max(1, min(int(self.spark.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET_BYTES)))
         label = f"tide_{self.root.rpartition('-')[2]}_{name.replace('-', '_')}"
         df.repartition(n, key).write.bucketBy(n, key).sortBy(key).option("path", self.path(name)).format("parquet").saveAsTable(label)
         return self.spark.table(label)
