@@ -263,17 +263,22 @@ def bfs_relaxed(g: Graph, root: int, how: str = "hash", blocks: int = 8, n: int
     claims = scratch.save(_seed(spark, root), "claims-0")
     paths: list[str] = []
     log: list[dict] = []
+
+    def waiting(claims: DataFrame) -> dict[int, int]:
+        """Claims by block: at most `blocks` numbers."""
+        return {x["blk"]: x["count"] for x in claims.groupBy(owner(F.col("id"), how, blocks, n).alias("blk")).count().collect()}
+
+    active = waiting(claims)
     while len(log) < max_rounds:
         began = time.time()
         r = len(log) + 1
         fresh = claims.withColumn("blk", owner(F.col("id"), how, blocks, n)).withColumn("fresh", F.lit(True))
-        active = [x["blk"] for x in fresh.select("blk").distinct().collect()]  # at most `blocks` numbers
         if paths:
-            old = latest(spark.read.schema(_OUT).parquet(*paths).where((F.col("kind") == "state") & F.col("blk").isin(active)))
+            old = latest(spark.read.schema(_OUT).parquet(*paths).where((F.col("kind") == "state") & F.col("blk").isin(list(active))))
             left = fresh.unionByName(old.withColumn("blk", owner(F.col("id"), how, blocks, n)).withColumn("fresh", F.lit(False)))
         else:
             left = fresh
-        right = edges.where(F.col("blk").isin(active))
+        right = edges.where(F.col("blk").isin(list(active)))
         out = scratch.save(left.groupBy("blk").cogroup(right.groupBy("blk")).applyInArrow(one, _OUT), f"round-{r}")
         paths.append(scratch.path(f"round-{r}"))
         sent = out.where("kind = 'claim'").select("id", "parent", "level")
@@ -281,10 +286,12 @@ def bfs_relaxed(g: Graph, root: int, how: str = "hash", blocks: int = 8, n: int
             sent = sent.repartition("id")
         state = latest(spark.read.schema(_OUT).parquet(*paths).where("kind = 'state'"))
         claims = scratch.save(reduce_claims(sent, state, claim), f"claims-{r}")
-        counts = {x["id"]: x["n"] for x in out.where("kind = 'count'").groupBy("id").agg(F.sum("n").alias("n")).collect()}
-        remote, kept = sent.count(), claims.count()
-        log.append({"round": r, "active": len(active), "expanded": counts.get(0, 0), "remote": remote, "combined": kept, "corrections": counts.get(1, 0), "seconds": time.time() - began})
-        if not kept:
+        counts = out.agg(
+            F.count(F.when(F.col("kind") == "claim", 1)).alias("remote"), *(F.coalesce(F.sum(F.when(F.expr(f"kind = 'count' and id = {i}"), F.col("n"))), F.lit(0)).alias(c) for i, c in enumerate(("expanded", "corrections")))
+        ).first()
+        now, active = active, waiting(claims)
+        log.append({"round": r, "active": len(now), "expanded": counts["expanded"], "remote": counts["remote"], "combined": sum(active.values()), "corrections": counts["corrections"], "seconds": time.time() - began})
+        if not active:
             break
     state = scratch.save(latest(spark.read.schema(_OUT).parquet(*paths).where("kind = 'state'")), "state")
     load = scratch.save(_load(spark, paths), "load")
