@@ -207,6 +207,21 @@ def test_lm_base(spark, hot):
             assert r["score"] == pytest.approx(want, rel=1e-9)
 
 
+@pytest.mark.parametrize(("order", "most"), [(5, 300), (3, 0), (1, 20), (0, 3)])
+def test_lm_scores_do_not_depend_on_what_is_broadcast(spark, odd, order, most):
+    d = docs(spark).select("doc_id", "text").orderBy("doc_id").limit(40).unionByName(odd.where("doc_id is not null").select((F.col("doc_id") + 10**9).alias("doc_id"), "text"))
+    learn = common.crc_mod("doc_id", 7) != 2
+    live = ppm.AdaptiveTrie(order)
+    for r in d.where(learn).collect():
+        live.code((r["text"] or "").encode())
+    texts = {r["doc_id"]: r["text"] or "" for r in d.collect()}
+    few = lm_scoring.score(d, learn, lm_scoring.LmScoring(order=order, max_strings=most)).collect()
+    assert len(few) == d.count()
+    for r in few:
+        if len(texts[r["doc_id"]]) < 3000:
+            assert r["score"] == pytest.approx(live.code(texts[r["doc_id"]].encode(), update=False) * -math.log10(2), rel=1e-9)
+
+
 def test_lm_cases(spark, odd, none):
     got = lm_scoring.score(odd, F.col("doc_id") != 0).collect()
     assert len(got) == 10 and all(r["n_tokens"] >= 1 for r in got) and "extra" in got[0].asDict()

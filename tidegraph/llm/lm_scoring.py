@@ -1,12 +1,15 @@
 """Language-model scoring: a byte trie by partial matching, and a unigram base, over a whole corpus.
 
 The trie (ppm.py) and the unigram counts are gathered from every training text: workers count keys
-per partition, Spark adds the counts up. The trie's longest strings are kept to a budget of
-max_strings, which bounds what is broadcast: if there are more, those below the count at which the
-rest fit are forgotten (a memory limit as in any practical coder; shorter contexts are sums over
-what is kept). Unigram counts have no bound, so they are not broadcast as a whole: the words above a
-count chosen so that at most hot_words remain go to the workers, and every occurrence of the other
-words meets its count in a shuffle join. Sums are in fixed point, so they don't depend on order.
+per partition, Spark adds the counts up. Neither has a bound, so neither is broadcast as a whole.
+
+A byte string's code length needs the contexts that end like it only. So the strings of all texts are
+dealt by the last bytes of their contexts (SPLIT of them); each share makes its part of the trie, with
+the shorter contexts from whole counts of short strings (at most 256^SPLIT), and works out its strings'
+lengths, equal to those of one trie of everything. The lengths of the strings used most, at most
+max_strings, go to the workers; every occurrence of another string meets its length in a shuffle join.
+The same holds for words: those above a count chosen so that at most hot_words remain are broadcast, the
+occurrences of others joined. What is joined is summed in fixed point, so sums don't depend on order.
 
 Cases: null texts score as empty ones (one closing token); null ids are neither held out nor
 learnt from; repeated rows and ids each get their row; with no training text N and V are 0 and the
@@ -20,6 +23,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -30,21 +34,28 @@ from tidegraph.plans.scratch import Scratch
 
 #: The code of the token that closes each text.
 END = np.uint64(0x9D39247E33776D41)
-#: Fixed point of logarithms in sums.
+#: Fixed point of logarithms in sums, and of bits, which a long text has more of.
 POINT = 1 << 40
+BITS_POINT = 1 << 32
+#: Bytes of context that deal the strings, and strings a share has on average at most.
+SPLIT, SHARE = 3, 1 << 18
 
-_WORD, _STRING = 0, 1
+_WORD, _STRING, _UNLEARNT = 0, 1, 2
 
 
 @dataclass(frozen=True)
 class LmScoring:
     order: int = 5
+    #: Strings and words that are broadcast; the others are joined.
     max_strings: int = 1 << 20
     hot_words: int = 1 << 18
 
 
 def _counts(texts: DataFrame, order: int) -> DataFrame:
-    """kind, key, n: words (with END) and byte strings of the texts, counted in each partition first."""
+    """kind, key, n, uses over (text, learn), counted in each partition first.
+
+    Words (with END) of the texts to learn from, and byte strings of all texts: n in those to learn from, uses in all.
+    """
 
     def merge(held: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
         return add_up(np.concatenate([k for k, _ in held]), np.concatenate([c for _, c in held]))
@@ -53,29 +64,56 @@ def _counts(texts: DataFrame, order: int) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), kind, np.int8)), pa.array(keys.view(np.int64)), pa.array(counts)], names=["kind", "key", "n"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, list] = {_WORD: [], _STRING: []}
+        held: dict[int, list] = {_WORD: [], _STRING: [], _UNLEARNT: []}
         for batch in batches:
-            held[_WORD].append((np.array([END]), np.array([batch.num_rows])))
-            for block in blocks(batch.column(0), 2 << 20):
-                found = {_WORD: word_codes(block, spaced_words(block)), _STRING: own_keys(block, order).astype(np.uint64)}
-                for kind, keys in found.items():
-                    held[kind].append(np.unique(keys, return_counts=True))
-                    # bounds the worker's memory: many keys are merged, and given out if they stay many
-                    if sum(len(k) for k, _ in held[kind]) > 1 << 20:
-                        held[kind] = [merge(held[kind])]
-                        if len(held[kind][0][0]) > 1 << 19:
-                            yield out(kind, *held[kind].pop())
+            learnt = batch.column(0).filter(batch.column(1))
+            held[_WORD].append((np.array([END]), np.array([len(learnt)])))
+            for learn, column in ((True, learnt), (False, batch.column(0).filter(pc.invert(batch.column(1))))):
+                for block in blocks(column, 2 << 20):
+                    strings = own_keys(block, order).astype(np.uint64)
+                    found = {_WORD: word_codes(block, spaced_words(block)), _STRING: strings} if learn else {_UNLEARNT: strings}
+                    for kind, keys in found.items():
+                        held[kind].append(np.unique(keys, return_counts=True))
+                        # bounds the worker's memory: many keys are merged, and given out if they stay many
+                        if sum(len(k) for k, _ in held[kind]) > 1 << 20:
+                            held[kind] = [merge(held[kind])]
+                            if len(held[kind][0][0]) > 1 << 19:
+                                yield out(kind, *held[kind].pop())
         for kind, parts in held.items():
             if parts:
                 yield out(kind, *merge(parts))
 
-    return texts.mapInArrow(run, "kind tinyint, key bigint, n bigint").groupBy("kind", "key").agg(F.sum("n").alias("n"))
+    found = texts.mapInArrow(run, "kind tinyint, key bigint, n bigint")
+    learnt = F.when(F.col("kind") == _UNLEARNT, 0).otherwise(F.col("n"))
+    each = found.select(F.least("kind", F.lit(_STRING)).alias("kind"), "key", learnt.alias("n"), F.col("n").alias("uses"))
+    return each.groupBy("kind", "key").agg(F.sum("n").alias("n"), F.sum("uses").alias("uses")).where((F.col("kind") == _STRING) | (F.col("n") > 0))
+
+
+def _lengths(strings: DataFrame, order: int, partitions: int) -> DataFrame:
+    """key, uses, bits: the code length of each string's last byte after the others, from the counts of all."""
+    m = min(SPLIT, order)
+    short = strings.where("n > 0").groupBy(F.col("key").bitwiseAND(F.lit((1 << 8 * m) - 1)).alias("key")).agg(F.sum("n").alias("n")).toArrow()
+    below = strings.sparkSession.sparkContext.broadcast((m, short["key"].to_numpy().view(np.uint64), short["n"].to_numpy()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = [tuple(c.to_numpy() for c in b.columns) for b in batches if b.num_rows]
+        if parts:
+            keys, n, uses = (np.concatenate(x) for x in zip(*parts, strict=True))
+            del parts
+            codes = keys.view(np.uint64)
+            trie = FrozenTrie(codes[n > 0], n[n > 0], order, below.value)
+            for lo in range(0, len(keys), 1 << 16):
+                at = slice(lo, lo + (1 << 16))
+                yield pa.RecordBatch.from_arrays([pa.array(keys[at]), pa.array(uses[at]), pa.array(trie.bits(codes[at]))], names=["key", "uses", "bits"])
+
+    dealt = strings.select("key", "n", "uses").repartition(partitions, F.shiftrightunsigned("key", 8).bitwiseAND(F.lit((1 << 8 * m) - 1)))
+    return dealt.mapInArrow(run, "key bigint, uses bigint, bits double")
 
 
-def _least_count(counts: DataFrame, most: int) -> int:
+def _least_count(counts: DataFrame, most: int, column: str = "n") -> int:
     """The least count c such that at most `most` keys have c or more."""
     total = 0
-    for row in counts.groupBy("n").count().orderBy(F.desc("n")).toLocalIterator():
+    for row in counts.groupBy(F.col(column).alias("n")).count().orderBy(F.desc("n")).toLocalIterator():
         total += row["count"]
         if total > most:
             return row["n"] + 1
@@ -83,35 +121,34 @@ def _least_count(counts: DataFrame, most: int) -> int:
 
 
 class Scorer:
-    """What workers need: the trie, made where it is used from its strings, and the hot words."""
+    """What workers need: the hot strings with their code lengths, and the hot words with their logs."""
 
-    def __init__(self, order: int, strings: np.ndarray, counts: np.ndarray, words: np.ndarray, logs: np.ndarray):
-        self.order, self.strings, self.counts, self.words, self.logs = order, strings, counts, words, logs
+    def __init__(self, order: int, strings: np.ndarray, bits: np.ndarray, words: np.ndarray, logs: np.ndarray):
+        self.order, self.strings, self.bits, self.words, self.logs = order, strings, bits, words, logs
         self._ready = False
 
     def __getstate__(self):
-        return {k: getattr(self, k) for k in ("order", "strings", "counts", "words", "logs")} | {"_ready": False}
+        return {k: getattr(self, k) for k in ("order", "strings", "bits", "words", "logs")} | {"_ready": False}
 
     def _prepare(self) -> None:
         if not self._ready:
-            kind = np.uint32 if self.order < 4 else np.uint64
-            self.trie = FrozenTrie(self.strings, self.counts, self.order)
-            known = np.sort(self.strings).astype(kind)
-            self.table, self.bits = KeyTable(known), np.append(self.trie.bits(known), 0.0)
+            self.table = KeyTable(self.strings.astype(np.uint32 if self.order < 4 else np.uint64))
+            self.padded = np.append(self.bits, 0.0)
             self.word_table = KeyTable(self.words)
             self._ready = True
 
     def score(self, column: pa.Array):
-        """Per text: tokens, hot tokens, their fixed-point logs, bits; and the other tokens with their offsets."""
+        """Per text: tokens, hot tokens, their fixed-point logs, bits of hot strings; and the other tokens and strings, each with their numbers by text."""
         self._prepare()
         found = []
         for block in blocks(column):
             keys, first = framed_keys(block, self.order)
             at = self.table.find(keys)
-            bits = self.bits[at]
+            bits = self.padded[at]
             odd = np.flatnonzero(at < 0)
-            rare, back = np.unique(keys[odd], return_inverse=True)
-            bits[odd] = self.trie.bits(rare)[back]
+            of = np.searchsorted(first, odd, side="right") - 1
+            own = odd <= first[of] + block.lengths[of]  # else a key of no document
+            odd, of = keys[odd[own]].astype(np.uint64), of[own]
             words = spaced_words(block)
             codes = word_codes(block, words)
             # the closing token of each text stands after its words
@@ -122,7 +159,8 @@ class Scorer:
             cold = codes[hot < 0]
             found.append((
                 np.diff(cut), np.add.reduceat((hot >= 0).astype(np.int64), cut[:-1]), np.add.reduceat(logs, cut[:-1]),
-                by_document(bits, first, block.lengths), cold, np.add.reduceat((hot < 0).astype(np.int64), cut[:-1]),
+                by_document(bits, first, block.lengths),
+                cold, np.add.reduceat((hot < 0).astype(np.int64), cut[:-1]), odd, np.bincount(of, minlength=block.n),
             ))
         return [np.concatenate(x) for x in zip(*found, strict=True)]
 
@@ -134,15 +172,18 @@ def score(docs: DataFrame, learn: Column, how: LmScoring = LmScoring(), text_col
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm-scoring")
-    counts = scratch.save(_counts(docs.where(learn).select(F.col(text_column).alias("text")), how.order), "counts")
+    learnt = docs.select(F.col(text_column).alias("text"), F.coalesce(learn, F.lit(False)).alias("learn"))
+    counts = scratch.save(_counts(learnt, how.order), "counts")
     words, strings = counts.where(F.col("kind") == _WORD), counts.where(F.col("kind") == _STRING)
     n, v = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    least, hot = _least_count(strings, how.max_strings), _least_count(words, how.hot_words)
-    kept = strings.where(F.col("n") >= least).select("key", "n").toArrow()
+    least, hot = _least_count(strings, how.max_strings, "uses"), _least_count(words, how.hot_words)
+    shares = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-strings.count() // SHARE))
+    lengths = scratch.save(_lengths(strings, how.order, shares), "lengths")
+    kept = lengths.where(F.col("uses") >= least).select("key", "bits").toArrow()
     common = words.where(F.col("n") >= hot).select("key", "n").toArrow()
     # logs of counts come from the same function on both ways
     logs = np.round(np.log10(common["n"].to_numpy() + 1.0) * POINT).astype(np.int64)
-    scorer = Scorer(how.order, kept["key"].to_numpy().view(np.uint64), kept["n"].to_numpy(), common["key"].to_numpy().view(np.uint64), logs)
+    scorer = Scorer(how.order, kept["key"].to_numpy().view(np.uint64), kept["bits"].to_numpy(), common["key"].to_numpy().view(np.uint64), logs)
     shared = spark.sparkContext.broadcast(scorer)
 
     results = ["n_tokens", "n_known", "train_tokens", "base_score", "score"]
@@ -153,18 +194,20 @@ def score(docs: DataFrame, learn: Column, how: LmScoring = LmScoring(), text_col
     def one(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                tokens, known, logs, bits, cold, sizes = shared.value.score(batch.column(1))
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), pa.array(cold.view(np.int64)))
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *map(pa.array, (tokens, known, logs, bits)), lists], names=["row", "rest", "tokens", "known", "logs", "bits", "cold"])
+                tokens, known, logs, bits, cold, sizes, odd, odd_sizes = shared.value.score(batch.column(1))
+                lists = [pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(k))).astype(np.int32)), pa.array(x.view(np.int64))) for x, k in ((cold, sizes), (odd, odd_sizes))]
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *map(pa.array, (tokens, known, logs, bits)), *lists], names=["row", "rest", "tokens", "known", "logs", "bits", "cold", "odd"])
 
     schema = T.StructType([numbered.schema["row"], numbered.schema["rest"]])
-    for name, kind in (("tokens", "long"), ("known", "long"), ("logs", "long"), ("bits", "double"), ("cold", T.ArrayType(T.LongType()))):
+    for name, kind in (("tokens", "long"), ("known", "long"), ("logs", "long"), ("bits", "double"), ("cold", T.ArrayType(T.LongType())), ("odd", T.ArrayType(T.LongType()))):
         schema = schema.add(name, kind)
     scored = scratch.save(numbered.mapInArrow(one, schema), "scored")
 
     rare = words.where(F.col("n") < hot).select("key", F.round(F.log10(F.col("n") + F.lit(1.0)) * POINT).cast("bigint").alias("log"))
     met = scored.select("row", F.explode("cold").alias("key")).join(rare, "key").groupBy("row").agg(F.count(F.lit(1)).alias("more"), F.sum("log").alias("more_logs"))
-    out = scored.drop("cold").join(met, "row", "left")
+    odd = lengths.where(F.col("uses") < least).select("key", F.round(F.col("bits") * BITS_POINT).cast("bigint").alias("length"))
+    coded = scored.select("row", F.explode("odd").alias("key")).join(odd, "key").groupBy("row").agg(F.sum("length").alias("more_bits"))
+    out = scored.drop("cold", "odd").join(met, "row", "left").join(coded, "row", "left")
     total = (F.col("logs") + F.coalesce("more_logs", F.lit(0))) / F.lit(float(POINT))
     return out.select(
         *(F.col(f"rest.`{f.name}`").alias(f.name) for f in others),
@@ -172,7 +215,7 @@ def score(docs: DataFrame, learn: Column, how: LmScoring = LmScoring(), text_col
         (F.col("known") + F.coalesce("more", F.lit(0))).alias("n_known"),
         F.lit(int(n)).cast("bigint").alias("train_tokens"),
         (total - F.col("tokens") * float(np.log10(n + v + 1))).alias("base_score"),
-        (F.col("bits") * float(-np.log10(2))).alias("score"),
+        ((F.col("bits") + F.coalesce("more_bits", F.lit(0)) / F.lit(float(BITS_POINT))) * float(-np.log10(2))).alias("score"),
     )
 
 

@@ -118,15 +118,21 @@ def _find(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
 
 
 class FrozenTrie:
-    """Code lengths in bits from counts of (context, symbol) keys of order + 1 bytes."""
+    """Code lengths in bits from counts of (context, symbol) keys of order + 1 bytes.
 
-    def __init__(self, keys: np.ndarray, counts: np.ndarray, order: int):
+    below: (m, keys, counts) if keys are only those of some contexts of m bytes; all keys of m bytes with their
+    counts, from which contexts shorter than m are made, so that keys of those contexts cost what they do in the whole.
+    """
+
+    def __init__(self, keys: np.ndarray, counts: np.ndarray, order: int, below: tuple[int, np.ndarray, np.ndarray] | None = None):
         self.order = order
         keys, counts = keys.astype(np.uint64), counts.astype(np.float64)
         self.symbol_key, self.symbol_count, self.node_key = [], [], []
         self.enter, self.escape, self.barred, self.barred_escape = [], [], [], []
         total, kinds = [], []
         for k in range(order, -1, -1):
+            if below and k == below[0] - 1:
+                keys, counts = below[1].astype(np.uint64), below[2].astype(np.float64)
             sk, sc = add_up(keys & _mask(k + 1), counts)
             keys, counts = sk, sc  # a shorter context's counts are sums of a longer one's
             nk, at = np.unique(sk >> _U(8), return_index=True)
