@@ -254,6 +254,12 @@ def test_fingerprints(spark, none):
     assert imatch.with_next(none.select("doc_id", "text"), imatch.Lexicon.build(none), 2).count() == 0
 
 
+def test_fingerprints_have_all_subsets(spark, odd):
+    assert Counter(imatch.IMatch().subsets) == {1: 1, 1 / 2: 1, 1 / 4: 1, 1 / 8: 2, 1 / 16: 5, 1 / 32: 8, 1 / 64: 12, 1 / 128: 10}
+    r = imatch.with_next(odd, imatch.Lexicon.build(odd), 2).first()
+    assert len(r["fingerprint"]) == len(r["edited_fingerprint"]) == 40 * 8
+
+
 def test_fingerprint_cases(spark, odd):
     lexicon = imatch.Lexicon.build(odd)
     assert imatch.with_next(odd, lexicon, 2).count() == 10
