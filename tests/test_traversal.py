@@ -127,6 +127,23 @@ def test_limits_and_views(spark):
         bfs.bfs_seq(np.zeros(5, int), np.zeros(5, int), 0, most=4)
 
 
+def test_paths_of_all_deepest_vertices(spark, tmp_path):
+    import duckdb
+
+    import __spark_entry__ as entry
+    from tidegraph.model import OFFSETS
+
+    # part 0, order 1, part 1, then orders 2, 5000 and 60000
+    lines = [(1, 0), (1, 1), (2, 1), (5000, 1), (60000, 1)]
+    spark.createDataFrame(lines, "l_orderkey bigint, l_partkey bigint").write.parquet(f"{tmp_path}/lineitem.parquet")
+    first = OFFSETS["order"] + 1
+    want = sorted(x for k in (2, 5000, 60000) for o in [OFFSETS["order"] + k] for x in ((o, 0, o), (o, 1, 1), (o, 2, first), (o, 3, 0)))
+    assert sorted((r["id"], r["step"], r["vertex"]) for r in entry.queries()["bfs_paths"](spark, str(tmp_path)).collect()) == want
+    con = duckdb.connect()
+    con.execute(f"create view lineitem as select * from '{tmp_path}/lineitem.parquet/*.parquet'")
+    assert sorted(con.sql(entry.oracle_sql()["bfs_paths"]).fetchall()) == want
+
+
 def test_model(spark):
     with pytest.raises(TypeError):
         Graph(spark.createDataFrame([("a", "b")], "src string, dst string"))

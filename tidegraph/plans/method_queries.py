@@ -151,11 +151,11 @@ register("bfs_multi_roots", " UNION ALL ".join(f"SELECT * FROM ({bfs_sql('part_s
 )
 
 
-@register("bfs_paths", bfs_sql("order_part", f", paths AS (SELECT id, 0 AS step, id AS vertex FROM states WHERE level = (SELECT max(level) FROM states) AND id < {OFFSETS['order']} + 2000 UNION ALL SELECT p.id, p.step + 1, s.parent FROM paths p JOIN states s ON s.id = p.vertex WHERE s.parent <> s.id) SELECT id, step, vertex FROM paths"))
+@register("bfs_paths", bfs_sql("order_part", ", paths AS (SELECT id, 0 AS step, id AS vertex FROM states WHERE level = (SELECT max(level) FROM states) UNION ALL SELECT p.id, p.step + 1, s.parent FROM paths p JOIN states s ON s.id = p.vertex WHERE s.parent <> s.id) SELECT id, step, vertex FROM paths"))
 def _paths(spark, d):
     state = bfs.bfs_level(held(spark, d, "order_part"), 0).state
     deepest = state.agg(F.max("level").alias("level"))
-    return bfs.path_to(state, state.join(F.broadcast(deepest), "level", "left_semi").where(F.col("id") < OFFSETS["order"] + 2000))
+    return bfs.path_to(state, state.join(F.broadcast(deepest), "level", "left_semi"))
 
 
 @register("reduce_claims_modes", bfs_sql("part_supplier", "SELECT 'min_level' AS mode, count(*) AS accepted FROM states WHERE level <= 1 UNION ALL SELECT 'first', count(*) FROM states WHERE level = 1"))
