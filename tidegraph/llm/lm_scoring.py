@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from tidegraph.llm.ppm import AdaptiveTrie, FrozenTrie, KeyTable, add_up, by_document, framed_keys, own_keys
-from tidegraph.llm.textblocks import blocks, spaced_words, word_codes
+from tidegraph.llm.textblocks import Block, blocks, spaced_words, word_codes
 from tidegraph.plans.scratch import Scratch
 
 #: The code of the token that closes each text.
@@ -69,7 +69,7 @@ def _counts(texts: DataFrame, order: int) -> DataFrame:
             learnt = batch.column(0).filter(batch.column(1))
             held[_WORD].append((np.array([END]), np.array([len(learnt)])))
             for learn, column in ((True, learnt), (False, batch.column(0).filter(pc.invert(batch.column(1))))):
-                for block in blocks(column, 2 << 20):
+                for block in blocks(column):
                     strings = own_keys(block, order).astype(np.uint64)
                     found = {_WORD: word_codes(block, spaced_words(block)), _STRING: strings} if learn else {_UNLEARNT: strings}
                     for kind, keys in found.items():
@@ -132,37 +132,31 @@ class Scorer:
 
     def _prepare(self) -> None:
         if not self._ready:
-            self.table = KeyTable(self.strings.astype(np.uint32 if self.order < 4 else np.uint64))
+            self.table = KeyTable(self.strings.astype(np.uint32 if self.order < 4 else np.uint64), room=2)
             self.padded = np.append(self.bits, 0.0)
             self.word_table = KeyTable(self.words)
             self._ready = True
 
-    def score(self, column: pa.Array):
+    def score(self, block: Block):
         """Per text: tokens, hot tokens, their fixed-point logs, bits of hot strings; and the other tokens and strings, each with their numbers by text."""
         self._prepare()
-        found = []
-        for block in blocks(column):
-            keys, first = framed_keys(block, self.order)
-            at = self.table.find(keys)
-            bits = self.padded[at]
-            odd = np.flatnonzero(at < 0)
-            of = np.searchsorted(first, odd, side="right") - 1
-            own = odd <= first[of] + block.lengths[of]  # else a key of no document
-            odd, of = keys[odd[own]].astype(np.uint64), of[own]
-            words = spaced_words(block)
-            codes = word_codes(block, words)
-            # the closing token of each text stands after its words
-            codes = np.insert(codes, words.first[1:], END)
-            cut = words.first + np.arange(block.n + 1)
-            hot = self.word_table.find(codes)
-            logs = np.where(hot >= 0, self.logs[hot], 0) if len(self.logs) else np.zeros(len(codes), np.int64)
-            cold = codes[hot < 0]
-            found.append((
-                np.diff(cut), np.add.reduceat((hot >= 0).astype(np.int64), cut[:-1]), np.add.reduceat(logs, cut[:-1]),
-                by_document(bits, first, block.lengths),
-                cold, np.add.reduceat((hot < 0).astype(np.int64), cut[:-1]), odd, np.bincount(of, minlength=block.n),
-            ))
-        return [np.concatenate(x) for x in zip(*found, strict=True)]
+        keys, first = framed_keys(block, self.order)
+        at = self.table.find(keys)
+        bits = by_document(self.padded[at], first, block.lengths)
+        odd = np.flatnonzero(at < 0)
+        of = np.searchsorted(first, odd, side="right") - 1
+        own = odd <= first[of] + block.lengths[of]  # else a key of no document
+        odd, of = keys[odd[own]].astype(np.uint64), of[own]
+        words = spaced_words(block)
+        codes = word_codes(block, words)
+        # the closing token of each text stands after its words
+        codes = np.insert(codes, words.first[1:], END)
+        cut = words.first + np.arange(block.n + 1)
+        hot = self.word_table.find(codes)
+        logs = np.where(hot >= 0, self.logs[hot], 0) if len(self.logs) else np.zeros(len(codes), np.int64)
+        cold = codes[hot < 0]
+        counts = [np.add.reduceat(x, cut[:-1]) for x in ((hot >= 0).astype(np.int64), logs, (hot < 0).astype(np.int64))]
+        return np.diff(cut), counts[0], counts[1], bits, cold, counts[2], odd, np.bincount(of, minlength=block.n)
 
 
 def score(docs: DataFrame, learn: Column, how: LmScoring = LmScoring(), text_column: str = "text") -> DataFrame:
@@ -193,10 +187,12 @@ def score(docs: DataFrame, learn: Column, how: LmScoring = LmScoring(), text_col
 
     def one(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if batch.num_rows:
-                tokens, known, logs, bits, cold, sizes, odd, odd_sizes = shared.value.score(batch.column(1))
+            # a batch out for each block, so a worker holds the temporaries and results of one block only
+            for block in blocks(batch.column(1)):
+                tokens, known, logs, bits, cold, sizes, odd, odd_sizes = shared.value.score(block)
                 lists = [pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(k))).astype(np.int32)), pa.array(x.view(np.int64))) for x, k in ((cold, sizes), (odd, odd_sizes))]
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *map(pa.array, (tokens, known, logs, bits)), *lists], names=["row", "rest", "tokens", "known", "logs", "bits", "cold", "odd"])
+                rows = [batch.column(i).slice(block.first, block.n) for i in (0, 2)]
+                yield pa.RecordBatch.from_arrays([*rows, *map(pa.array, (tokens, known, logs, bits)), *lists], names=["row", "rest", "tokens", "known", "logs", "bits", "cold", "odd"])
 
     schema = T.StructType([numbered.schema["row"], numbered.schema["rest"]])
     for name, kind in (("tokens", "long"), ("known", "long"), ("logs", "long"), ("bits", "double"), ("cold", T.ArrayType(T.LongType())), ("odd", T.ArrayType(T.LongType()))):

@@ -63,11 +63,11 @@ def by_document(values: np.ndarray, first: np.ndarray, lengths: np.ndarray) -> n
 
 
 class KeyTable:
-    """Distinct unsigned keys to their positions, in open addressing at a quarter load at most."""
+    """Distinct unsigned keys to their positions, in open addressing with at least `room` places a key."""
 
-    def __init__(self, keys: np.ndarray):
+    def __init__(self, keys: np.ndarray, room: int = 4):
         self.n = len(keys)
-        self.bits = max(10, int(self.n * 4 - 1).bit_length())
+        self.bits = max(10, int(self.n * room - 1).bit_length())
         self.kind = keys.dtype.type
         self.size = 8 * keys.dtype.itemsize
         self.scale = self.kind(0x9E3779B1 if self.size == 32 else 0x9E3779B97F4A7C15)
