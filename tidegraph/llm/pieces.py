@@ -14,11 +14,16 @@ pieces may adjoin only where merging their joint text leaves just these two, and
 path of such pairs. Whether two pieces may adjoin follows from the ranks at which merging would have
 made and joined their inner parts; it is worked out for whole arrays of pairs.
 
+A word of any length takes this way: one longer than a window is cut into overlapping windows that stand in the
+matrix like words, and paths are joined at a piece that two neighbours share, which keeps the path exact as
+only one exists. Neighbours that share none (in text that repeats one character, say) are done again as one.
+A unigram model's long words, and windows that have grown, are few: their pieces are probed at all places at once.
+
 Decoding joins the pieces' bytes and takes the first space away, which restores every text exactly
 (a literal U+2581 is spelt in bytes, for the pieces use it for spaces).
 
 Cases: null and empty texts have no pieces and decode to empty ones; very long words without a space
-take the same recurrence position by position; null ids, repeated rows and further columns stay; an
+give what a word-by-word recurrence would; null ids, repeated rows and further columns stay; an
 empty table gives an empty result.
 """
 
@@ -38,8 +43,6 @@ from tidegraph.llm.textblocks import Block, blocks, mix64, powers
 
 SPACE, MARK = 32, 0x2581
 _BASE = np.uint64(0x9E3779B97F4A7C15)
-#: Words above this many characters are few; they go one by one.
-LONG = 96
 #: Words of one length that advance together.
 _ROWS = 1 << 15
 _FILTER = 22
@@ -63,6 +66,8 @@ class PieceModel:
         # where merging decides, an unknown character stands only where no piece covers it
         self.unknown = -1e12 if merges else float(self.scores.min()) - 10.0
         self.longest = max(map(len, pieces))
+        self.overlap = max(32, 2 * self.longest)
+        self.window = 3 * self.overlap
         if any(" " in p.lstrip(" ") for p in pieces):
             raise ValueError("a piece holds a space after another character")
         keys = np.array([self._key(p) for p in pieces], np.uint64)
@@ -182,32 +187,55 @@ class PieceModel:
     def _spell(self, point: int) -> list[int]:
         return self.bytes_[list(chr(point).encode("utf-8", "replace"))].tolist()
 
-    def _long(self, word: np.ndarray) -> list[int]:
-        """The recurrence for one word."""
-        text = "".join(map(chr, word.tolist()))
-        best, back = [0.0] + [0.0] * len(text), [(0, -1)] * (len(text) + 1)
-        for e in range(1, len(text) + 1):
-            top, at = best[e - 1] + self.unknown, (1, -1)
-            for size in range(1, min(e, self.longest) + 1):
-                i = self.by_text.get(text[e - size : e])
-                if i is not None and self.merges and not self._may_follow(back[e - size][1] if size < e else -1, i):
-                    continue
-                if i is not None and best[e - size] + self.scores[i] >= top:
-                    top, at = best[e - size] + self.scores[i], (size, i)
-            best[e], back[e] = top, at
-        out, e = [], len(text)
+    def _single(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The recurrence for one run of characters: ends of its pieces and their numbers, -2 for a spelt character.
+
+        The pieces that end at each place are found for all places at once; what is left to do one by one
+        is to take the best of them.
+        """
+        n = len(points)
+        up, down = powers(n)
+        prefix = np.zeros(n + 1, np.uint64)
+        np.cumsum(_hash(points) * down[:n], out=prefix[1:])
+        ends, pieces = [], []
+        for size in range(min(n, self.longest), 0, -1):
+            key = (prefix[size:] - prefix[: n + 1 - size]) * up[size - 1 : n]
+            at = np.flatnonzero(self.maybe[(key >> np.uint64(64 - _FILTER)).astype(np.int64)])
+            found = np.minimum(np.searchsorted(self.keys, key[at]), len(self.keys) - 1)
+            hit = self.keys[found] == key[at]
+            ends.append(at[hit] + size)
+            pieces.append(self.rank[found[hit]])
+        size_of = np.repeat(np.arange(min(n, self.longest), 0, -1), list(map(len, ends)))
+        end, piece = np.concatenate(ends), np.concatenate(pieces)
+        order = np.argsort(end, kind="stable")  # at each end the longest first
+        first = np.searchsorted(end[order], np.arange(n + 2)).tolist()
+        sizes, pieces, scores = size_of[order].tolist(), piece[order].tolist(), self.scores[piece[order]].tolist()
+        best, size_at, piece_at = [0.0] * (n + 1), [1] * (n + 1), [-2] * (n + 1)
+        for e in range(1, n + 1):
+            top = best[e - 1] + self.unknown
+            for k in range(first[e], first[e + 1]):
+                size, i = sizes[k], pieces[k]
+                got = best[e - size] + scores[k]
+                if got > top and (not self.merges or self._may_follow(piece_at[e - size] if size < e else -2, i)):
+                    top, size_at[e], piece_at[e] = got, size, i
+                    if self.merges:
+                        break  # with merges, one piece may end here
+            best[e] = top
+        out, e = [], n
         while e:
-            size, i = back[e]
-            out.append([int(self.ids[i])] if i >= 0 else self._spell(int(word[e - 1])))
-            e -= size
-        return [x for part in reversed(out) for x in part]
+            out.append(e)
+            e -= size_at[e]
+        out = np.array(out[::-1])
+        return out, np.array(piece_at)[out]
 
     def _may_follow(self, before: int, piece: int) -> bool:
-        """before is -1 at a word's start and for a spelt character."""
+        """before is -2 at a run's start and for a spelt character."""
         if before < 0:
             return bool(self.made[piece])
         key = before << 32 | piece
         if key not in self.known:
+            if len(self.known) >= 1 << _CACHE:
+                self.known.clear()
             self.known[key] = bool(self._adjoin(np.array([before]), np.array([piece]))[0])
         return self.known[key]
 
@@ -261,32 +289,91 @@ class PieceModel:
             rows = rows[end[rows] > 0]
         return out
 
-    def segment(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of the words points[start:end], back to back, and offsets."""
+    def _paths(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of each run points[start:end]: (run, end of a piece in points, piece or -2), in order."""
         lengths = end - start
-        parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # word, order in it, id
+        parts = [(np.zeros(0, np.int64),) * 3]
         for length in np.unique(lengths):
             which = np.flatnonzero(lengths == length)
-            if length > LONG:
+            if length > self.window and len(which) < self.longest:  # a matrix pays from about so many rows on
                 for w in which:
-                    ids = np.array(self._long(points[start[w] : end[w]]), np.int32)
-                    parts.append((np.full(len(ids), w), np.arange(len(ids)), ids))
+                    at, piece = self._single(points[start[w] : end[w]])
+                    parts.append((np.full(len(at), w), start[w] + at, piece))
                 continue
             for lo in range(0, len(which), _ROWS):
                 some = which[lo : lo + _ROWS]
-                letters = points[start[some][:, None] + np.arange(length)]
-                got = self._equal(letters)
-                row, column = np.nonzero(got >= 0)
-                parts.append((some[row], column * 4, self.ids[got[row, column]]))
-                row, column = np.nonzero(got == -2)
-                for r, c in zip(row.tolist(), column.tolist(), strict=True):
-                    ids = self._spell(int(letters[r, c]))
-                    parts.append((np.full(len(ids), some[r]), c * 4 + np.arange(len(ids)), np.array(ids, np.int32)))
-        if not parts:
-            return np.zeros(0, np.int32), np.zeros(len(start) + 1, np.int64)
-        word, place, ids = (np.concatenate([p[i] for p in parts]) for i in range(3))
-        order = np.lexsort((place, word))
-        return ids[order], np.concatenate(([0], np.cumsum(np.bincount(word, minlength=len(start)))))
+                got = self._equal(points[start[some][:, None] + np.arange(length)])
+                row, column = np.nonzero(got != -1)
+                parts.append((some[row], start[some][row] + column + 1, got[row, column]))
+        run, at, piece = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order = np.lexsort((at, run))
+        return run[order], at[order], piece[order]
+
+    def _cut(self, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Runs longer than a window as overlapping windows; without merges, as they are."""
+        step = self.window - self.overlap
+        pieces = np.where(end - start > self.window, -(-(end - start - self.overlap) // step), 1) if self.merges else np.ones(len(start), np.int64)
+        lo = np.repeat(start, pieces) + (np.arange(pieces.sum()) - np.repeat(np.cumsum(pieces) - pieces, pieces)) * step
+        whole = np.repeat(end, pieces)
+        return lo, np.where(np.repeat(pieces, pieces) > 1, np.minimum(lo + self.window, whole), whole)
+
+    def _joined(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ends of pieces in points, and the pieces, of back-to-back or separate runs, through windows.
+
+        Where two neighbouring windows have the same piece at the same place, the first one's path up to there and
+        the second one's from there on are one path of pieces that may adjoin, and there is one such path only.
+        Neighbours without such a piece become one window and are done again.
+        """
+        lo, hi = self._cut(start, end)
+        todo, weight = np.arange(len(lo)), np.ones(len(lo), np.int64)
+        run = at = piece = np.zeros(0, np.int64)
+        while True:
+            r, a, p = self._paths(points, lo[todo], hi[todo])
+            run, at, piece = np.concatenate((run, todo[r])), np.concatenate((at, a)), np.concatenate((piece, p))
+            order = np.lexsort((run, at))
+            run, at, piece = run[order], at[order], piece[order]
+            meets = np.zeros(len(lo), bool)  # the next window overlaps this one
+            meets[:-1] = lo[1:] < hi[:-1]
+            same = (at[1:] == at[:-1]) & (piece[1:] == piece[:-1]) & (run[1:] == run[:-1] + 1)
+            join = np.full(len(lo), -1)
+            join[run[:-1][same]] = at[:-1][same]
+            apart = meets & (join < 0)
+            if not apart.any():
+                break
+            for i in np.flatnonzero(apart).tolist():  # a window at least doubles, so it is done again a few times only
+                more = weight[i]
+                while meets[i] and more > 0:
+                    apart[i] = True
+                    i += 1
+                    more -= weight[i]
+            head = np.concatenate(([True], ~apart[:-1]))  # windows that start a merged one
+            group = np.cumsum(head) - 1
+            weight = np.bincount(group, weights=weight).astype(np.int64)
+            merged = np.bincount(group) > 1
+            lo, hi = lo[head], hi[np.append(np.flatnonzero(head)[1:] - 1, len(hi) - 1)]
+            keep = ~merged[group[run]]
+            run, at, piece = group[run[keep]], at[keep], piece[keep]
+            todo = np.flatnonzero(merged)
+        after = np.concatenate(([-1], np.where(meets, join, -1)[:-1]))
+        until = np.where(meets, join, np.iinfo(np.int64).max)
+        keep = (at > after[run]) & (at <= until[run])
+        return at[keep], piece[keep]
+
+    def segment(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the words points[start:end], start ascending, back to back, and offsets."""
+        if not len(start):
+            return np.zeros(0, np.int32), np.zeros(1, np.int64)
+        at, piece = self._joined(points, start, end)
+        spelt = np.flatnonzero(piece < 0)
+        spellings = [self._spell(int(points[at[i] - 1])) for i in spelt]
+        count = np.ones(len(at), np.int64)
+        count[spelt] = list(map(len, spellings))
+        first = np.cumsum(count) - count
+        ids = np.repeat(self.ids[np.maximum(piece, 0)], count)
+        for i, codes in zip(first[spelt].tolist(), spellings, strict=True):
+            ids[i : i + len(codes)] = codes
+        word = np.searchsorted(start, at - 1, side="right") - 1
+        return ids, np.concatenate(([0], np.cumsum(np.bincount(word, weights=count, minlength=len(start)).astype(np.int64))))
 
     def encode(self, column: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Per block: the texts' ids back to back, and offsets."""
@@ -315,6 +402,10 @@ class PieceModel:
         np.cumsum(_hash(points) * up[: len(points)], out=prefix[1:])
         code = mix64((prefix[end] - prefix[start]) * down[start] + (end - start).astype(np.uint64))
         _, one, back = np.unique(code, return_index=True, return_inverse=True)
+        order = np.argsort(one)  # in order of their places
+        place = np.empty_like(order)
+        place[order] = np.arange(len(order))
+        one, back = one[order], place[back]
         ids, cut = self.segment(points, start[one], end[one])
         count = np.diff(cut)[back]
         out_at = np.cumsum(count) - count
