@@ -6,17 +6,19 @@ vectors have the largest products. Vectors are integers; products are exact, and
 rules out what cannot matter, with slack for rounding.
 
 Distribution: routing vectors from a bounded sample split the vectors into cells; a cell is cut by a
-hash of the id into chunks of a bounded number of rows, and each chunk carries an M-tree of its own,
+hash of the row into chunks of a bounded number of rows, and each chunk carries an M-tree of its own,
 built where it is searched: paged leaves under directory nodes, every node with a routing vector, a
-covering radius and its distance to the parent's routing vector. Queries come in slices; a slice
-meets a chunk only for the queries whose bound admits the chunk's cell. The bound starts from the
-k-th best product among the sample, a true lower limit, so most of a tree is never opened. Each
-chunk yields k rows a query at most, and those are ranked.
+covering radius and its distance to the parent's routing vector. A query is sent to the chunks of those
+cells that its bound admits. The bound starts from the k-th best product among the sample, a true lower
+limit, so most of a tree is never opened. A task reads a chunk's vectors, makes the tree, and streams the
+chunk's queries through it, so no vector is copied for them; only a chunk with more than slice_rows queries
+is built again for each further slice, to keep tasks short. Each chunk yields k rows a query at most, and
+those are ranked.
 
 Cases: vectors that are null or hold null, NaN or infinite components (or ones that leave 64 bits)
-take no part; shorter vectors count as filled up with zeros; rows with the query's own id are not
-its candidates; ties go to smaller ids; fewer than k candidates are all returned; a table without
-vectors gives an empty result.
+take no part; shorter vectors count as filled up with zeros; rows of one id are rows of their own: each is
+a candidate of the others, and each that asks has its own ranks; ties go to smaller ids; fewer than k candidates
+are all returned; a table without vectors gives an empty result; further columns are not looked at.
 """
 
 from __future__ import annotations
@@ -42,8 +44,8 @@ class MTreeSearch:
     fanout: int = 8
     cells: int = 48
     sample_rows: int = 4096
-    chunk_rows: int = 8192
-    slice_rows: int = 4096
+    chunk_rows: int = 16384
+    slice_rows: int = 1 << 18
 
 
 def integers(embedding: str = "embedding", scale: int = 64) -> Column:
@@ -100,7 +102,7 @@ def spread(points: np.ndarray, count: int) -> np.ndarray:
 class MTree:
     """Two routing levels over pages of vectors; page rows keep their distance to the page's routing vector."""
 
-    def __init__(self, ids: np.ndarray, vectors: np.ndarray, most: float, how: MTreeSearch):
+    def __init__(self, rows: np.ndarray, ids: np.ndarray, vectors: np.ndarray, most: float, how: MTreeSearch):
         self.how, self.most = how, most
         points = lifted(vectors, most)
         self.slack = 1e-6 * (np.sqrt(most) + 1)
@@ -120,7 +122,7 @@ class MTree:
             self.directory.append((routing, reach, len(self.pages), len(self.pages) + len(pages)))
             self.pages += pages
         order = np.concatenate(order)
-        self.ids, self.vectors = ids[order], vectors[order]
+        self.rows, self.ids, self.vectors = rows[order], ids[order], vectors[order]
 
     def _split(self, members: np.ndarray, points: np.ndarray, parts: int) -> list[np.ndarray]:
         """By nearest of spread-out members; equal points are cut by position, so no part exceeds its share by far."""
@@ -137,8 +139,8 @@ class MTree:
             out += [part[i : i + limit] for i in range(0, len(part), limit)]
         return out
 
-    def search(self, query_ids: np.ndarray, queries: np.ndarray, floor: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Per query the k best rows, as flat arrays (query position, id, product).
+    def search(self, query_rows: np.ndarray, queries: np.ndarray, floor: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Per query the k best rows but its own, as flat arrays (query position, id, product).
 
         floor: a product that each query's k-th best is known to reach.
         """
@@ -185,46 +187,47 @@ class MTree:
                     continue
                 got = products(queries[at], self.vectors[a:b])
                 ids = np.broadcast_to(self.ids[a:b], got.shape)
-                own = ids == query_ids[at][:, None]
+                own = self.rows[a:b][None, :] == query_rows[at][:, None]
                 got = np.where(own, np.iinfo(np.int64).min, got)
                 ids = np.where(own, np.iinfo(np.int64).max, ids)
                 both, names = np.concatenate([best[at], got], axis=1), np.concatenate([best_id[at], ids], axis=1)
                 rank = np.lexsort((names, -both.astype(float)), axis=1)[:, :k] if np.abs(both).max() < 2**53 else np.lexsort((names, ~both), axis=1)[:, :k]
                 best[at], best_id[at] = np.take_along_axis(both, rank, 1), np.take_along_axis(names, rank, 1)
                 limit[at] = np.maximum(limit[at], best[at][:, -1])
-        q, r = np.nonzero(best_id != np.iinfo(np.int64).max)
+        q, r = np.nonzero((best_id != np.iinfo(np.int64).max) | (best != np.iinfo(np.int64).min))
         return q, best_id[q, r], best[q, r]
 
 
 def top_k(vectors: DataFrame, queries: Column, how: MTreeSearch = MTreeSearch()) -> DataFrame:
     """vectors: id bigint, v array<bigint> (nulls take no part); queries: which rows ask.
 
-    Returns query_id, rank, id, score: each query's k best other rows.
+    Returns query_id, rank, id, score: each asking row's k best other rows.
     """
     spark = vectors.sparkSession
     scratch = Scratch(spark, "mtree")
-    vectors = scratch.save(vectors.where("id is not null and v is not null"), "vectors")
+    # rows are numbered once, in the written table, so that a row stays itself when a task runs again
+    vectors = scratch.save(vectors.select("id", "v", queries.alias("asks")).where("id is not null and v is not null").withColumn("row", F.monotonically_increasing_id()), "vectors")
     norm = F.aggregate("v", F.lit(0.0), lambda s, x: s + x.cast("double") * x)
     rows, most, width = vectors.agg(F.count(F.lit(1)), F.coalesce(F.max(norm), F.lit(0.0)), F.coalesce(F.max(F.size("v")), F.lit(0))).first()
     empty = "query_id bigint, rank int, id bigint, score bigint"
     if not rows:
         return spark.createDataFrame([], empty)
-    drawn = bounded_rows(vectors, "id", how.sample_rows).orderBy("id", "v").toArrow()
-    known, known_ids = _matrix(drawn["v"], width), drawn["id"].to_numpy()
+    drawn = bounded_rows(vectors, "row", how.sample_rows).orderBy("id", "v").toArrow()
+    known, known_rows = _matrix(drawn["v"], width), drawn["row"].to_numpy()
     routing = lifted(known, most)
     routing = routing[spread(routing, how.cells)] if len(routing) else np.zeros((1, width + 1))
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                far = _distances(lifted(_matrix(batch.column(1), width), most), routing)
+                far = _distances(lifted(_matrix(batch.column(2), width), most), routing)
                 cell = far.argmin(axis=1)
-                yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(cell.astype(np.int32)), pa.array(far[np.arange(len(cell)), cell])], names=["id", "v", "cell", "out"])
+                yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(cell.astype(np.int32)), pa.array(far[np.arange(len(cell)), cell])], names=["row", "id", "v", "cell", "out"])
 
-    placed = scratch.save(vectors.select("id", "v").mapInArrow(place, "id bigint, v array<bigint>, cell int, out double"), "placed")
+    placed = scratch.save(vectors.select("row", "id", "v").mapInArrow(place, "row bigint, id bigint, v array<bigint>, cell int, out double"), "placed")
     cells = placed.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.max("out").alias("reach")).toArrow()
     chunks = {c: (-(-n // how.chunk_rows), r) for c, n, r in zip(*(cells[x].to_pylist() for x in ("cell", "n", "reach")), strict=True)}
-    asked = vectors.where(queries).select("id", "v")
+    asked = vectors.where("asks").select("row", "id", "v")
     slices = max(1, -(-asked.count() // how.slice_rows))
     centres = np.array([routing[c] for c in chunks])
     reach, parts, names = np.array([r for _, r in chunks.values()]), np.array([p for p, _ in chunks.values()]), np.array(list(chunks))
@@ -235,11 +238,11 @@ def top_k(vectors: DataFrame, queries: Column, how: MTreeSearch = MTreeSearch())
         for batch in batches:
             if not batch.num_rows:
                 continue
-            q, ids = _matrix(batch.column(1), width), batch.column(0).to_numpy()
+            own_rows, ids, q = batch.column(0).to_numpy(), batch.column(1).to_numpy(), _matrix(batch.column(2), width)
             for lo in range(0, len(q), 256):
-                part, own = q[lo : lo + 256], ids[lo : lo + 256]
+                part, own = q[lo : lo + 256], own_rows[lo : lo + 256]
                 got = products(part, known)
-                got[own[:, None] == known_ids[None, :]] = np.iinfo(np.int64).min
+                got[own[:, None] == known_rows[None, :]] = np.iinfo(np.int64).min
                 low = np.partition(got, -how.k, axis=1)[:, -how.k] if got.shape[1] >= how.k else np.full(len(part), np.iinfo(np.int64).min)
                 far = _distances(np.concatenate([part.astype(float), np.zeros((len(part), 1))], axis=1), centres)
                 square = (part.astype(float) ** 2).sum(axis=1)[:, None]
@@ -251,27 +254,38 @@ def top_k(vectors: DataFrame, queries: Column, how: MTreeSearch = MTreeSearch())
                 cut = (mix64(own.astype(np.uint64)) % np.uint64(slices)).astype(np.int32)
                 wide = pa.array(np.ascontiguousarray(part[r]).reshape(-1))
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(len(r) + 1, dtype=np.int32) * width), wide)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(names[c].astype(np.int32)), pa.array(salt.astype(np.int32)), pa.array(cut[r]), pa.array(own[r]), lists, pa.array(low[r])], names=["cell", "salt", "cut", "id", "v", "low"]
-                )
+                columns = names[c].astype(np.int32), salt.astype(np.int32), cut[r], own[r], ids[lo : lo + 256][r], lists, low[r]
+                yield pa.RecordBatch.from_arrays([x if isinstance(x, pa.Array) else pa.array(x) for x in columns], names=["cell", "salt", "cut", "row", "id", "v", "low"])
 
     salts = F.create_map(*[x for c, (p, _) in chunks.items() for x in (F.lit(c), F.lit(p))])
-    data = placed.select("cell", F.pmod(F.xxhash64("id"), salts[F.col("cell")]).cast("int").alias("salt"), F.explode(F.sequence(F.lit(0), F.lit(slices - 1))).alias("cut"), "id", "v")
-    wanted = asked.mapInArrow(ask, "cell int, salt int, cut int, id bigint, v array<bigint>, low bigint")
-
-    def meet(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows or not right.num_rows:
-            return pa.table({"query_id": pa.array([], pa.int64()), "id": pa.array([], pa.int64()), "score": pa.array([], pa.int64())})
-        tree = MTree(left["id"].to_numpy(), _matrix(left["v"], width), most, how)
-        ids, asked_for, low = right["id"].to_numpy(), _matrix(right["v"], width), right["low"].to_numpy()
-        found = [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]]
-        for lo in range(0, len(ids), 512):
-            q, i, s = tree.search(ids[lo : lo + 512], asked_for[lo : lo + 512], low[lo : lo + 512])
-            for x, y in zip(found, (ids[lo + q], i, s), strict=True):
-                x.append(y)
-        return pa.table(dict(zip(("query_id", "id", "score"), map(np.concatenate, found), strict=True)))
+    salt = F.pmod(F.xxhash64("row"), salts[F.col("cell")]).cast("int").alias("salt")
+    data = placed.select("cell", salt, F.explode(F.sequence(F.lit(0), F.lit(slices - 1))).alias("cut"), "row", "id", "v", F.lit(None).cast("bigint").alias("low"))
+    wanted = asked.mapInArrow(ask, "cell int, salt int, cut int, row bigint, id bigint, v array<bigint>, low bigint")
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come by (cell, salt, cut), vectors (without low) first: those make a tree, then queries pass through it."""
+        here, held, tree = None, [], None
+        for batch in batches:
+            keys = np.stack([batch.column(i).to_numpy() for i in range(3)] + [np.array(batch.column(6).is_valid(), bool)], axis=1) if batch.num_rows else np.zeros((0, 4))
+            cuts = np.concatenate(([0], np.flatnonzero((keys[1:] != keys[:-1]).any(axis=1)) + 1, [len(keys)])) if len(keys) else [0]
+            for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+                part = batch.slice(lo, hi - lo)
+                if here != (now := tuple(keys[lo, :3].tolist())):
+                    here, held, tree = now, [], None
+                if not keys[lo, 3]:
+                    held.append((part.column(3).to_numpy(), part.column(4).to_numpy(), _matrix(part.column(5), width)))
+                    continue
+                if tree is None and held:
+                    tree, held = MTree(*map(np.concatenate, zip(*held, strict=True)), most, how), []
+                if tree is None:
+                    continue
+                asking, ids, low, wide = part.column(3).to_numpy(), part.column(4).to_numpy(), part.column(6).to_numpy(), _matrix(part.column(5), width)
+                for at in range(0, len(ids), 512):
+                    q, found, score = tree.search(asking[at : at + 512], wide[at : at + 512], low[at : at + 512])
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in (asking[at + q], ids[at + q], found, score)], names=["row", "query_id", "id", "score"])
 
     keys = ("cell", "salt", "cut")
-    near = data.groupBy(*keys).cogroup(wanted.groupBy(*keys)).applyInArrow(meet, "query_id bigint, id bigint, score bigint")
-    ranked = near.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "id")))
+    both = data.unionByName(wanted).repartition(*keys).sortWithinPartitions(*keys, F.col("low").isNotNull())
+    near = both.mapInArrow(meet, "row bigint, query_id bigint, id bigint, score bigint")
+    ranked = near.withColumn("rank", F.row_number().over(Window.partitionBy("row").orderBy(F.desc("score"), "id")))
     return ranked.where(F.col("rank") <= how.k).select("query_id", "rank", "id", "score")
