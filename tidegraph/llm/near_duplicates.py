@@ -162,7 +162,9 @@ def _parities(docs: DataFrame, ids: DataFrame, rows: int, how: NearDuplicates) -
 
 
 #: Members of one bucket that are compared with each other in one piece.
-CHUNK = 1024
+CHUNK = 512
+#: Pairs of one document that meet its set or sketch in one task.
+HOT = 2048
 
 
 def _compare(piece: dict[str, np.ndarray], how: NearDuplicates) -> tuple[np.ndarray, np.ndarray]:
@@ -193,12 +195,15 @@ def _compare(piece: dict[str, np.ndarray], how: NearDuplicates) -> tuple[np.ndar
 def _across(known: DataFrame, how: NearDuplicates) -> DataFrame:
     """Pairs (a, b) that share a bucket and not a component, for the test on full sets.
 
-    known: key, size (of the bucket), id, component, n, parity. A large bucket is cut into chunks by
-    a hash of the id, and each two chunks meet in a piece of their own.
+    known: key, size (of the bucket), most (its largest component), inside (members of that), id, component, n,
+    parity. A large bucket is cut into chunks by a hash of the id, members of its largest component apart, and each
+    two chunks meet in a piece of their own, but for chunks of that component, which needs no look. So a bucket of
+    copies of one text with few others is moved once or twice, whatever its size.
     """
-    cut = known.withColumn("chunks", F.expr(f"cast(ceil(size / {CHUNK}) as int)")).withColumn("own", F.expr("cast(pmod(xxhash64(id, key), chunks) as int)"))
+    cut = known.withColumn("others", F.expr(f"cast(ceil((size - inside) / {CHUNK}) as int)")).withColumn("chunks", F.expr(f"others + cast(ceil(inside / {CHUNK}) as int)"))
+    cut = cut.withColumn("own", F.expr("cast(if(component = most, others + pmod(xxhash64(id, key), chunks - others), pmod(xxhash64(id, key), others)) as int)"))
     pieces = (
-        cut.withColumn("other", F.explode(F.expr("sequence(0, chunks - 1)")))
+        cut.withColumn("other", F.explode(F.expr("sequence(0, if(component = most, others, chunks) - 1)")))
         .select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.expr("if(own <= other, 0, 1)").alias("side"), "id", "component", "n", "parity")
         .repartition("key", "i", "j")
         .sortWithinPartitions("key", "i", "j")
@@ -242,16 +247,31 @@ def _alike(a: str, b: str, how: NearDuplicates):
     return F.expr(f"100 * least({a}.n, {b}.n) >= {how.percent} * greatest({a}.n, {b}.n) and {bits} <= {how.most_bits}")
 
 
+def _beside(rows: DataFrame, pairs: DataFrame, column: str, table: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
+    """rows (which hold pairs a, b) with the row of table (id, ...) for the id in column.
+
+    An id of over HOT pairs, such as that of a text with many copies, is dealt over several tasks, its row repeated.
+    """
+    table, other = table.withColumnRenamed("id", column), "b" if column == "a" else "a"
+    hot = pairs.groupBy(column).agg(F.count(F.lit(1)).alias("c")).where(F.col("c") > HOT).select(column, F.ceil(F.col("c") / HOT).alias("parts"))
+    hot = scratch.save(hot, f"hot-{tag}-{column}")
+    n = hot.count()
+    if not n:
+        return rows.join(table, column)
+    hot, parts = small_side(hot, n), F.coalesce("parts", F.lit(1))
+    dealt = rows.join(hot, column, "left").withColumn("salt", F.pmod(F.xxhash64(other), parts)).drop("parts")
+    copies = table.join(hot, column, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), parts - 1))).drop("parts")
+    return dealt.join(copies, [column, "salt"]).drop("salt")
+
+
 def _confirm(pairs: DataFrame, docs: DataFrame, how: NearDuplicates, scratch: Scratch, tag: str) -> DataFrame:
     """The pairs (a, b) whose full sets reach the threshold."""
     ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
     ids = scratch.save(ids, f"ids-{tag}")
     sets = scratch.save(_full_sets(docs, ids, ids.count(), how.width), f"sets-{tag}")
-    met = (
-        pairs.join(sets.select(F.col("id").alias("b"), F.col("members").alias("mb")), "b")
-        .join(sets.select(F.col("id").alias("a"), F.col("members").alias("ma")), "a")
-        .select("a", "b", F.size("ma").alias("na"), F.size("mb").alias("nb"), F.size(F.array_intersect("ma", "mb")).alias("both"))
-    )
+    met = _beside(pairs, pairs, "b", sets.withColumnRenamed("members", "mb"), scratch, f"sets-{tag}")
+    met = _beside(met, pairs, "a", sets.withColumnRenamed("members", "ma"), scratch, f"sets-{tag}")
+    met = met.select("a", "b", F.size("ma").alias("na"), F.size("mb").alias("nb"), F.size(F.array_intersect("ma", "mb")).alias("both"))
     out = scratch.save(met.where(f"100 * both >= {how.percent} * (na + nb - both)").select("a", "b").distinct(), f"links-{tag}")
     scratch.drop(f"sets-{tag}")
     return out
@@ -277,18 +297,19 @@ def near_duplicates(docs: DataFrame, how: NearDuplicates = NearDuplicates(), id_
     leads = shared.join(met, "id").groupBy("key").agg(F.max(F.struct("met", "id"))["id"].alias("lead"))
     pair = F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b")
     starred = scratch.save(shared.join(leads, "key").where("id <> lead").select(*pair).distinct(), "starred")
-    x, y = reps.select(F.col("id").alias("a"), "n", "odd").alias("x"), reps.select(F.col("id").alias("b"), "n", "odd").alias("y")
-    first = starred.join(x, "a").join(y, "b").where(_alike("x", "y", how)).select("a", "b").distinct()
+    x, y = (reps.select("id", F.struct("n", "odd").alias(c)) for c in ("x", "y"))
+    first = _beside(_beside(starred, starred, "a", x, scratch, "star"), starred, "b", y, scratch, "star").where(_alike("x", "y", how)).select("a", "b").distinct()
     links = _confirm(scratch.save(first, "pairs-1"), docs, how, scratch, "1")
     found = scratch.save(connected_components(links, scratch, "cc1"), "components-1")
 
     # what is left: members of one bucket in different components
     placed = shared.join(found, "id", "left").select("key", "size", "id", F.coalesce("component", "id").alias("component"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
-    rest = scratch.save(placed.join(mixed, "key", "left_semi"), "rest")
+    parts = placed.groupBy("key", "component").agg(F.count(F.lit(1)).alias("c")).groupBy("key").agg(F.count(F.lit(1)).alias("parts"), F.max(F.struct("c", "component")).alias("m"))
+    mixed = parts.where("parts > 1").select("key", F.col("m.component").alias("most"), F.col("m.c").alias("inside"))
+    rest = scratch.save(placed.join(mixed, "key"), "rest")
     ids = scratch.save(rest.select("id").distinct(), "rest-ids")
     parity = scratch.save(_parities(docs, ids, ids.count(), how), "parities")
-    known = rest.join(reps.select("id", "n"), "id").join(parity, "id").select("key", "size", "id", "component", "n", "parity")
+    known = rest.join(reps.select("id", "n"), "id").join(parity, "id").select("key", "size", "most", "inside", "id", "component", "n", "parity")
     # a pair that some bucket's star has tested already needs no second test
     second = _across(known, how).join(starred, ["a", "b"], "left_anti")
     more = _confirm(scratch.save(second, "pairs-2"), docs, how, scratch, "2")
