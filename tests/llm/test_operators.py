@@ -150,7 +150,10 @@ def brute_components(rows, width, percent):
     return low, {i: len(s) for (i, _), s in zip(rows, sets, strict=True)}
 
 
-def test_near_duplicates_by_brute_force(spark):
+@pytest.mark.parametrize(("chunk", "hot"), [(near_duplicates.CHUNK, near_duplicates.HOT), (3, 2)])
+def test_near_duplicates_by_brute_force(spark, monkeypatch, chunk, hot):
+    monkeypatch.setattr(near_duplicates, "CHUNK", chunk)
+    monkeypatch.setattr(near_duplicates, "HOT", hot)
     rng = np.random.default_rng(4)
     base = [[f"w{x}" for x in rng.integers(0, 400, 120)] for _ in range(3)]
     rows = []
@@ -292,6 +295,20 @@ def test_top_k_cases(spark):
     assert {r["id"]: r["v"] for r in df.collect() if r["v"] is not None} == {0: [64, 128], 5: [32]}
     assert sorted(map(tuple, mtree.top_k(df, F.col("id") % 5 == 0).collect())) == [(0, 1, 5, 2048), (5, 1, 0, 2048)]
     assert mtree.top_k(df.where("id = 1"), F.lit(True)).count() == 0
+    assert mtree.top_k(df.where("false"), F.lit(True)).count() == 0
+
+
+@pytest.mark.parametrize("how", [mtree.MTreeSearch(k=3), mtree.MTreeSearch(k=3, page=2, fanout=2, cells=3, sample_rows=4, chunk_rows=3, slice_rows=2)])
+def test_top_k_of_repeated_ids(spark, how):
+    """Two rows of one id ask apart, and are candidates of each other; clashing columns stay out."""
+    rows = [(20, [1, 2]), (20, [3, -1]), (1, [2, 2]), (2, [0, 5]), (3, [1, 1]), (3, [1, 1]), (40, [1, 2])]
+    df = spark.createDataFrame([(i, v, 7, 7, "x") for i, v in rows], "id bigint, v array<bigint>, row int, score int, cell string")
+    want = []
+    for n, (q, v) in enumerate(rows):
+        if q % 20 == 0:
+            best = sorted((-sum(x * y for x, y in zip(v, w, strict=True)), i) for m, (i, w) in enumerate(rows) if m != n)[:3]
+            want += [(q, r + 1, i, -s) for r, (s, i) in enumerate(best)]
+    assert sorted(map(tuple, mtree.top_k(df, F.col("id") % 20 == 0, how).collect())) == sorted(want)
 
 
 # -- 6, 8, 10 --------------------------------------------------------------------------------------
@@ -359,6 +376,18 @@ def test_mixing_stays_native(spark):
 # -- 9 ---------------------------------------------------------------------------------------------
 
 
+def by_merging(m, word: str) -> list[int]:
+    """Best rank first, the leftmost of equal ones; characters without a piece are spelt."""
+    parts = [m.by_text.get(c, -1) for c in word]
+    held = list(word)
+    while True:
+        joins = [(m.order[j], k, j) for k in range(len(held) - 1) if min(parts[k], parts[k + 1]) >= 0 and (j := m.by_text.get(held[k] + held[k + 1], -1)) >= 0]
+        if not joins:
+            return [x for h, p in zip(held, parts, strict=True) for x in ([int(m.ids[p])] if p >= 0 else m._spell(ord(h)))]
+        _, k, j = min(joins)
+        held[k : k + 2], parts[k : k + 2] = [held[k] + held[k + 1]], [j]
+
+
 @given(st.lists(st.text(alphabet=" abétheing▁日\n\x00🙂", max_size=30), max_size=6))
 @settings(max_examples=150, deadline=None)
 def test_pieces_round_trip_and_brute_force(texts):
@@ -368,7 +397,7 @@ def test_pieces_round_trip_and_brute_force(texts):
         data, cut = m.decode(ids, first)
         assert [bytes(data[a:b]).decode() for a, b in zip(cut[:-1], cut[1:], strict=True)] == texts
         for t, a, b in zip(texts, first[:-1], first[1:], strict=True):
-            want = [x for w in re.findall(r" +[^ ]*", " " + t) for x in m._long(np.array([ord(c) for c in w], np.uint32))] if t else []
+            want = [x for w in re.findall(r" +[^ ]*", " " + t) for x in by_merging(m, w)] if t else []
             assert ids[a:b].tolist() == want
 
 
@@ -419,7 +448,30 @@ def test_pieces_cases(spark, odd, none):
     back = {r["extra"] if r["doc_id"] is None else r["doc_id"]: r["text"] for r in pieces.decode(made, m).collect()}
     assert back[3] == LONG and back[1] == "" and back[7] == "и это тоже текст"
     assert pieces.encode(odd, m, digest=True).where("round_trip").count() == 10 and pieces.encode(none, m).count() == 0
-    assert len(m._long(np.array([ord(c) for c in "x" * 500], np.uint32))) <= 500
+
+
+def test_pieces_of_runs_without_a_space(spark):
+    import random
+    import sentencepiece
+
+    r = random.Random(3)
+    m, sp = pieces.load(MODEL_PATH), sentencepiece.SentencePieceProcessor(model_file=MODEL_PATH)
+    signs = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/"
+    texts = ["a" * 3000, "=" * 777, "ab" * 900, "aab" * 500, "x" * m.window, "x" * (m.window + 1), "".join(r.choices(signs, k=20_000)), "".join(chr(r.randint(0x4E00, 0x9FA5)) for _ in range(3000))]
+    texts += ["".join(r.choices(["the", "ing", "\n", "aaaa", "🙂", "{", "}"], k=2000)), "b " + "=" * 300 + " c " + "-" * 300 + "a" * 200, "".join(r.choices("ab", k=2000)), "".join(r.choices("=-", k=2000))]
+    for block in textblocks.blocks(pa.array(texts), 1 << 13):
+        ids, first = m._encode(block)
+        for t, a, b in zip(texts[block.first :], first[:-1], first[1:]):
+            assert ids[a:b].tolist() == sp.encode(t)
+    rng = np.random.default_rng(8)
+    words = ["a", "b", "ab", "ba", "aab", "bb"]
+    unigram = pieces.PieceModel(words, (-rng.uniform(1, 9, len(words))).tolist(), list(range(256, 262)), list(range(256)))
+    text = "".join(r.choices("abc", k=1000))
+    best = [0.0]
+    for e in range(1, 1001):
+        best.append(max([best[e - 1] + unigram.unknown, *(best[e - len(w)] + s for w, s in zip(words, unigram.scores.tolist(), strict=True) if text[:e].endswith(w))]))
+    ids, _ = unigram.segment(np.array(list(map(ord, text)), np.uint32), np.array([0]), np.array([1000]))
+    assert sum(unigram.unknown if i < 256 else float(unigram.scores[i - 256]) for i in ids.tolist()) == pytest.approx(best[-1])
 
 
 # -- queries ---------------------------------------------------------------------------------------
