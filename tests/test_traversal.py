@@ -89,12 +89,12 @@ def test_drain_rounds_reach_plain_levels(pairs, blocks):
             known = [(v, *state[v][::-1], False) for v in mine if v in state] + [(v, claims[v][1], claims[v][0], True) for v in mine if v in claims]
             k = {n: np.array([x[i] for x in known]) for i, n in enumerate(("id", "parent", "level", "fresh"))}
             use = src % blocks == b
-            got = bfs.drain(k, src[use], dst[use], dst[use] % blocks == b, False)
+            got = bfs.drain(k, src[use], dst[use], dst[use] % blocks, b)
             for v, p, lv in zip(got["id"], got["parent"], got["level"], strict=True):
                 state[int(v)] = (int(lv), int(p))
             for v, p, lv in zip(got["out_id"], got["out_parent"], got["out_level"], strict=True):
                 sent[int(v)] = min(sent.get(int(v), (99, 99)), (int(lv), int(p)))
-        claims = {v: c for v, c in sent.items() if v not in state or c < state[v]}
+        claims = {v: c for v, c in sent.items() if v not in state or c[0] < state[v][0]}
         if not claims:
             break
     assert {v: s[0] for v, s in state.items()} == {v: lv for v, _, lv in plain(pairs, 0)}

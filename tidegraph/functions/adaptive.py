@@ -26,6 +26,17 @@ def choose_parallelism(active_edges: int, cores: int, target_rows: int = 1_000_0
     return max(1, waves) * cores
 
 
+def choose_blocks(edges: int, cores: int, block_edges: int = 1 << 24) -> int:
+    """Blocks of a graph: none over block_edges on average, and for smaller graphs four a core, but none of so few
+    edges that starting its task costs more than following them."""
+    return max(1, -(-edges // block_edges), min(4 * cores, -(-edges // 50_000)))
+
+
+def choose_schedule(cut_share: float, threshold: float = 0.5) -> str:
+    """relaxed where most edges stay inside blocks, so that whole rounds are saved; level where they cross."""
+    return "relaxed" if cut_share < threshold else "level"
+
+
 def run_all(calls: list[Callable], pool: int = 4) -> list:
     """Independent jobs in flight together; results in order, the first failure raised."""
 

@@ -9,25 +9,33 @@ from __future__ import annotations
 import time
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from tidegraph.functions.adaptive import small
+from tidegraph.functions.adaptive import choose_blocks, small
 from tidegraph.model import Graph, owner
 from tidegraph.plans.scratch import Scratch
 
 STATE = "id bigint, parent bigint, level int"
+#: Bytes of a claim's columns.
+CLAIM_BYTES = 20
 
 
 @dataclass
 class Traversal:
-    """state: id, parent, level. log: a dict a round (round, active, expanded, remote, combined, corrections, seconds)."""
+    """state: id, parent, level. log: a dict a round. load: round, blk, expanded, from searches by blocks.
+
+    Of a relaxed round the log has: active (blocks), expanded (edges followed), remote (claims over crossing edges),
+    combined (claims sent), accepted, rejected, corrections (levels lowered after a vertex had one), bytes, seconds.
+    """
 
     state: DataFrame
     log: list[dict] = field(default_factory=list)
+    load: DataFrame | None = None
 
     @property
     def rounds(self) -> int:
@@ -167,44 +175,51 @@ def reduce_claims(claims: DataFrame, state: DataFrame, mode: str = "min_level")
 
 # -- relaxed ---------------------------------------------------------------------------------------
 
+#: Rows that a block gives out. state: changed tells whether this round changed it (n). claim: n is the block it goes
+#: to. count: id 0 edges followed, 1 corrections, 2 claims before combining (n).
 _OUT = "kind string, blk int, id bigint, parent bigint, level int, n bigint"
+_FAR = np.iinfo(np.int32).max
+
 
+def _first_of(*keys: np.ndarray) -> np.ndarray:
+    """Positions of rows sorted by the last key, then those before it; of rows that share the last key, the first."""
+    order = np.lexsort(keys)
+    last = keys[-1][order]
+    return order[np.concatenate(([True], last[1:] != last[:-1]))] if len(order) else order
 
-def drain(known: dict[str, np.ndarray], src: np.ndarray, dst: np.ndarray, local: np.ndarray, first_only: bool) -> dict[str, np.ndarray]:
+
+def drain(known: dict[str, np.ndarray], src: np.ndarray, dst: np.ndarray, dblk: np.ndarray, blk: int, first_only: bool = False, combine: bool = True) -> dict[str, np.ndarray]:
     """A block follows its own edges until nothing changes.
 
-    known: id, parent, level, fresh (a claim, not yet state). Levels are worked off in ascending order,
-    so claims of unequal level cost no needless correction. Returns changed state and claims that leave.
+    known: id, parent, level, fresh (an accepted claim, not yet state). Only a lower level counts (with first_only, any
+    level of a vertex without one). Levels are worked off in ascending order, so claims of unequal level cost no needless
+    correction. Returns all state, what changed, and claims that leave: of those for one vertex the best one, with combine.
     """
+    local = dblk == blk
     ids = np.unique(np.concatenate((known["id"], src, dst[local])))
     n = len(ids)
-    far = np.iinfo(np.int32).max
-    level, parent = np.full(n, far), np.full(n, np.iinfo(np.int64).max)
+    level, parent = np.full(n, _FAR), np.full(n, -1)
     old = ~known["fresh"]
     at = np.searchsorted(ids, known["id"][old])
     level[at], parent[at] = known["level"][old], known["parent"][old]
-    had = level.copy()
-    order = np.lexsort((dst, src))
-    src, dst, local = src[order], dst[order], local[order]
+    order = np.argsort(src, kind="stable")
+    src, dst, dblk, local = src[order], dst[order], dblk[order], local[order]
+    inner = np.where(local, np.searchsorted(ids, dst), -1)
     first = np.searchsorted(src, ids, side="left")
     last = np.searchsorted(src, ids, side="right")
     changed, queued = np.zeros(n, bool), np.zeros(n, bool)
-    out_id, out_parent, out_level = [], [], []
-    expanded = corrections = 0
+    sent = []
+    expanded = corrections = remote = 0
 
     def offer(where: np.ndarray, by: np.ndarray, to: np.ndarray) -> None:
         nonlocal corrections
-        pick = np.lexsort((by, to, where))
-        where, by, to = where[pick], by[pick], to[pick]
-        keep = np.concatenate(([True], where[1:] != where[:-1])) if len(where) else np.zeros(0, bool)
-        where, by, to = where[keep], by[keep], to[keep]
-        lower = (level[where] == far) if first_only else (to < level[where])
-        same = np.zeros(len(where), bool) if first_only else (to == level[where]) & (by < parent[where])
-        corrections += int((lower & (level[where] != far)).sum())
-        queued[where[lower]] = True
-        take = lower | same
-        level[where[take]], parent[where[take]] = to[take], by[take]
-        changed[where[take]] = True
+        better = (level[where] == _FAR) if first_only else (to < level[where])
+        where, by, to = where[better], by[better], to[better]
+        pick = _first_of(by, to, where)
+        where = where[pick]
+        corrections += int((level[where] != _FAR).sum())
+        queued[where] = changed[where] = True
+        level[where], parent[where] = to[pick], by[pick]
 
     new = known["fresh"]
     offer(np.searchsorted(ids, known["id"][new]), known["parent"][new], known["level"][new])
@@ -215,108 +230,165 @@ def drain(known: dict[str, np.ndarray], src: np.ndarray, dst: np.ndarray, local:
         count = last[front] - first[front]
         expanded += int(count.sum())
         edge = np.repeat(first[front] - (np.cumsum(count) - count), count) + np.arange(count.sum())
-        via = np.repeat(front, count)
+        via = ids[np.repeat(front, count)]
         inside = local[edge]
-        offer(np.searchsorted(ids, dst[edge[inside]]), ids[via[inside]], np.full(int(inside.sum()), now + 1))
+        offer(inner[edge[inside]], via[inside], np.full(int(inside.sum()), now + 1))
         away = edge[~inside]
-        out_id.append(dst[away])
-        out_parent.append(ids[via[~inside]])
-        out_level.append(np.full(len(away), now + 1))
+        remote += len(away)
+        sent.append((dst[away], via[~inside], np.full(len(away), now + 1), dblk[away]))
     none = np.zeros(0, np.int64)
+    out = [np.concatenate([none, *x]) for x in zip(*sent, strict=True)] if sent else [none] * 4
+    if combine:
+        pick = _first_of(out[1], out[2], out[0])
+        out = [x[pick] for x in out]
+    got = np.flatnonzero(level != _FAR)
     return {
-        "id": ids[changed], "parent": parent[changed], "level": level[changed],
-        "out_id": np.concatenate([none, *out_id]), "out_parent": np.concatenate([none, *out_parent]), "out_level": np.concatenate([none, *out_level]),
-        "expanded": np.array([expanded]), "corrections": np.array([int((had[changed] != far).sum())]),
+        "id": ids[got], "parent": parent[got], "level": level[got], "changed": changed[got],
+        "out_id": out[0], "out_parent": out[1], "out_level": out[2], "out_blk": out[3], "counts": np.array([expanded, corrections, remote]),
     }
 
 
-def bfs_relaxed(g: Graph, root: int, how: str = "hash", blocks: int = 8, n: int | None = None, claim: str = "min_level", combine: bool = True, max_rounds: int = 10_000) -> Traversal:
+def _closing(known: dict[str, np.ndarray], src: np.ndarray, dst: np.ndarray) -> dict[str, np.ndarray]:
+    """For each target of a block's reached vertices, the smallest (level + 1, source): the smallest of these over all
+    blocks is the target's level and its smallest parent."""
+    at = np.minimum(np.searchsorted(known["id"], src), max(len(known["id"]) - 1, 0))
+    use = known["id"][at] == src if len(known["id"]) else np.zeros(len(src), bool)
+    src, dst, level = src[use], dst[use], known["level"][at[use]] + 1
+    pick = _first_of(src, level, dst)
+    return {"id": dst[pick], "parent": src[pick], "level": level[pick]}
+
+
+def _columns(kind: list[str], sizes: list[int], blk: int, *columns: np.ndarray) -> pa.Table:
+    types = pa.int64(), pa.int64(), pa.int32(), pa.int64()
+    arrays = [pa.array(c.astype(t.to_pandas_dtype()), t) for c, t in zip(columns, types, strict=True)]
+    return pa.table([pa.array(np.repeat(kind, sizes).tolist(), pa.string()), pa.array(np.full(sum(sizes), blk, np.int32)), *arrays], names=["kind", "blk", "id", "parent", "level", "n"])
+
+
+def bfs_relaxed(
+    g: Graph, root: int, how: str = "hash", blocks: int | None = None, n: int | None = None, claim: str = "min_level", combine: bool = True, max_rounds: int = 10_000, block_edges: int = 1 << 24, hub_edges: int | None = None
+) -> Traversal:
     """Blocks follow their own edges to exhaustion; only claims that cross blocks wait for a global step.
 
-    Edges lie in a table bucketed by owning block, written once and never shuffled again; a round moves
-    claims and the state of blocks that got one. how="block" needs dense ids and n.
+    Edges and states lie in tables bucketed by owning block. A round reads the blocks that accepted a claim, with their
+    edges and last state, and writes their new state; then claims go to their owners' buckets, the round's one
+    exchange, where those that are not better than the state are dropped. Parents come from one pass at the end.
+    blocks follows from the number of edges, and is doubled while one block holds over twice block_edges. Vertices of more
+    than hub_edges (a quarter of block_edges) out-edges are not followed inside blocks: a join sends their claims after the
+    round, so no hub fills a block. how="block" needs dense ids and n. Raises after max_rounds without an end.
     """
+    if claim not in ("min_level", "first"):
+        raise ValueError(f"no claim mode {claim!r}")
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs-relaxed")
-    label = "tide_" + scratch.root.rpartition("-")[2]
-    cut = g.edges.select("src", "dst").withColumn("blk", owner(F.col("src"), how, blocks, n)).withColumn("dblk", owner(F.col("dst"), how, blocks, n))
-    cut.write.bucketBy(blocks, "blk").sortBy("blk", "src").option("path", scratch.path("edges")).format("parquet").saveAsTable(label)
-    edges = spark.table(label)
-    first_only = claim == "first"
+    first_only, hub_edges = claim == "first", hub_edges or block_edges // 4
+    edges = g.edges.select("src", "dst")
+    degrees = edges.groupBy("src").agg(F.count(F.lit(1)).alias("d"))
+    m, widest = degrees.agg(F.coalesce(F.sum("d"), F.lit(0)), F.coalesce(F.max("d"), F.lit(0))).first()
+    hubs = None
+    if widest > hub_edges:
+        # fewer than m / hub_edges rows
+        hubs = scratch.save(degrees.where(F.col("d") > hub_edges).select("src"), "hubs")
+        rows = hubs.count()
+        hubs_side = small(hubs, rows)
+        hub_out = scratch.save(edges.join(hubs_side, "src", "left_semi"), "hub-edges")
+        edges = edges.join(hubs_side, "src", "left_anti")
+    blocks = blocks or choose_blocks(m, spark.sparkContext.defaultParallelism, block_edges)
+    while m > 2 * block_edges and edges.groupBy(owner(F.col("src"), how, blocks, n)).count().agg(F.max("count")).first()[0] > 2 * block_edges:
+        blocks *= 2
+    buckets = min(blocks, 1 << 13)
+    mine = owner(F.col("id"), how, blocks, n).alias("blk")
+    cut = edges.withColumn("blk", owner(F.col("src"), how, blocks, n)).withColumn("dblk", owner(F.col("dst"), how, blocks, n))
+    edges = scratch.save_bucketed(cut, "edges", "blk", n=buckets, sort=("src",))
 
     def one(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
         blk = key[0].as_py()
-        if not left.num_rows:  # no claim came
-            return pa.table([pa.array([], f.type) for f in schema], schema=schema)
         known = {k: left[k].to_numpy() for k in ("id", "parent", "level")} | {"fresh": left["fresh"].to_numpy(zero_copy_only=False).astype(bool)}
-        got = drain(known, right["src"].to_numpy(), right["dst"].to_numpy(), right["dblk"].to_numpy() == blk, first_only)
-        sizes = [len(got["id"]), len(got["out_id"]), 2]
-        kinds = np.repeat(["state", "claim", "count"], sizes)
-        counters = np.array([got["expanded"][0], got["corrections"][0]])
-        columns = [np.concatenate([got["id"], got["out_id"], [0, 1]]), np.concatenate([got["parent"], got["out_parent"], [0, 0]]), np.concatenate([got["level"], got["out_level"], [0, 0]])]
-        return pa.table(
-            [pa.array(kinds), pa.array(np.full(sum(sizes), blk, np.int32)), *(pa.array(c.astype(t)) for c, t in zip(columns, (np.int64, np.int64, np.int32), strict=True)), pa.array(np.concatenate([np.zeros(sum(sizes) - 2, np.int64), counters]))],
-            schema=schema,
-        )
-
-    schema = pa.schema([("kind", pa.string()), ("blk", pa.int32()), ("id", pa.int64()), ("parent", pa.int64()), ("level", pa.int32()), ("n", pa.int64())])
-    claims = scratch.save(_seed(spark, root), "claims-0")
-    paths: list[str] = []
+        if not known["fresh"].any():  # no claim came
+            return _columns(["state"], [0], blk, *[np.zeros(0)] * 4)
+        got = drain(known, right["src"].to_numpy(), right["dst"].to_numpy(), right["dblk"].to_numpy(), blk, first_only, combine)
+        sizes = [len(got["id"]), len(got["out_id"]), 3]
+        none = np.zeros(3, np.int64)
+        join = lambda a, b, c: np.concatenate([got[a] if a else none, got[b], c])
+        return _columns(["state", "claim", "count"], sizes, blk, join("id", "out_id", np.arange(3)), join("parent", "out_parent", none), join("level", "out_level", none), join("changed", "out_blk", got["counts"]))
+
+    def close(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
+        order = np.argsort(left["id"].to_numpy())
+        got = _closing({"id": left["id"].to_numpy()[order], "level": left["level"].to_numpy()[order].astype(np.int64)}, right["src"].to_numpy(), right["dst"].to_numpy())
+        return pa.table({"id": pa.array(got["id"], pa.int64()), "parent": pa.array(got["parent"], pa.int64()), "level": pa.array(got["level"].astype(np.int32), pa.int32())})
+
+    rounds: list[DataFrame] = []
+    version: dict[int, int] = {}  # the round that wrote a block's last state
+
+    def state(of: list[int] | None = None) -> list[DataFrame]:
+        """blk, id, parent, level, n of the blocks: a part for each round that wrote any of them."""
+        by: dict[int, list[int]] = {}
+        for b in sorted(version) if of is None else of:
+            if b in version:
+                by.setdefault(version[b], []).append(b)
+        return [rounds[v].where("kind = 'state'").where(F.col("blk").isin(bs)).select("blk", "id", "parent", "level", "n") for v, bs in by.items()]
+
+    def union(parts: list[DataFrame]) -> DataFrame:
+        return reduce(DataFrame.unionByName, parts)
+
+    accepted = _seed(spark, root).select(mine, "id", "parent", "level").repartition(buckets, "blk")
+    active = [x[0] for x in accepted.select("blk").collect()]  # the root's block
     log: list[dict] = []
-
-    def waiting(claims: DataFrame) -> dict[int, int]:
-        """Claims by block: at most `blocks` numbers."""
-        return {x["blk"]: x["count"] for x in claims.groupBy(owner(F.col("id"), how, blocks, n).alias("blk")).count().collect()}
-
-    active = waiting(claims)
-    while len(log) < max_rounds:
-        began = time.time()
-        r = len(log) + 1
-        fresh = claims.withColumn("blk", owner(F.col("id"), how, blocks, n)).withColumn("fresh", F.lit(True))
-        if paths:
-            old = latest(spark.read.schema(_OUT).parquet(*paths).where((F.col("kind") == "state") & F.col("blk").isin(list(active))))
-            left = fresh.unionByName(old.withColumn("blk", owner(F.col("id"), how, blocks, n)).withColumn("fresh", F.lit(False)))
-        else:
-            left = fresh
-        right = edges.where(F.col("blk").isin(list(active)))
-        out = scratch.save(left.groupBy("blk").cogroup(right.groupBy("blk")).applyInArrow(one, _OUT), f"round-{r}")
-        paths.append(scratch.path(f"round-{r}"))
-        sent = out.where("kind = 'claim'").select("id", "parent", "level")
-        if not combine:
-            sent = sent.repartition("id")
-        state = latest(spark.read.schema(_OUT).parquet(*paths).where("kind = 'state'"))
-        claims = scratch.save(reduce_claims(sent, state, claim), f"claims-{r}")
-        counts = out.agg(
-            F.count(F.when(F.col("kind") == "claim", 1)).alias("remote"), *(F.coalesce(F.sum(F.when(F.expr(f"kind = 'count' and id = {i}"), F.col("n"))), F.lit(0)).alias(c) for i, c in enumerate(("expanded", "corrections")))
-        ).first()
-        now, active = active, waiting(claims)
-        log.append({"round": r, "active": len(now), "expanded": counts["expanded"], "remote": counts["remote"], "combined": sum(active.values()), "corrections": counts["corrections"], "seconds": time.time() - began})
-        if not active:
-            break
-    state = scratch.save(latest(spark.read.schema(_OUT).parquet(*paths).where("kind = 'state'")), "state")
-    load = scratch.save(_load(spark, paths), "load")
-    spark.sql(f"drop table {label}")
-    out = Traversal(state if first_only else smallest_parents(g, state), log)
-    out.load = load
-    return out
-
-
-def _load(spark, paths: list[str]) -> DataFrame:
-    """round, blk, expanded."""
-    parts = [spark.read.schema(_OUT).parquet(p).where("kind = 'count' and id = 0").select(F.lit(i + 1).alias("round"), "blk", F.col("n").alias("expanded")) for i, p in enumerate(paths)]
-    whole = parts[0]
-    for p in parts[1:]:
-        whole = whole.unionByName(p)
-    return whole
-
-
-def latest(state: DataFrame) -> DataFrame:
-    """State only ever improves, so the smallest (level, parent) of an id is the present one."""
-    return state.groupBy("id").agg(F.min(F.struct("level", "parent")).alias("s")).select("id", "s.parent", "s.level")
+    while active:
+        if len(log) == max_rounds:
+            raise RuntimeError(f"claims still come after {max_rounds} rounds")
+        began, r = time.time(), len(log) + 1
+        old = [x.select("blk", "id", "parent", "level", F.lit(False).alias("fresh")) for x in state(active)]
+        left = union([accepted.select("blk", "id", "parent", "level", F.lit(True).alias("fresh")), *old])
+        right = edges.where(F.col("blk").isin(active))
+        seen, total = Observation(f"round-{r}"), lambda x: F.coalesce(F.sum(F.expr(x)), F.lit(0))
+        # observed while the table is written: counts, and the blocks that claims go to (no more numbers than blocks)
+        out = left.groupBy("blk").cogroup(right.groupBy("blk")).applyInArrow(one, _OUT).observe(
+            seen, *(total(f"if(kind = 'count' and id = {i}, n, 0)").alias(c) for i, c in enumerate(("expanded", "corrections", "remote"))),
+            total("if(kind = 'claim', 1, 0)").alias("sent"), F.expr("array_join(collect_set(if(kind = 'claim', cast(n as string), null)), ',')").alias("to"),
+        )
+        out = scratch.save_bucketed(out, f"round-{r}", "blk", n=buckets, folders=("kind",), placed=True)
+        rounds.append(out)
+        version.update(dict.fromkeys(active, r - 1))
+        counts = seen.get
+        to, rows_sent = {int(x) for x in counts["to"].split(",") if x}, counts["sent"]
+        claims = out.where("kind = 'claim'").select(F.col("n").cast("int").alias("blk"), "id", "parent", "level")
+        if hubs is not None:
+            moved = small(out.where("kind = 'state' and n = 1").select(F.col("id").alias("src"), "level").join(hubs_side, "src"), rows)
+            sent = hub_out.join(moved, "src").select(F.col("dst").alias("id"), F.col("src").alias("parent"), F.col("level") + 1)
+            sent = scratch.save(sent.toDF("id", "parent", "level").groupBy("id").agg(F.min(F.struct("level", "parent")).alias("c")).select(mine, "id", "c.parent", "c.level"), f"hubs-{r}")
+            extra = {x[0]: x[1] for x in sent.groupBy("blk").count().collect()}
+            to, rows_sent = to | set(extra), rows_sent + sum(extra.values())
+            claims = claims.unionByName(sent)
+        now, active, taken = len(active), [], 0
+        if to:
+            # claims move to their owners' buckets, where the states already are
+            fresh = claims.repartition(buckets, "blk").select("blk", "id", F.struct("level", "parent").alias("c"), F.lit(None).cast("int").alias("old"))
+            held = [x.select("blk", "id", F.lit(None).cast("struct<level:int,parent:bigint>").alias("c"), F.col("level").alias("old")) for x in state(sorted(to))]
+            best = union([fresh, *held]).groupBy("blk", "id").agg(F.min("c").alias("c"), F.min("old").alias("old"))
+            best = best.where("c is not null and old is null" if first_only else "c is not null and (old is null or c.level < old)").select("blk", "id", "c.parent", "c.level")
+            seen = Observation(f"claims-{r}")
+            best = best.observe(seen, F.count(F.lit(1)).alias("taken"), F.expr("array_join(collect_set(cast(blk as string)), ',')").alias("blocks"))
+            accepted = scratch.save_bucketed(best, f"claims-{r}", "blk", n=buckets, placed=True)
+            active, taken = sorted(int(x) for x in seen.get["blocks"].split(",") if x), seen.get["taken"]
+        log.append({"round": r, "active": now, "expanded": counts["expanded"], "remote": counts["remote"], "combined": rows_sent, "accepted": taken, "rejected": rows_sent - taken, "corrections": counts["corrections"], "bytes": rows_sent * CLAIM_BYTES, "seconds": time.time() - began})
+    if first_only:
+        found = union(state()).select("id", "parent", "level")
+    else:
+        known = union([x.select("blk", "id", "level") for x in state()])
+        ways = known.groupBy("blk").cogroup(edges.groupBy("blk")).applyInArrow(close, STATE)
+        if hubs is not None:
+            at_hubs = small(known.join(hubs_side, F.col("id") == F.col("src"), "left_semi").select(F.col("id").alias("src"), "level"), rows)
+            ways = ways.unionByName(hub_out.join(at_hubs, "src").select(F.col("dst").alias("id"), F.col("src").alias("parent"), (F.col("level") + 1).alias("level")))
+        best = ways.where(F.col("id") != F.lit(root)).groupBy("id").agg(F.min(F.struct("level", "parent")).alias("c")).select("id", "c.parent", "c.level")
+        found = best.unionByName(_seed(spark, root))
+    found = scratch.save(found, "state")
+    load = scratch.save(union([x.where("kind = 'count' and id = 0").select(F.lit(i + 1).alias("round"), "blk", F.col("n").alias("expanded")) for i, x in enumerate(rounds)]), "load")
+    scratch.keep_only("state", "load")
+    return Traversal(found, log, load)
 
 
 def smallest_parents(g: Graph, state: DataFrame) -> DataFrame:
-    """The closing pass: of all edges from one level to the next, the smallest source."""
+    """Of all edges from one level to the next, the smallest source; state: id, level."""
     up = state.select(F.col("id").alias("src"), F.col("level").alias("up"))
     down = state.select(F.col("id").alias("dst"), F.col("level"))
     found = g.edges.select("src", "dst").join(up, "src").join(down, "dst").where("up + 1 = level").groupBy(F.col("dst").alias("id"), "level").agg(F.min("src").alias("parent"))
@@ -363,7 +435,7 @@ def bfs_hops(g: Graph, root: int, hops: int = 2, how: str = "hash", blocks: int
 # -- supersteps ------------------------------------------------------------------------------------
 
 
-def superstep(state: DataFrame, messages, combine, apply, until, scratch: Scratch, most: int = 1000) -> tuple[DataFrame, list[dict]]:
+def superstep(state: DataFrame, messages, combine, apply, until, scratch: Scratch, most: int = 100_000) -> tuple[DataFrame, list[dict]]:
     """The vertex-centric loop: messages(state) are combined by id and applied to the state until nothing is active.
 
     state holds id and active; combine takes grouped messages; apply(state, combined) gives the next state.
@@ -377,8 +449,8 @@ def superstep(state: DataFrame, messages, combine, apply, until, scratch: Scratc
         active = state.where("active").count()
         log.append({"round": r, "active": active, "seconds": time.time() - began})
         if until(active, r):
-            break
-    return state, log
+            return state, log
+    raise RuntimeError(f"vertices are still active after {most} rounds")
 
 
 def bfs_vertex(g: Graph, root: int) -> Traversal:
