@@ -21,7 +21,7 @@ def got(r):
 PAIRS = [(0, 1), (0, 2), (1, 2), (2, 0), (3, 2), (3, 4)]
 
 
-@pytest.mark.parametrize("how", [{}, {"combine": False}, {"mode": "split", "how": "cyclic", "blocks": 2}, {"mode": "pull"}, {"mode": "prejoined", "salt": 3}])
+@pytest.mark.parametrize("how", [{}, {"combine": False}, {"mode": "split", "how": "cyclic", "blocks": 2}, {"mode": "split", "how": "block", "blocks": 2, "combine": False}, {"mode": "pull"}, {"mode": "prejoined", "hubs": 1}])
 @pytest.mark.parametrize("dangling", rank.DANGLING)
 def test_modes_equal_the_sequential_one(spark, how, dangling):
     s, d = (np.array([p[i] for p in PAIRS]) for i in (0, 1))

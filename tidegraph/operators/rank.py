@@ -14,9 +14,9 @@ import numpy as np
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from tidegraph.functions.adaptive import small
+from tidegraph.functions.adaptive import choose_blocks, small
 from tidegraph.model import Graph, owner
-from tidegraph.plans.scratch import Scratch
+from tidegraph.plans.scratch import Scratch, joined_in_place
 
 MODES = ("push", "pull", "split", "prejoined")
 DANGLING = ("leak", "redistribute", "self")
@@ -30,8 +30,10 @@ class Ranks:
     log: list[dict] = field(default_factory=list)
 
 
-def rank_seq(src: np.ndarray, dst: np.ndarray, ids: np.ndarray, alpha: float = 0.85, tol: float | None = 1e-6, max_iter: int = 100, dangling: str = "leak") -> tuple[np.ndarray, list[float]]:
-    """The iteration over arrays in one process: ranks in order of the ascending ids, and the errors."""
+def rank_seq(src: np.ndarray, dst: np.ndarray, ids: np.ndarray, alpha: float = 0.85, tol: float | None = 1e-6, max_iter: int = 100, dangling: str = "leak", most: int = 50_000_000) -> tuple[np.ndarray, list[float]]:
+    """The iteration over arrays in one process: ranks in order of the ascending ids, and the errors; refuses more than `most` edges."""
+    if len(src) > most:
+        raise ValueError(f"{len(src)} edges are too many for one process; use a distributed rank")
     n = len(ids)
     s, d = np.searchsorted(ids, src), np.searchsorted(ids, dst)
     degree = np.bincount(s, minlength=n)
@@ -86,83 +88,110 @@ def l1_error(old: DataFrame, new: DataFrame, blocks: tuple[str, int, int | None]
 
 
 def rank(
-    g: Graph, alpha: float = 0.85, tol: float | None = 1e-6, max_iter: int = 100, mode: str = "push", combine: bool = True, salt: int | None = None,
-    dangling: str = "leak", how: str = "hash", blocks: int = 8, restart: DataFrame | None = None, weight: str | None = None,
+    g: Graph, alpha: float = 0.85, tol: float | None = 1e-6, max_iter: int = 100, mode: str = "push", combine: bool = True, hubs: int | None = None,
+    dangling: str = "leak", how: str = "hash", blocks: int | None = None, restart: DataFrame | None = None, weight: str | None = None,
 ) -> Ranks:
     """Ranks of all vertices.
 
-    mode: push sends along out-edges; pull gathers by in-edges, broadcasting contributions while few;
-    split sums edges inside blocks and between blocks apart; prejoined stores 1 / degree on the edges,
-    so an iteration joins once. combine=False moves one row an edge. salt cuts hub destinations into
-    that many partial sums. restart (id, p) replaces the uniform restart; weight names an edge column.
+    mode: push sends along out-edges; pull gathers by in-edges, broadcasting contributions while few; prejoined stores
+    1 / degree on the edges, so an iteration divides nothing. Edges lie bucketed by source and ranks by vertex, in buckets as
+    many as a shuffle's partitions, so an iteration moves partial sums by destination and nothing else. split buckets both by
+    block: edges inside a block are summed in place, and of edges between blocks one partial sum for each block and target
+    moves. combine=False moves one row an edge. hubs: vertices of more out-edges than this have them spread over all tasks,
+    and their ranks broadcast while few, so no bucket holds a hub's whole list. how="block" needs dense ids.
+    restart (id, p) replaces the uniform restart; weight names an edge column.
     """
     if not 0 <= alpha < 1:
         raise ValueError("alpha must lie in [0, 1)")
     if mode not in MODES or dangling not in DANGLING:
         raise ValueError(f"mode is one of {MODES}, dangling one of {DANGLING}")
+    if hubs is not None and mode not in ("push", "prejoined"):
+        raise ValueError("hubs are spread in the modes push and prejoined")
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "rank")
+    split = mode == "split"
+    key = "blk" if split else "id"
     w = F.col(weight) if weight else F.lit(1.0)
-    edges = g.edges.select("src", "dst", w.cast("double").alias("w"))
-    degree = edges.groupBy("src").agg(F.sum("w").alias("d")).where("d > 0")
-    # edges are bucketed by the key at which the mode reads them, so no iteration shuffles them again
-    if mode == "prejoined":
-        edges = edges.join(degree, "src").select("src", "dst", (F.col("w") / F.col("d")).alias("share"))
+    edges = g.edges.select("src", "dst", w.cast("double").alias("share"))
+    degree = edges.groupBy("src").agg(F.sum("share").alias("d"), F.count(F.lit(1)).alias("out")).where("d > 0")
+    n = g.vertices.count()
+    start = F.lit(1 / max(n, 1)) if restart is None else F.coalesce("p", F.lit(0.0))
+    ranks = g.vertices.join(degree.withColumnRenamed("src", "id"), "id", "left")
+    ranks = ranks if restart is None else ranks.join(restart, "id", "left")
+    buckets = scratch.buckets(g.edges)
+    if split:
+        m = degree.agg(F.coalesce(F.sum("out"), F.lit(0))).first()[0]
+        blocks = blocks or choose_blocks(m, spark.sparkContext.defaultParallelism)
+        buckets = min(blocks, 1 << 13)
+        own = lambda c: owner(F.col(c), how, blocks, n)
+        ranks = ranks.withColumn("blk", own("id"))
+        cut = edges.withColumn("blk", own("src")).withColumn("dblk", own("dst"))
+        inside = scratch.save_bucketed(cut.where("blk = dblk").drop("dblk"), "inside", "blk", n=buckets, sort=("src",))
+        between = scratch.save_bucketed(cut.where("blk <> dblk"), "between", "blk", n=buckets, sort=("src",))
     else:
-        edges = edges.withColumnRenamed("w", "share")
-    if mode == "split":
-        edges = edges.withColumn("inside", owner(F.col("src"), how, blocks) == owner(F.col("dst"), how, blocks)) if how != "block" else edges.withColumn("inside", F.lit(True))
-    edges = scratch.save_bucketed(edges, "edges", "dst" if mode == "pull" else "src", g.edges)
-    ranks = g.vertices
-    n = ranks.count()
-    ranks = ranks.join(degree.withColumnRenamed("src", "id"), "id", "left").select("id", F.col("d").isNull().alias("lone"), F.coalesce("d", F.lit(1.0)).alias("d"), F.lit(1 / max(n, 1)).alias("rank"))
-    if restart is not None:
-        ranks = ranks.join(restart, "id", "left").select("id", "lone", "d", F.coalesce("p", F.lit(0.0)).alias("p"), F.coalesce("p", F.lit(0.0)).alias("rank"))
-    ranks = scratch.save(ranks, "0")
+        if mode == "prejoined":
+            edges = edges.join(degree.select("src", "d"), "src").select("src", "dst", (F.col("share") / F.col("d")).alias("share"))
+        spread = None
+        if hubs is not None:
+            # fewer than edges / hubs rows
+            wide = scratch.save(degree.where(F.col("out") > hubs).select("src"), "hubs")
+            rows = wide.count()
+            if rows:
+                wide = small(wide, rows)
+                spread = scratch.save(edges.join(wide, "src", "left_semi"), "hub-edges")
+                edges = edges.join(wide, "src", "left_anti")
+        edges = scratch.save_bucketed(edges, "edges", "dst" if mode == "pull" else "src", n=buckets)
+    kept = ["id", "lone", "d", *(["blk"] if split else []), *(["p"] if restart is not None else [])]
+    ranks = ranks.withColumns({"lone": F.col("d").isNull(), "d": F.coalesce("d", F.lit(1.0)), "rank": start, **({"p": F.coalesce("p", F.lit(0.0))} if restart is not None else {})})
+    ranks = scratch.save_bucketed(ranks.select(*kept, "rank"), "0", key, n=buckets)
     held = ranks.where("lone").agg(F.coalesce(F.sum("rank"), F.lit(0.0))).first()[0]
+    placed = split or buckets == int(spark.conf.get("spark.sql.shuffle.partitions"))
     log: list[dict] = []
 
-    def gather(sent: DataFrame) -> DataFrame:
-        """s by destination."""
+    def gained() -> DataFrame:
+        """ranks with s: what each vertex gets, null if nothing."""
+        # the contribution phase: rank over out-degree at the vertex, unless the edges hold it
+        share = F.col("rank") if mode == "prejoined" else F.col("rank") / F.col("d")
+        source = ranks.where("not lone").select(F.col("id").alias("src"), share.alias("c"), *(["blk"] if split else []))
+        brought = F.sum(F.col("c") * F.col("share")).alias("s")
+        if split:
+            near = inside.join(source, ["blk", "src"]).groupBy("blk", F.col("dst").alias("id")).agg(brought)
+            far = between.join(source, ["blk", "src"]).groupBy("blk", "dblk", "dst").agg(brought) if combine else between.join(source, ["blk", "src"]).withColumn("s", F.col("c") * F.col("share"))
+            far = far.select(F.col("dblk").alias("blk"), F.col("dst").alias("id"), "s").repartition(buckets, "blk").groupBy("blk", "id").agg(F.sum("s").alias("away"))
+            both = ranks.join(near, ["blk", "id"], "left").join(far, ["blk", "id"], "left")  # a union would forget where rows are
+            return both.withColumn("s", F.coalesce("s", F.lit(0.0)) + F.coalesce("away", F.lit(0.0)))
+        sent = edges.join(small(source, n, 100_000) if mode == "pull" else source, "src").select("dst", "c", "share")
+        if spread is not None:
+            sent = sent.unionByName(spread.join(small(source.join(wide, "src", "left_semi"), rows), "src").select("dst", "c", "share"))
         if not combine:
             sent = sent.repartition("dst")
-        if salt:
-            sent = sent.groupBy("dst", F.pmod(F.xxhash64("src"), F.lit(salt)).alias("salt")).agg(F.sum("c").alias("c"))
-        return sent.groupBy(F.col("dst").alias("id")).agg(F.sum("c").alias("s"))
+        return ranks.join(sent.groupBy(F.col("dst").alias("id")).agg(brought), "id", "left")
 
     for i in range(1, max_iter + 1):
         began = time.time()
-        # the contribution phase: rank over out-degree at the vertex, unless the edges hold it
-        share = F.col("rank") if mode == "prejoined" else F.col("rank") / F.col("d")
-        source = ranks.where("not lone").select(F.col("id").alias("src"), share.alias("c"))
-        source = small(source, n, 100_000) if mode == "pull" else source
-        sent = edges.join(source, "src").select("src", "dst", (F.col("c") * F.col("share")).alias("c"), *(["inside"] if mode == "split" else []))
-        if mode == "split":
-            parts = [gather(sent.where(c).drop("inside")) for c in ("inside", "not inside")]
-            sums = parts[0].unionByName(parts[1]).groupBy("id").agg(F.sum("s").alias("s"))
-        else:
-            sums = gather(sent)
         s = F.coalesce("s", F.lit(0.0))
         base = F.lit((1 - alpha) / max(n, 1)) if restart is None else F.lit(1 - alpha) * F.col("p")
         if dangling == "redistribute":
             s = s + (F.lit(held / max(n, 1)) if restart is None else F.lit(held) * F.col("p"))
         elif dangling == "self":
             s = s + F.when(F.col("lone"), F.col("rank")).otherwise(0.0)
-        new = ranks.join(sums, "id", "left").withColumn("new", base + F.lit(alpha) * s)
+        new = gained().withColumn("new", base + F.lit(alpha) * s)
         seen = Observation(f"rank-{i}")
         new = new.observe(
             seen, F.coalesce(F.sum(F.abs(F.col("new") - F.col("rank"))), F.lit(0.0)).alias("err"), F.coalesce(F.sum("new"), F.lit(0.0)).alias("mass"), F.coalesce(F.sum(F.when(F.col("lone"), F.col("new"))), F.lit(0.0)).alias("held")
         )
-        ranks = scratch.save(new.select("id", "lone", "d", *(["p"] if restart is not None else []), F.col("new").alias("rank")), str(i))
-        if i > 1:
-            scratch.drop(str(i - 2))
+        with joined_in_place(spark):
+            ranks = scratch.save_bucketed(new.select(*kept, F.col("new").alias("rank")), str(i), key, n=buckets, placed=placed)
+        scratch.drop_table(str(i - 1))
         got = seen.get
         held = got["held"]
         log.append({"iter": i, "l1_error": got["err"], "mass": got["mass"], "dangling": held, "seconds": time.time() - began})
         if tol is not None and got["err"] < tol:
             break
-    scratch.drop_table("edges")
-    return Ranks(ranks.select("id", "rank"), log)
+    # what a lazy result reads must not hang on a table's name
+    last = spark.read.schema(ranks.schema).parquet(scratch.path(str(len(log))))
+    scratch.keep_only(str(len(log)))
+    return Ranks(last.select("id", "rank"), log)
 
 
 def rank_vertex(g: Graph, alpha: float = 0.85, iterations: int = 10) -> Ranks:
@@ -210,6 +239,8 @@ def rank_delta(g: Graph, eps: float = 1e-9, alpha: float = 0.85, max_iter: int =
         log.append({"iter": i, "active": left, "seconds": time.time() - began})
         if not left:
             break
+    else:
+        raise RuntimeError(f"residuals stay above {eps} after {max_iter} iterations")
     return Ranks(state.select("id", (F.col("rank") + F.col("residual")).alias("rank")), log)
 
 

@@ -254,7 +254,7 @@ def scaled(spark, g: Graph, **how) -> DataFrame:
 
 for _n, _w, _how in (
     ("rank_push_part_next", "part_next", {}), ("rank_push_uncombined", "part_next", {"combine": False}), ("rank_split_part_next", "part_next", {"mode": "split"}), ("rank_prejoined_part_next", "part_next", {"mode": "prejoined"}),
-    ("rank_salted_part_next", "part_next", {"mode": "prejoined", "salt": 4}), ("rank_pull_part_next", "part_next", {"mode": "pull"}), ("rank_push_user_next", "user_next", {}), ("rank_push_host_path", "host_path", {}),
+    ("rank_salted_part_next", "part_next", {"mode": "prejoined", "hubs": 25}), ("rank_pull_part_next", "part_next", {"mode": "pull"}), ("rank_push_user_next", "user_next", {}), ("rank_push_host_path", "host_path", {}),
     ("rank_dag_leak", "trade_dag", {}), ("urand_rank", "urand_dense", {"mode": "pull"}),
 ):
     register(_n, rank_sql(_w))(lambda spark, d, w=_w, how=_how: scaled(spark, held(spark, d, w), **how))
