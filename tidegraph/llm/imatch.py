@@ -183,7 +183,7 @@ def with_next(docs: DataFrame, lexicon: Lexicon, partitions: int) -> DataFrame:
     ranged = ranged.repartitionByRange(partitions, "doc_id").sortWithinPartitions("doc_id", "z").select(F.spark_partition_id().alias("part"), "doc_id", "z")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, ids, texts, opened = -1, [], [], False
+        part, ids, texts, opened, held = -1, [], [], False, 0
 
         def edge(first: bool) -> pa.RecordBatch:
             k = 0 if first else -1
@@ -197,12 +197,13 @@ def with_next(docs: DataFrame, lexicon: Lexicon, partitions: int) -> DataFrame:
                 part, t = p, unpack(z).decode()
                 ids.append(d)
                 texts.append(t)
+                held += len(t)
                 if not opened:
                     yield edge(True)
                     opened = True
-                if len(ids) > _ROWS or sum(map(len, texts[-1:])) > 1 << 20:
+                if len(ids) > _ROWS or held > 1 << 20:
                     yield from done(part, ids, texts)
-                    ids, texts = ids[-1:], texts[-1:]
+                    ids, texts, held = ids[-1:], texts[-1:], len(t)
         if opened:
             yield from done(part, ids, texts)
             yield edge(False)

@@ -103,8 +103,8 @@ def _key_counts(docs: DataFrame, order: int) -> DataFrame:
 
 
 def fit(docs: DataFrame, learn: Column, how: LanguageId = LanguageId()) -> LanguageModel:
-    """Learns from the rows of docs (doc_id, text, lang) for which learn is true and text and lang aren't null."""
-    rows = docs.where(learn & F.col("lang").isNotNull() & F.col("text").isNotNull())
+    """Learns from the rows of docs (doc_id, text, lang) for which learn is true and neither of the three is null."""
+    rows = docs.where(learn & F.col("doc_id").isNotNull() & F.col("lang").isNotNull() & F.col("text").isNotNull())
     share = {r["lang"]: how.rows_per_language / r["count"] for r in rows.groupBy("lang").count().collect()}
     drawn = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(20)), F.lit(1 << 20)) / (1 << 20)
     if any(s < 1 for s in share.values()):

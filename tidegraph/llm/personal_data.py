@@ -305,9 +305,11 @@ _MAY[65:91] = False
 
 
 def _texts(column: pa.Array):
-    """Each text that may hold a span, else None: no digit, no sign of an address or assignment, no bracket, no access key."""
+    """Each text that may hold a span, else None: no digit, no sign of an address or assignment, no bracket, no twenty capitals."""
     for block in blocks(column):
         flags = _MAY[block.data] | (block.data == 91) | (block.data == 40) | (block.data == 123) | (block.data == 60)
+        capitals = np.concatenate(([0], np.cumsum((block.data >= 65) & (block.data < 91))))
+        flags[: max(len(flags) - 19, 0)] |= capitals[20:] - capitals[:-20] == 20  # where twenty of them start
         may = np.zeros(block.n, bool)
         some = np.flatnonzero(block.lengths)
         if len(some):

@@ -6,7 +6,7 @@ vector holds each coordinate's share of its n-grams, times a constant, so length
 nothing, and the score is a sparse dot product: the mean of the coordinates' weights.
 
 Training takes about train_rows labelled documents at most, chosen by a hash of the id over all,
-each with its whole text.
+each with its whole text, and fewer of them by another hash where they hold more than train_bytes of text.
 
 Cases: null and blank texts get the intercept's score; with no labelled row, or one class only,
 scores lean to the prior (0.5 with no row); null ids and repeated rows are scored as they are; an
@@ -39,6 +39,7 @@ _REPEAT = np.uint64(0xD1B54A32D192ED03)
 class Quality:
     bits: int = 18
     train_rows: int = 4000
+    train_bytes: int = 64 << 20
     epochs: int = 4
     alpha: float = 0.5
     beta: float = 1.0
@@ -126,6 +127,9 @@ def fit(docs: DataFrame, labels: DataFrame, how: Quality = Quality()) -> Quality
         return pa.RecordBatch.from_arrays([batch.column(0), *lists, batch.column(2)], names=["doc_id", "ids", "counts", "label"])
 
     rows = docs.select("doc_id", "text").join(F.broadcast(chosen.select("doc_id", "label")), "doc_id").select("doc_id", "text", "label")
+    long = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    if long > how.train_bytes:
+        rows = rows.where(F.pmod(F.xxhash64("doc_id", F.lit(41)), F.lit(1 << 30)) < int((1 << 30) * how.train_bytes / long))
     got = per_batch(rows, one, "doc_id bigint, ids array<int>, counts array<int>, label int").toArrow().sort_by([("doc_id", "ascending"), ("label", "ascending")])
     ids, counts = got["ids"].combine_chunks(), got["counts"].combine_chunks()
     data = [(i.values.to_numpy(), c.values.to_numpy(), y) for i, c, y in zip(ids, counts, got["label"].to_pylist(), strict=True)]

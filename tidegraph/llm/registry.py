@@ -2,11 +2,10 @@
 
 from __future__ import annotations
 
-import corpus_pipeline
-from tidegraph.llm import op1, op2, op3, op4, op5, op6, op7, op8, op9, op10
+from tidegraph.llm import op1, op2, op3, op4, op5, op6, op7, op8, op9, op10, pipeline
 
 QUERIES = {
-    "pipeline": corpus_pipeline.run,
+    "pipeline": pipeline.run,
     "op1_personal_data": op1.query,
     "op2_near_duplicates": op2.query,
     "op3_lm_scoring": op3.query,
