@@ -72,7 +72,32 @@ def test_analytics(spark):
         analytics.sssp(Graph(spark.createDataFrame([(0, 1, -1.0)], "src bigint, dst bigint, w double")), 0)
 
 
+def test_measures(spark):
+    runs = spark.createDataFrame([("g", "one", 1, 2.0, True), ("g", "other", 1, 4.0, True), ("g", "relaxed", 4, 1.0, False)], "graph string, method string, workers int, seconds double, sequential boolean")
+    got = {r["method"]: (r["speedup"], r["efficiency"]) for r in measures.speedup(runs).collect()}
+    assert got["relaxed"] == (2.0, 0.5) and got["other"] == (0.5, 0.5)
+    g = make(spark, PAIRS)
+    from tidegraph.operators.bfs import bfs_level
+
+    assert measures.teps(bfs_level(g, 0).state, g, 2.0) == 2.0  # four edges leave 0, 1 and 2
+
+
+def test_hash_owner_is_the_published_hash(spark):
+    import struct
+
+    import xxhash
+    from pyspark.sql import functions as F
+
+    from tidegraph.model import owner
+
+    for r in spark.range(50).select("id", owner(F.col("id"), "hash", 7).alias("x")).collect():
+        h = xxhash.xxh64(struct.pack("<q", r["id"]), seed=42).intdigest()
+        assert r["x"] == (h - (1 << 64) if h >> 63 else h) % 7
+
+
 def test_adaptive():
+    assert adaptive.choose_blocks(10, 8) == 1 and adaptive.choose_blocks(1_000_000, 8) == 20 and adaptive.choose_blocks(1 << 40, 8) == 1 << 16
+    assert adaptive.choose_schedule(0.1) == "relaxed" and adaptive.choose_schedule(0.9) == "level"
     assert adaptive.choose_parallelism(10, 8) == 1
     assert adaptive.choose_parallelism(20_000_000, 8) == 24
     assert adaptive.run_all([lambda: 1, lambda: 2]) == [1, 2]

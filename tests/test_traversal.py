@@ -106,6 +106,7 @@ def test_sequential(pairs):
     src, dst = (np.array([p[i] for p in pairs], np.int64) for i in (0, 1))
     ids, parents, levels = bfs.bfs_seq(src, dst, 0)
     assert sorted(zip(ids.tolist(), parents.tolist(), levels.tolist(), strict=True)) == plain(pairs, 0)
+    assert sorted(zip(*(x.tolist() for x in bfs.bfs_sweep(src, dst, 0)), strict=True)) == plain(pairs, 0)
 
 
 def test_ownership_by_chain_needs_one_round(spark):
@@ -116,6 +117,48 @@ def test_ownership_by_chain_needs_one_round(spark):
     assert bfs.bfs_relaxed(g, 0, how="cyclic", blocks=4).rounds == 10
 
 
+def test_blocks_beyond_the_vertices_hubs_and_no_edges(spark):
+    pairs = [(0, i) for i in range(1, 30)] + [(i, i + 1) for i in range(29)] + [(29, 40), (40, 0)]
+    g, want = make(spark, pairs), plain(pairs, 0)
+    assert rows(bfs.bfs_relaxed(g, 0, how="cyclic", blocks=50).state) == want
+    assert rows(bfs.bfs_relaxed(g, 0, how="cyclic", blocks=2, hub_edges=5).state) == want  # 0 is followed by a join
+    assert rows(bfs.bfs_relaxed(g, 0, how="cyclic", blocks=1, block_edges=10).state) == want  # blocks are doubled
+    lone = make(spark, [])
+    assert rows(bfs.bfs_relaxed(lone, 3).state) == rows(bfs.bfs_level(lone, 3).state) == [(3, 3, 0)]
+    with pytest.raises(RuntimeError):
+        bfs.bfs_relaxed(g, 0, how="cyclic", blocks=50, max_rounds=1)
+
+
+def test_depth_first_order_by_recursion(spark):
+    from tidegraph.plans.method_queries import held
+    from tidegraph.plans.workloads import OFFSETS
+
+    g = held(spark, "/root/testdata/sf0.001", "page_path")
+    near = {}
+    for r in g.edges.collect():
+        near.setdefault(r["src"], []).append(r["dst"])
+    want, seen = [], set()
+
+    def visit(v, parent, level):
+        seen.add(v)
+        want.append((len(want), v, parent, level))
+        for w in sorted(near.get(v, [])):
+            if w not in seen:
+                visit(w, v, level + 1)
+
+    visit(OFFSETS["page"], OFFSETS["page"], 0)
+    assert sorted(map(tuple, bfs.dfs_range(g, OFFSETS["page"]).select("ord", "id", "parent", "level").collect())) == want
+
+
+def test_rounds_of_the_blueprint(spark):
+    from tidegraph.plans.method_queries import held
+
+    got = bfs.bfs_relaxed(held(spark, "/root/testdata/sf0.01", "part_supplier"), 0, how="cyclic", blocks=8)
+    total = {k: sum(x[k] for x in got.log) for k in ("remote", "corrections", "accepted", "rejected", "combined")}
+    assert got.rounds == 3 and (total["remote"], total["corrections"]) == (97312, 761)
+    assert total["accepted"] + total["rejected"] == total["combined"]
+
+
 def test_limits_and_views(spark):
     g = make(spark, HAND["path"][0])
     assert rows(bfs.bfs_level(g, 0, max_level=1).state) == [(0, 0, 0), (1, 0, 1)]

@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tidegraph.functions import measures
+from tidegraph.functions.adaptive import run_all
 from tidegraph.model import OFFSETS, Graph, dense_ids, owner
-from tidegraph.operators import analytics, bfs, components, rank
+from tidegraph.operators import analytics, bfs, components, planner, rank
 from tidegraph.plans.scratch import Scratch
 from tidegraph.plans.workloads import SQL as EDGES
 from tidegraph.plans.workloads import graph
@@ -42,6 +44,13 @@ def held(spark, d: str, name: str) -> Graph:
     return Graph(Scratch(spark, "edges").save(g.edges, name))
 
 
+def bounded(edges: DataFrame, most: int = 50_000_000) -> pa.Table:
+    """All edges on the driver, for methods of one process; counted first, and refused if too many."""
+    if (n := edges.count()) > most:
+        raise ValueError(f"{n} edges are too many for one process")
+    return edges.toArrow()
+
+
 def root_of(name: str, d: str | None = None) -> int:
     return ROOTS.get(name, 0)
 
@@ -74,14 +83,14 @@ for _w in ("part_supplier", "order_part", "order_part_window", "copurchase", "pa
     register(f"bfs_level_{_w}", bfs_sql(_w, STATE_SQL))(lambda spark, d, w=_w: bfs.bfs_level(held(spark, d, w), root_of(w)).state)
 register("bfs_level_order_chain", bfs_sql("order_chain", STATE_SQL, _CHAIN))(lambda spark, d: bfs.bfs_level(held(spark, d, "order_chain"), chain_root(spark, d)).state)
 for _w in ("part_supplier", "order_part", "order_part_window", "page_path", "urand_dense"):
-    register(f"bfs_relaxed_{_w}", bfs_sql(_w, STATE_SQL))(lambda spark, d, w=_w: bfs.bfs_relaxed(held(spark, d, w), root_of(w), how="cyclic").state)
+    register(f"bfs_relaxed_{_w}", bfs_sql(_w, STATE_SQL))(lambda spark, d, w=_w: bfs.bfs_relaxed(held(spark, d, w), root_of(w), how="cyclic", blocks=8).state)
 
 
 @register("bfs_relaxed_order_chain", bfs_sql("order_chain", STATE_SQL, _CHAIN))
 def _relaxed_chain(spark, d):
     """Ids made dense in chain order, so that blocks hold whole chains."""
     g, root, to, n = chained(spark, d)
-    found = bfs.bfs_relaxed(g, root, how="block", n=n).state
+    found = bfs.bfs_relaxed(g, root, how="block", blocks=8, n=n).state
     back = to.select("o_orderkey", "id")
     parent = back.select(F.col("o_orderkey").alias("p"), F.col("id").alias("parent"))
     return found.join(back, "id").join(parent, "parent").select(F.col("o_orderkey").alias("id"), F.col("p").alias("parent"), "level")
@@ -101,7 +110,7 @@ register("bfs_uncombined", bfs_sql("part_supplier", STATE_SQL))(lambda spark, d:
 register("bfs_pull", bfs_sql("part_supplier", STATE_SQL))(lambda spark, d: bfs.bfs_level(held(spark, d, "part_supplier"), 0, direction="pull").state)
 register("bfs_auto", bfs_sql("order_part", STATE_SQL))(lambda spark, d: bfs.bfs_level(held(spark, d, "order_part"), 0, direction="auto").state)
 register("bfs_dropin", bfs_sql("part_supplier", STATE_SQL))(lambda spark, d: bfs.bfs_dropin(graph(spark, d, "part_supplier"), 0).state)
-register("bfs_relaxed_uncombined", bfs_sql("part_supplier", STATE_SQL))(lambda spark, d: bfs.bfs_relaxed(held(spark, d, "part_supplier"), 0, how="hash", combine=False).state)
+register("bfs_relaxed_uncombined", bfs_sql("part_supplier", STATE_SQL))(lambda spark, d: bfs.bfs_relaxed(held(spark, d, "part_supplier"), 0, how="hash", blocks=8, combine=False).state)
 for _w in ("part_supplier", "order_part_window"):
     register(f"bfs_hops_{_w}", bfs_sql(_w, STATE_SQL))(lambda spark, d, w=_w: bfs.bfs_hops(held(spark, d, w), root_of(w), hops=2, how="cyclic").state)
 register("baseline_vertex_bfs", bfs_sql("part_supplier", STATE_SQL))(lambda spark, d: bfs.bfs_vertex(held(spark, d, "part_supplier"), 0).state)
@@ -110,20 +119,22 @@ register("spmv_bfs", bfs_sql("part_supplier", STATE_SQL))(lambda spark, d: bfs.s
 
 @register("bfs_sequential", bfs_sql("part_supplier", STATE_SQL))
 def _sequential(spark, d):
-    e = graph(spark, d, "part_supplier").edges.toArrow()
+    e = bounded(graph(spark, d, "part_supplier").edges)
     ids, parents, levels = bfs.bfs_seq(e["src"].to_numpy(), e["dst"].to_numpy(), 0)
     return spark.createDataFrame(zip(ids.tolist(), parents.tolist(), levels.tolist(), strict=True), bfs.STATE)
 
 
-@register("bfs_first_invariants", bfs_sql("part_supplier", "SELECT count(*) AS reached, 0::BIGINT AS bad_parents, 0::BIGINT AS too_shallow, 1::BIGINT AS own_roots FROM states"))
+@register("bfs_first_invariants", bfs_sql("part_supplier", "SELECT count(*) AS reached, 0::BIGINT AS bad_parents, 0::BIGINT AS too_shallow, 1::BIGINT AS own_roots, 0::BIGINT AS broken_ways FROM states"))
 def _first(spark, d):
-    """Of the variant in which any first claim stands: reached vertices, parents without an edge, levels below the true ones, roots."""
+    """Of the variant in which any first claim stands: reached vertices, parents without an edge, levels below the true ones, roots,
+    and vertices not one level below their parent (none: every way up ends at the root)."""
     g = held(spark, d, "part_supplier")
-    got = bfs.bfs_relaxed(g, 0, how="cyclic", claim="first").state
+    got = bfs.bfs_relaxed(g, 0, how="cyclic", blocks=8, claim="first").state
     true = bfs.bfs_level(g, 0).state.select("id", F.col("level").alias("exact"))
-    checked = got.join(true, "id").join(g.edges.select(F.col("src").alias("parent"), F.col("dst").alias("id"), F.lit(1).alias("edge")).distinct(), ["parent", "id"], "left")
+    above = got.select(F.col("id").alias("parent"), F.col("level").alias("above"))
+    checked = got.join(true, "id").join(above, "parent", "left").join(g.edges.select(F.col("src").alias("parent"), F.col("dst").alias("id"), F.lit(1).alias("edge")).distinct(), ["parent", "id"], "left")
     one = lambda c: F.coalesce(F.sum(F.when(F.expr(c), 1).otherwise(0)), F.lit(0)).cast("bigint")
-    return checked.agg(F.count(F.lit(1)).alias("reached"), one("edge is null and level > 0").alias("bad_parents"), one("level < exact").alias("too_shallow"), one("parent = id").alias("own_roots"))
+    return checked.agg(F.count(F.lit(1)).alias("reached"), one("edge is null and level > 0").alias("bad_parents"), one("level < exact").alias("too_shallow"), one("parent = id").alias("own_roots"), one("level > 0 and not coalesce(above + 1 = level, false)").alias("broken_ways"))
 
 
 register("bfs_levels_profile", bfs_sql("order_part", "SELECT level::INTEGER AS level, count(*) AS vertices FROM states GROUP BY level"))(
@@ -172,19 +183,19 @@ def _claims(spark, d):
 def _rounds(spark, d):
     """Global steps of the level-wise and the relaxed search, with claims between blocks."""
     rows = []
-    for w in ("part_supplier", "order_part_window"):
+    for w in ("part_supplier", "order_part_window", "urand_dense"):
         g = held(spark, d, w)
-        a, b = bfs.bfs_level(g, root_of(w)), bfs.bfs_relaxed(g, root_of(w), how="cyclic")
+        a, b = bfs.bfs_level(g, root_of(w)), bfs.bfs_relaxed(g, root_of(w), how="cyclic", blocks=8)
         rows.append((w, a.rounds, b.rounds, sum(x["remote"] for x in b.log), sum(x["corrections"] for x in b.log)))
     g, root, _, n = chained(spark, d)
-    a, b = bfs.bfs_level(g, root), bfs.bfs_relaxed(g, root, how="block", n=n)
+    a, b = bfs.bfs_level(g, root), bfs.bfs_relaxed(g, root, how="block", blocks=8, n=n)
     rows.append(("order_chain", a.rounds, b.rounds, sum(x["remote"] for x in b.log), sum(x["corrections"] for x in b.log)))
     return spark.createDataFrame(rows, "graph string, level_rounds int, relaxed_rounds int, remote bigint, corrections bigint")
 
 
 @register("load_balance_relaxed")
 def _balance(spark, d):
-    return measures.load_balance(bfs.bfs_relaxed(held(spark, d, "part_supplier"), 0, how="cyclic").load)
+    return measures.load_balance(bfs.bfs_relaxed(held(spark, d, "part_supplier"), 0, how="cyclic", blocks=8).load)
 
 
 @register("load_balance_level", bfs_sql("part_supplier", "SELECT level::INTEGER AS round, blk::INTEGER AS blk, count(*) AS expanded FROM (SELECT level, s.id % 8 AS blk FROM states s JOIN e ON e.src = s.id) GROUP BY 1, 2"))
@@ -228,6 +239,34 @@ register("urand_graph", EDGES["urand_dense"])(lambda spark, d: graph(spark, d, "
 register("urand_bfs", bfs_sql("urand_dense", STATE_SQL))(lambda spark, d: bfs.bfs_hops(held(spark, d, "urand_dense"), 0, hops=1, how="cyclic").state)
 
 
+_PLANNED = {
+    "part_supplier": f"SELECT src % b AS x, dst % b AS y FROM ({EDGES['part_supplier']}), q",
+    "order_chain": f"""SELECT least(floor(s.id * b / n), b - 1) AS x, least(floor(t.id * b / n), b - 1) AS y FROM ({EDGES["order_chain"]}) e JOIN ids s ON s.o_orderkey = e.src JOIN ids t ON t.o_orderkey = e.dst, q, (SELECT count(*) AS n FROM orders)""",
+    "urand_sparse": f"SELECT src % b AS x, dst % b AS y FROM ({EDGES['urand_sparse']}), q",
+}
+
+
+@register(
+    "planner_choices",
+    "WITH ids AS (SELECT o_orderkey, row_number() OVER (ORDER BY o_custkey, o_orderdate, o_orderkey) - 1 AS id FROM orders) "
+    + " UNION ALL ".join(
+        f"SELECT '{w}' AS graph, edges, b AS blocks, cut, CASE WHEN cut / edges < 0.5 THEN 'relaxed' ELSE 'level' END AS schedule FROM (WITH m AS (SELECT count(*) AS edges FROM ({EDGES[w]})), q AS (SELECT edges, greatest(1, ceil(edges / 16777216), least(32, ceil(edges / 50000)))::INTEGER AS b FROM m) SELECT any_value(edges) AS edges, any_value(b) AS b, count(*) FILTER (x <> y) AS cut FROM ({cut}), q)"
+        for w, cut in _PLANNED.items()
+    ),
+)
+def _choices(spark, d):
+    """Blocks and schedule that counts choose for three graphs and eight cores; their jobs run together."""
+    chain, _, _, n = chained(spark, d)
+    graphs = {"part_supplier": (held(spark, d, "part_supplier"), "cyclic", None), "order_chain": (chain, "block", n), "urand_sparse": (held(spark, d, "urand_sparse"), "cyclic", None)}
+    made = run_all([lambda g=g, how=how, n=n: planner.plan(g, how, n, cores=8) for g, how, n in graphs.values()])
+    return spark.createDataFrame([(w, p.edges, p.blocks, p.cut, p.schedule) for w, p in zip(graphs, made, strict=True)], "graph string, edges bigint, blocks int, cut bigint, schedule string")
+
+
+@register("bfs_planned", bfs_sql("part_supplier", STATE_SQL))
+def _planned(spark, d):
+    return planner.search(held(spark, d, "part_supplier"), 0, "cyclic")[0].state
+
+
 # -- ranks -----------------------------------------------------------------------------------------
 
 
@@ -269,7 +308,7 @@ def _vertex_rank(spark, d):
 
 @register("rank_sequential", rank_sql("part_next"))
 def _rank_seq(spark, d):
-    e = graph(spark, d, "part_next").edges.toArrow()
+    e = bounded(graph(spark, d, "part_next").edges)
     s, t = e["src"].to_numpy(), e["dst"].to_numpy()
     ids = np.unique(np.concatenate((s, t)))
     got, _ = rank.rank_seq(s, t, ids, tol=None, max_iter=K)
@@ -313,8 +352,32 @@ def _blocks(spark, d):
 register("rank_topk", rank_sql("part_next", f"SELECT id, round(rank * n, 6) AS rank FROM (SELECT id, rank FROM r{K} ORDER BY rank DESC, id LIMIT 10), n"))(
     lambda spark, d: rank.top_k(rank.rank(g := held(spark, d, "part_next"), tol=None, max_iter=K).ranks, 10).select("id", F.round(F.col("rank") * g.vertices.count(), 6).alias("rank"))
 )
-register("rank_tolerance")(lambda spark, d: measures.log_frame(spark, rank.rank(held(spark, d, "trade_dag"), tol=1e-6).log).select("iter", "l1_error", "mass", "dangling"))
-register("rank_personalized")(lambda spark, d: rank.rank(held(spark, d, "part_next"), tol=None, max_iter=K, restart=spark.createDataFrame([(0, 0.5), (1, 0.5)], "id bigint, p double"), dangling="redistribute").ranks)
+
+
+#: Iterations within which the acyclic graph's ranks stand still.
+_STILL = 8
+_LOG = " UNION ALL ".join(f"SELECT {i} AS iter, sum(abs(a.rank - b.rank)) AS e, sum(a.rank) AS m, coalesce(sum(a.rank) FILTER (a.id NOT IN (SELECT src FROM deg)), 0) AS h FROM r{i} a JOIN r{i - 1} b ON a.id = b.id" for i in range(1, _STILL + 1))
+
+
+@register("rank_tolerance", rank_sql("trade_dag", f", log AS MATERIALIZED ({_LOG}) SELECT iter, round(e, 9) AS l1_error, round(m, 9) AS mass, round(h, 9) AS dangling FROM log WHERE iter <= (SELECT min(iter) FROM log WHERE e < 1e-6)", _STILL))
+def _tolerance(spark, d):
+    log = measures.log_frame(spark, rank.rank(held(spark, d, "trade_dag"), tol=1e-6, max_iter=_STILL).log)
+    return log.select(F.col("iter").cast("int").alias("iter"), *(F.round(c, 9).alias(c) for c in ("l1_error", "mass", "dangling")))
+
+
+def personal_sql(name: str, p: str, alpha: float = 0.85) -> str:
+    """As rank_sql, restarting at the rows of p (id, p), which also get what vertices without out-edges hold."""
+    out = [f"WITH e AS MATERIALIZED (SELECT DISTINCT src, dst FROM ({EDGES[name]})), deg AS MATERIALIZED (SELECT src, count(*) AS d FROM e GROUP BY src)", f"r0 AS MATERIALIZED (SELECT id, coalesce(p, 0) AS p, coalesce(p, 0) AS rank FROM (SELECT src AS id FROM e UNION SELECT dst FROM e) v LEFT JOIN ({p}) q USING (id))"]
+    for i in range(1, K + 1):
+        out.append(f"s{i} AS (SELECT e.dst AS id, sum(rank / d) AS s FROM e JOIN deg USING (src) JOIN r{i - 1} r ON r.id = e.src GROUP BY e.dst)")
+        out.append(f"r{i} AS MATERIALIZED (SELECT r.id, p, {1 - alpha!r} * p + {alpha!r} * (coalesce(s, 0) + h * p) AS rank FROM r{i - 1} r LEFT JOIN s{i} USING (id), (SELECT coalesce(sum(rank), 0) AS h FROM r{i - 1} WHERE id NOT IN (SELECT src FROM deg)) x)")
+    return ",\n".join(out) + f"\nSELECT id, round(rank, 9) AS rank FROM r{K}"
+
+
+@register("rank_personalized", personal_sql("part_next", "SELECT 0::BIGINT AS id, 0.5 AS p UNION ALL SELECT 1, 0.5"))
+def _personalized(spark, d):
+    start = spark.createDataFrame([(0, 0.5), (1, 0.5)], "id bigint, p double")
+    return rank.rank(held(spark, d, "part_next"), tol=None, max_iter=K, restart=start, dangling="redistribute").ranks.select("id", F.round("rank", 9).alias("rank"))
 
 
 @register("rank_delta_vs_exact")
@@ -334,6 +397,12 @@ def _components(spark, d):
     return components.connected_components(e, Scratch(spark, "components"))
 
 
+@register("connected_components_whole", _CC.format(edges=EDGES["page_path"]))
+def _components_whole(spark, d):
+    e = graph(spark, d, "page_path").edges.select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    return components.connected_components(e, Scratch(spark, "components"))
+
+
 _UND = f"SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM ({EDGES['copurchase']}) WHERE src <> dst"
 register("triangle_count", f"WITH e AS MATERIALIZED ({_UND}) SELECT count(*) AS triangles FROM e x JOIN e y ON x.a = y.a AND x.b < y.b JOIN e z ON z.a = x.b AND z.b = y.b")(
     lambda spark, d: analytics.triangles(graph(spark, d, "copurchase")).agg(F.count(F.lit(1)).alias("triangles"))
@@ -347,7 +416,14 @@ deg AS (SELECT id, count(*) AS degree FROM (SELECT a AS id FROM e UNION ALL SELE
 SELECT d.id, degree, coalesce(triangles, 0) AS triangles, round(CASE WHEN degree > 1 THEN 2.0 * coalesce(triangles, 0) / (degree * (degree - 1)) ELSE 0 END, 6)::DOUBLE AS clustering FROM deg d LEFT JOIN per ON per.id = d.id""",
 )(lambda spark, d: analytics.local_clustering(held(spark, d, "knn")).withColumn("clustering", F.round("clustering", 6)))
 register("knn_graph", EDGES["knn"])(lambda spark, d: graph(spark, d, "knn").edges)
-register("k_core")(lambda spark, d: analytics.k_core(held(spark, d, "knn"), 5))
+#: Rounds of peeling that the SQL unrolls.
+_PEELS = 25
+register(
+    "k_core",
+    f"WITH c0 AS MATERIALIZED (SELECT a AS s, b AS t FROM ({_KNN_UND}) UNION ALL SELECT b, a FROM ({_KNN_UND})), "
+    + ", ".join(f"c{i} AS MATERIALIZED (SELECT s, t FROM c{i - 1} WHERE s IN (SELECT s FROM c{i - 1} GROUP BY s HAVING count(*) >= 5) AND t IN (SELECT s FROM c{i - 1} GROUP BY s HAVING count(*) >= 5))" for i in range(1, _PEELS + 1))
+    + f" SELECT DISTINCT s AS id FROM c{_PEELS}",
+)(lambda spark, d: analytics.k_core(held(spark, d, "knn"), 5))
 register(
     "motif_counts",
     f"""WITH e AS MATERIALIZED ({_KNN_UND}), d AS MATERIALIZED (SELECT a AS s, b AS t FROM e UNION ALL SELECT b, a FROM e),
@@ -364,13 +440,23 @@ SELECT a, b, shared, round(shared / (x.n + y.n - shared)::DOUBLE, 6) AS similari
 register("degree_centrality", f"WITH e AS MATERIALIZED ({EDGES['trade_dag']}), v AS (SELECT src AS id FROM e UNION SELECT dst FROM e), n AS (SELECT count(*) AS n FROM v) SELECT id, coalesce(d, 0) AS degree, round(coalesce(d, 0) / (n - 1)::DOUBLE, 9) AS centrality FROM v LEFT JOIN (SELECT src, count(*) AS d FROM e GROUP BY src) x ON x.src = v.id, n")(
     lambda spark, d: analytics.degree_centrality(graph(spark, d, "trade_dag")).withColumn("centrality", F.round("centrality", 9))
 )
-register("closeness", " UNION ALL ".join(f"SELECT * FROM ({bfs_sql('part_supplier', f'SELECT {r}::BIGINT AS root, count(*) AS reached, round((count(*) - 1) / sum(level)::DOUBLE, 9) AS closeness FROM states', str(r))})" for r in (0, 1)))(
+# both are of two given roots, 0 and 1, not sums over all vertices
+register("closeness_two_roots", " UNION ALL ".join(f"SELECT * FROM ({bfs_sql('part_supplier', f'SELECT {r}::BIGINT AS root, count(*) AS reached, round((count(*) - 1) / sum(level)::DOUBLE, 9) AS closeness FROM states', str(r))})" for r in (0, 1)))(
     lambda spark, d: analytics.closeness(held(spark, d, "part_supplier"), [0, 1]).withColumn("closeness", F.round("closeness", 9))
 )
-register("betweenness")(lambda spark, d: analytics.betweenness(held(spark, d, "part_supplier"), [0, 1]))
+register("betweenness_two_roots")(lambda spark, d: analytics.betweenness(held(spark, d, "part_supplier"), [0, 1]))
+
 
+_COST = f"SELECT l_partkey AS src, l_suppkey + {OFFSETS['supplier']} AS dst, min(l_quantity) AS w FROM lineitem GROUP BY 1, 2"
 
-@register("sssp_weighted")
+
+@register(
+    "sssp_weighted",
+    f"""WITH RECURSIVE one AS MATERIALIZED ({_COST}), e AS MATERIALIZED (SELECT src, dst, w FROM one UNION ALL SELECT dst, src, w FROM one),
+far(id, dist) USING KEY (id) AS (SELECT 0::BIGINT, 0.0::DOUBLE UNION (
+  SELECT e.dst, min(f.dist + e.w) FROM far f JOIN e ON e.src = f.id LEFT JOIN recurring.far r ON r.id = e.dst WHERE r.dist IS NULL OR f.dist + e.w < r.dist GROUP BY e.dst))
+SELECT id, dist FROM far""",
+)
 def _sssp(spark, d):
     """Distances from part 0 where an edge costs the quantity of its first line."""
     lines = spark.read.parquet(f"{d}/lineitem.parquet")

@@ -151,13 +151,9 @@ def knn(spark, d, k: int = 5, block: int = 2048) -> DataFrame:
     return pairs.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k).select("src", "dst")
 
 
-K_BY_ROWS = ((10_000, 10), (100_000, 13), (10**12, 16))
-
-
 def urand_k(spark, d) -> int:
-    """10, 13 or 16 for the three scales, by the number of order lines."""
-    rows = read(spark, d, "lineitem").count()
-    return next(k for most, k in K_BY_ROWS if rows < most)
+    """The least k for which ten times 2^k reaches the number of order lines: 10, 13 and 16 on the given tables."""
+    return max(1, (-(-read(spark, d, "lineitem").count() // 10) - 1).bit_length())
 
 
 def urand_dense(spark, d) -> DataFrame:
@@ -200,7 +196,7 @@ _PS = f"SELECT l_partkey AS src, l_suppkey + {_S} AS dst FROM lineitem"
 
 def _urand_sql(degree: int) -> str:
     draw = lambda c: f"(('0x' || substr(md5('42:{c}:' || i), 1, 15))::BIGINT % n)"
-    size = "(SELECT CASE WHEN count(*) < 10000 THEN 1024 WHEN count(*) < 100000 THEN 8192 ELSE 65536 END AS n FROM lineitem)"
+    size = "(SELECT (1::BIGINT << greatest(1, ceil(log2(greatest(ceil(count(*) / 10.0), 1))))::INTEGER) AS n FROM lineitem)"
     pairs = f"SELECT {draw('a')} AS a, {draw('b')} AS b FROM (SELECT n, unnest(range(0, n * {degree} // 2)) AS i FROM {size})"
     return f"SELECT DISTINCT a AS src, b AS dst FROM (SELECT a, b FROM ({pairs}) UNION ALL SELECT b, a FROM ({pairs})) WHERE a <> b"
 

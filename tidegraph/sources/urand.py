@@ -8,6 +8,8 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -27,6 +29,10 @@ def urand(spark: SparkSession, k: int, avg_degree: int = 16, seed: int = 42, dir
     return drawn.distinct()
 
 
+#: Draws in a batch.
+_BATCH = 1 << 16
+
+
 class UrandSource(DataSource):
     """format("urand") with options k, degree, seed, partitions: the draws, in one direction, loops and repeats included."""
 
@@ -56,6 +62,9 @@ class _Reader(DataSourceReader):
         cuts = [self.draws * i // self.parts for i in range(self.parts + 1)]
         return [_Range(a, b) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
 
-    def read(self, partition: _Range) -> Iterator[tuple[int, int]]:
-        for i in range(partition.first, partition.last):
-            yield tuple(int(hashlib.md5(f"{self.seed}:{c}:{i}".encode()).hexdigest()[:15], 16) % self.n for c in "ab")
+    def read(self, partition: _Range) -> Iterator[pa.RecordBatch]:
+        for lo in range(partition.first, partition.last, _BATCH):
+            draws = range(lo, min(lo + _BATCH, partition.last))
+            ends = [np.frombuffer(b"".join(hashlib.md5(b"%b%d" % (seed, i)).digest()[:8] for i in draws), ">u8") for seed in (f"{self.seed}:{c}:".encode() for c in "ab")]
+            # the first 60 bits
+            yield pa.RecordBatch.from_arrays([pa.array(((e >> np.uint64(4)) % np.uint64(self.n)).astype(np.int64)) for e in ends], names=["src", "dst"])
