@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import pytest
 
+from tidegraph.functions import adaptive
 from tidegraph.model import EDGES, Graph
 from tidegraph.operators import bfs, rank
 from tidegraph.plans.scratch import Scratch
@@ -34,6 +35,15 @@ def test_relaxed_round_moves_claims_only(spark, plans):
     assert plans("round-2") == 0 and plans("claims-1") == 1 and plans("claims-2") == 1
 
 
+@pytest.mark.parametrize("rows", [0, 500_000])
+def test_level_moves_claims_only(spark, plans, monkeypatch, rows):
+    """Whether or not the frontier is broadcast."""
+    monkeypatch.setattr(bfs, "small", lambda df, n: adaptive.small(df, n, rows))
+    got = bfs.bfs_level(Graph(spark.createDataFrame(CHAIN, EDGES)), 0)
+    assert got.rounds > 2 and got.state.count() == 200
+    assert plans("state") == 1
+
+
 @pytest.mark.parametrize(("how", "most"), [({}, 1), ({"mode": "prejoined"}, 1), ({"mode": "split", "how": "cyclic", "blocks": 4}, 1), ({"combine": False}, 1)])
 def test_rank_iteration_moves_sums_only(spark, plans, how, most):
     rank.rank(Graph(spark.createDataFrame(CHAIN, EDGES)), tol=None, max_iter=2, **how)

@@ -112,42 +112,43 @@ def bfs_dropin(g: Graph, root: int) -> Traversal:
 def bfs_level(g: Graph, root: int, max_level: int | None = None, combine: bool = True, direction: str = "push", targets: DataFrame | None = None) -> Traversal:
     """One global step a level.
 
-    Levels are append-only slices on shared storage. Edges are bucketed by source once, so only the frontier
-    moves to join them, and it is broadcast while its counted rows keep within the bound. combine=False sends one row an edge to
+    Edges are bucketed by source and reached vertices by id, in as many buckets, with a folder a level that is only
+    added to. A step therefore moves claims and nothing else: the frontier lies beside its edges (and is broadcast while
+    its counted rows keep within the bound), what was reached beside the claims for it. combine=False sends one row an edge to
     the owner before any reduction. direction: push along out-edges, pull (unreached vertices look for
     a reached in-neighbour), or auto, which pulls while the frontier holds over a tenth of the vertices.
     Stops early when all targets (id) are reached.
     """
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs")
-    edges = scratch.save_bucketed(g.edges.select("src", "dst"), "edges", "src")
-    front = scratch.save(_seed(spark, root), "0")
-    paths, log, n, depth = [scratch.path("0")], [], 1, 0
+    edges = g.edges.select("src", "dst")
+    buckets = scratch.buckets(edges)
+    edges = scratch.save_bucketed(edges, "edges", "src", n=buckets)
+    state = scratch.save_bucketed(_seed(spark, root), "state", "id", n=buckets, folders=("level",))
+    log, n, depth = [], 1, 0
     whole = g.vertices.count() if direction != "push" else 0
     while n and (max_level is None or depth < max_level):
         began = time.time()
+        step = small(state.where(F.col("level") == depth).select(F.col("id").alias("src")), n)
         depth += 1
-        seen = spark.read.schema(STATE).parquet(*paths)
-        step = small(front.select(F.col("id").alias("src")), n)
+        seen = state.select(F.col("id").alias("dst"))
         pull = direction == "pull" or direction == "auto" and n * 10 > whole
         if pull:
-            open_ = edges.join(seen.select(F.col("id").alias("dst")), "dst", "left_anti")
+            open_ = edges.join(seen, "dst", "left_anti")
             claims = open_.join(step, "src", "left_semi")
         else:
             claims = edges.join(step, "src")
         if not combine:
             claims = claims.repartition("dst")
-        claims = claims.groupBy("dst").agg(F.min("src").alias("parent"), F.count(F.lit(1)).alias("sent"))
-        found = claims.join(seen.select(F.col("id").alias("dst")), "dst", "left_anti").select(F.col("dst").alias("id"), "parent", F.lit(depth).alias("level"))
-        front = scratch.save(found, str(depth))
-        active, n = n, front.count()
+        claims = claims.groupBy("dst").agg(F.min("src").alias("parent"))
+        found = claims.join(seen, "dst", "left_anti").select(F.col("dst").alias("id"), "parent", F.lit(depth).alias("level"))
+        state = scratch.save_bucketed(found, "state", "id", n=buckets, folders=("level",), placed=True, append=True)
+        active, n = n, state.where(F.col("level") == depth).count()
         log.append({"round": depth, "active": active, "found": n, "seconds": time.time() - began})
-        if n:
-            paths.append(scratch.path(str(depth)))
-        if targets is not None and targets.join(spark.read.schema(STATE).parquet(*paths), "id", "left_anti").isEmpty():
+        if targets is not None and targets.join(state, "id", "left_anti").isEmpty():
             break
     scratch.drop_table("edges")
-    return Traversal(spark.read.schema(STATE).parquet(*paths), log)
+    return Traversal(scratch.release("state", STATE), log)
 
 
 def bfs_multi(g: Graph, roots: list[int], max_level: int | None = None) -> DataFrame:
@@ -155,17 +156,19 @@ def bfs_multi(g: Graph, roots: list[int], max_level: int | None = None) -> DataF
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs-multi")
     schema = f"root bigint, {STATE}"
+    edges = scratch.save_bucketed(g.edges.select("src", "dst"), "edges", "src")
     front = scratch.save(spark.createDataFrame([(r, r, r, 0) for r in roots], schema), "0")
     paths, depth = [scratch.path("0")], 0
     while max_level is None or depth < max_level:
         depth += 1
         seen = spark.read.schema(schema).parquet(*paths)
-        claims = g.edges.join(front.select("root", F.col("id").alias("src")), "src").groupBy("root", "dst").agg(F.min("src").alias("parent"))
+        claims = edges.join(front.select("root", F.col("id").alias("src")), "src").groupBy("root", "dst").agg(F.min("src").alias("parent"))
         found = claims.withColumnRenamed("dst", "id").join(seen.select("root", "id"), ["root", "id"], "left_anti")
         front = scratch.save(found.select("root", "id", "parent", F.lit(depth).alias("level")), str(depth))
         if front.isEmpty():
             break
         paths.append(scratch.path(str(depth)))
+    scratch.drop_table("edges")
     return spark.read.schema(schema).parquet(*paths)
 
 
@@ -505,7 +508,7 @@ def spmv_bfs(g: Graph, root: int) -> Traversal:
     """Levels by products of the frontier vector with the matrix, masked by what was seen."""
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs-spmv")
-    edges = g.edges.select("src", "dst", F.lit(1).alias("w"))
+    edges = scratch.save_bucketed(g.edges.select("src", "dst", F.lit(1).alias("w")), "edges", "src")
     front = spark.createDataFrame([(root, 1)], "id bigint, value int")
     level = scratch.save(front.select("id", F.lit(0).alias("level")), "0")
     paths, depth = [scratch.path("0")], 0
@@ -518,6 +521,7 @@ def spmv_bfs(g: Graph, root: int) -> Traversal:
             break
         paths.append(scratch.path(str(depth)))
         front = level.select("id", F.lit(1).alias("value"))
+    scratch.drop_table("edges")
     return Traversal(smallest_parents(g, spark.read.schema("id bigint, level int").parquet(*paths)), [{"round": i} for i in range(1, depth + 1)])
 
 
