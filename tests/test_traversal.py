@@ -221,3 +221,16 @@ def test_scan_prunes_and_pushes(spark):
 
     plan = entry.queries()["scan_parquet_pruned"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().toString()
     assert "PushedFilters: [IsNotNull(l_shipdate), GreaterThanOrEqual" in plan and "l_tax" not in plan.split("== Physical Plan ==")[1]
+
+
+@pytest.mark.parametrize(("most", "tile"), [(1 << 16, 1024), (40, 7), (1000, 16)])
+def test_nearest_do_not_depend_on_blocks_or_tiles(spark, tmp_path, most, tile):
+    from tidegraph.plans import workloads
+
+    rng = np.random.default_rng(3)
+    x = rng.integers(-3, 4, (150, 4)).astype(float)  # many ties, repeated rows
+    x[(x == 0).all(axis=1), 0] = 1
+    spark.createDataFrame([(i * 3, v.tolist()) for i, v in enumerate(x)], "vec_id bigint, embedding array<double>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    c = np.round((x @ x.T) / np.outer(*[np.linalg.norm(x, axis=1)] * 2), 9)
+    want = {(i * 3, j * 3) for i in range(150) for j in sorted((j for j in range(150) if j != i), key=lambda j: (-c[i, j], j))[:5]}
+    assert {tuple(r) for r in workloads.knn(spark, str(tmp_path), most=most, tile=tile).collect()} == want

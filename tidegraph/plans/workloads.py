@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -122,29 +123,44 @@ def turns(spark, d) -> DataFrame:
     return t.where("dst is not null")
 
 
-def knn(spark, d, k: int = 5, block: int = 2048) -> DataFrame:
-    """k nearest by cosine, ties by id: the set of all vectors against all, block by block in numpy."""
+def knn(spark, d, k: int = 5, most: int = 1 << 16, tile: int = 1024) -> DataFrame:
+    """k nearest by cosine, ties by id: the set of all vectors against all, block by block in numpy.
+
+    Every block meets every other, so each vector is sent once a block: blocks are as large as a task holds (`most`
+    vectors), and smaller only while there are too few pairs of blocks for the cores. Within a pair, tiles of asking and
+    of held vectors bound the matrix of likenesses.
+    """
     import numpy as np
     import pyarrow as pa
 
     v = read(spark, d, "embeddings").select("vec_id", "embedding")
-    blocks = max(1, -(-v.count() // block))
+    n = v.count()
+    blocks = max(1, -(-n // most), min(-(-n // (2 * tile)), math.isqrt(2 * spark.sparkContext.defaultParallelism)))
     placed = v.withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))
     every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
     asks = placed.select(F.col("b").alias("q"), every.alias("b"), F.col("vec_id"), F.col("embedding"))
     held = placed.withColumn("q", every).select("q", "b", "vec_id", "embedding")
 
+    def matrix(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        x = np.stack(t["embedding"].to_numpy(zero_copy_only=False)).astype(float) if t.num_rows else np.zeros((0, 1))
+        return t["vec_id"].to_numpy(), x
+
     def one(left: pa.Table, right: pa.Table) -> pa.Table:
-        x, y = (np.stack(t["embedding"].to_numpy(zero_copy_only=False)).astype(float) if t.num_rows else np.zeros((0, 1)) for t in (left, right))
-        if not len(x) or not len(y):
-            return pa.table({"src": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "c": pa.array([], pa.float64())})
-        a, b = left["vec_id"].to_numpy(), right["vec_id"].to_numpy()
-        near = np.round((x @ y.T) / np.outer(np.linalg.norm(x, axis=1), np.linalg.norm(y, axis=1)), 9)
-        near[a[:, None] == b[None, :]] = -np.inf
-        rank = np.lexsort((np.broadcast_to(b, near.shape), -near), axis=1)[:, :k]
-        c = np.take_along_axis(near, rank, 1)
-        keep = c > -np.inf
-        return pa.table({"src": np.repeat(a, rank.shape[1])[keep.reshape(-1)], "dst": b[rank][keep], "c": c[keep]})
+        (a, x), (b, y) = matrix(left), matrix(right)
+        found = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+        xn, yn = np.linalg.norm(x, axis=1), np.linalg.norm(y, axis=1)
+        for i in range(0, len(a) if len(b) else 0, tile):
+            mine, ids, near = a[i : i + tile, None], np.zeros((len(a[i : i + tile]), 0), np.int64), np.zeros((len(a[i : i + tile]), 0))
+            for j in range(0, len(b), 4 * tile):
+                to = slice(j, j + 4 * tile)
+                c = np.round((x[i : i + tile] @ y[to].T) / np.outer(xn[i : i + tile], yn[to]), 9)
+                c[mine == b[to]] = -np.inf
+                ids, near = np.hstack((ids, np.broadcast_to(b[to], c.shape))), np.hstack((near, c))
+                best = np.lexsort((ids, -near), axis=1)[:, :k]
+                ids, near = np.take_along_axis(ids, best, 1), np.take_along_axis(near, best, 1)
+            keep = near > -np.inf
+            found.append((np.broadcast_to(mine, ids.shape)[keep], ids[keep], near[keep]))
+        return pa.table(dict(zip(("src", "dst", "c"), (np.concatenate(x) for x in zip(*found, strict=True)), strict=True)))
 
     pairs = asks.groupBy("q", "b").cogroup(held.groupBy("q", "b")).applyInArrow(one, "src bigint, dst bigint, c double")
     w = Window.partitionBy("src").orderBy(F.desc("c"), "dst")
