@@ -44,6 +44,14 @@ def test_level_moves_claims_only(spark, plans, monkeypatch, rows):
     assert plans("state") == 1
 
 
+@pytest.mark.parametrize(("search", "rows", "moved"), [(lambda g: bfs.bfs_multi(g, [0, 5]), 500_000, 1), (lambda g: bfs.bfs_multi(g, [0, 5]), 0, 2), (lambda g: bfs.spmv_bfs(g, 0).state, 0, 1)])
+def test_reached_vertices_stay(spark, plans, monkeypatch, search, rows, moved):
+    """Claims move in a level, and a large frontier of many roots; edges and reached vertices do not."""
+    monkeypatch.setattr(bfs, "small", lambda df, n: adaptive.small(df, n, rows))
+    assert search(Graph(spark.createDataFrame(CHAIN, EDGES))).count() in (200, 400)
+    assert plans("state") == moved
+
+
 @pytest.mark.parametrize(("how", "most"), [({}, 1), ({"mode": "prejoined"}, 1), ({"mode": "split", "how": "cyclic", "blocks": 4}, 1), ({"combine": False}, 1)])
 def test_rank_iteration_moves_sums_only(spark, plans, how, most):
     rank.rank(Graph(spark.createDataFrame(CHAIN, EDGES)), tol=None, max_iter=2, **how)

@@ -170,6 +170,17 @@ def test_limits_and_views(spark):
         bfs.bfs_seq(np.zeros(5, int), np.zeros(5, int), 0, most=4)
 
 
+def test_many_roots_and_level_order(spark):
+    pairs = [(i, (i * 5 + 1) % 90) for i in range(90)] + [(i, i + 1) for i in range(0, 89, 3)] + [(200, 201)]
+    g = make(spark, pairs)
+    alone = {r: {(s["id"], s["parent"], s["level"]) for s in bfs.bfs_level(g, r).state.collect()} for r in (0, 200, 999)}
+    for roots in ([0, 200, 0, 999], []):  # a repeated root counts once, one without edges reaches itself
+        got = [tuple(r) for r in bfs.bfs_multi(g, roots).select("root", "id", "parent", "level").collect()]
+        assert sorted(got) == sorted((r, *s) for r in set(roots) for s in alone[r])
+    ranged = [tuple(r) for r in bfs.bfs_range(g, 0).select("ord", "id", "parent", "level").collect()]
+    assert sorted(ranged) == [(k, *s) for k, s in enumerate(sorted(alone[0], key=lambda s: (s[2], s[0])))]
+
+
 def test_paths_of_all_deepest_vertices(spark, tmp_path):
     import duckdb
 

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from tidegraph.functions.adaptive import choose_blocks, small
-from tidegraph.model import Graph, owner
+from tidegraph.model import Graph, dense_ids, owner
 from tidegraph.plans.scratch import Scratch
 
 STATE = "id bigint, parent bigint, level int"
@@ -152,24 +152,28 @@ def bfs_level(g: Graph, root: int, max_level: int | None = None, combine: bool =
 
 
 def bfs_multi(g: Graph, roots: list[int], max_level: int | None = None) -> DataFrame:
-    """root, id, parent, level for several roots in one search keyed by (root, id)."""
+    """root, id, parent, level for several distinct roots in one search.
+
+    Reached pairs are bucketed by (root, id), so a level moves its frontier (or broadcasts it, if small) and its claims.
+    """
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs-multi")
     schema = f"root bigint, {STATE}"
-    edges = scratch.save_bucketed(g.edges.select("src", "dst"), "edges", "src")
-    front = scratch.save(spark.createDataFrame([(r, r, r, 0) for r in roots], schema), "0")
-    paths, depth = [scratch.path("0")], 0
-    while max_level is None or depth < max_level:
+    edges = g.edges.select("src", "dst")
+    buckets = scratch.buckets(edges)
+    edges = scratch.save_bucketed(edges, "edges", "src", n=buckets)
+    seeds = [(r, r, r, 0) for r in dict.fromkeys(roots)]
+    state = scratch.save_bucketed(spark.createDataFrame(seeds, schema), "state", ("root", "id"), n=buckets, folders=("level",))
+    n, depth = len(seeds), 0
+    while n and (max_level is None or depth < max_level):
+        front = small(state.where(F.col("level") == depth).select("root", F.col("id").alias("src")), n)
         depth += 1
-        seen = spark.read.schema(schema).parquet(*paths)
-        claims = edges.join(front.select("root", F.col("id").alias("src")), "src").groupBy("root", "dst").agg(F.min("src").alias("parent"))
-        found = claims.withColumnRenamed("dst", "id").join(seen.select("root", "id"), ["root", "id"], "left_anti")
-        front = scratch.save(found.select("root", "id", "parent", F.lit(depth).alias("level")), str(depth))
-        if front.isEmpty():
-            break
-        paths.append(scratch.path(str(depth)))
+        claims = edges.join(front, "src").groupBy("root", F.col("dst").alias("id")).agg(F.min("src").alias("parent"))
+        found = claims.join(state.select("root", "id"), ["root", "id"], "left_anti").select("root", "id", "parent", F.lit(depth).alias("level"))
+        state = scratch.save_bucketed(found, "state", ("root", "id"), n=buckets, folders=("level",), placed=True, append=True)
+        n = state.where(F.col("level") == depth).count()
     scratch.drop_table("edges")
-    return spark.read.schema(schema).parquet(*paths)
+    return scratch.release("state", schema)
 
 
 # -- claims ----------------------------------------------------------------------------------------
@@ -505,24 +509,22 @@ def semiring_spmv(edges: DataFrame, vector: DataFrame, ring: str = "plus_times")
 
 
 def spmv_bfs(g: Graph, root: int) -> Traversal:
-    """Levels by products of the frontier vector with the matrix, masked by what was seen."""
+    """Levels by products of the frontier vector with the matrix, masked by what was seen, which lies beside the matrix."""
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs-spmv")
-    edges = scratch.save_bucketed(g.edges.select("src", "dst", F.lit(1).alias("w")), "edges", "src")
-    front = spark.createDataFrame([(root, 1)], "id bigint, value int")
-    level = scratch.save(front.select("id", F.lit(0).alias("level")), "0")
-    paths, depth = [scratch.path("0")], 0
-    while True:
+    edges = g.edges.select("src", "dst", F.lit(1).alias("w"))
+    buckets = scratch.buckets(edges)
+    edges = scratch.save_bucketed(edges, "edges", "src", n=buckets)
+    state = scratch.save_bucketed(spark.createDataFrame([(root, 0)], "id bigint, level int"), "state", "id", n=buckets, folders=("level",))
+    n, depth = 1, 0
+    while n:
+        front = small(state.where(F.col("level") == depth).select("id", F.lit(1).alias("value")), n)
         depth += 1
-        seen = spark.read.schema("id bigint, level int").parquet(*paths)
-        found = semiring_spmv(edges, front, "or_and").join(seen, "id", "left_anti").select("id", F.lit(depth).alias("level"))
-        level = scratch.save(found, str(depth))
-        if level.isEmpty():
-            break
-        paths.append(scratch.path(str(depth)))
-        front = level.select("id", F.lit(1).alias("value"))
+        found = semiring_spmv(edges, front, "or_and").join(state.select("id"), "id", "left_anti").select("id", F.lit(depth).alias("level"))
+        state = scratch.save_bucketed(found, "state", "id", n=buckets, folders=("level",), placed=True, append=True)
+        n = state.where(F.col("level") == depth).count()
     scratch.drop_table("edges")
-    return Traversal(smallest_parents(g, spark.read.schema("id bigint, level int").parquet(*paths)), [{"round": i} for i in range(1, depth + 1)])
+    return Traversal(smallest_parents(g, scratch.release("state", "id bigint, level int")), [{"round": i} for i in range(1, depth + 1)])
 
 
 # -- views and by-products -------------------------------------------------------------------------
@@ -531,15 +533,10 @@ def spmv_bfs(g: Graph, root: int) -> Traversal:
 def bfs_range(g: Graph, root: int, what: str = "vertices") -> DataFrame:
     """ord, id, parent, level in level order, ids ascending within a level; edges leaves the root out.
 
-    Positions come from counts of the levels before and a number within the level.
+    Ranges of (level, id) are numbered apart, so no task holds a whole level.
     """
-    from pyspark.sql.window import Window
-
     state = bfs_level(g, root).state
-    sizes = state.groupBy("level").agg(F.count(F.lit(1)).alias("size"))
-    before = sizes.select("level", F.coalesce(F.sum("size").over(Window.orderBy("level").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    ranked = state.withColumn("r", F.row_number().over(Window.partitionBy("level").orderBy("id"))).join(F.broadcast(before), "level")
-    out = ranked.select((F.col("before") + F.col("r") - 1).cast("bigint").alias("ord"), "id", "parent", "level")
+    out = dense_ids(state.select(F.struct("level", "id", "parent").alias("at")), "at").select(F.col("id").alias("ord"), "at.id", "at.parent", "at.level")
     return out.where("level > 0") if what == "edges" else out
 
 

@@ -55,15 +55,16 @@ class Scratch:
         df.write.mode("overwrite").parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
-    def save_bucketed(self, df: DataFrame, name: str, key: str, like: DataFrame | None = None, n: int | None = None, sort: tuple[str, ...] = (), folders: tuple[str, ...] = (), placed: bool = False, append: bool = False) -> DataFrame:
-        """Saves df as a table bucketed and sorted by key (then by sort), one file a bucket.
+    def save_bucketed(self, df: DataFrame, name: str, key: str | tuple[str, ...], like: DataFrame | None = None, n: int | None = None, sort: tuple[str, ...] = (), folders: tuple[str, ...] = (), placed: bool = False, append: bool = False) -> DataFrame:
+        """Saves df as a table bucketed and sorted by key, one column or several (then by sort), one file a bucket.
 
         Joins and groups by the key then move the other side only. Without n there are as many buckets as shuffles
         have partitions, or fewer for little data, by the estimated bytes of df, or of like. folders: columns with a folder
         for each value. placed: rows of a bucket are in one task already. append: to the table of that name. Release it with drop_table.
         """
         n = n or self.buckets(like or df)
-        out = (df if placed else df.repartition(n, key)).write.bucketBy(n, key).sortBy(key, *sort).option("path", self.path(name)).format("parquet")
+        keys = (key,) if isinstance(key, str) else key
+        out = (df if placed else df.repartition(n, *keys)).write.bucketBy(n, *keys).sortBy(*keys, *sort).option("path", self.path(name)).format("parquet")
         out = out.mode("append") if append else out
         (out.partitionBy(*folders) if folders else out).saveAsTable(self._label(name))
         self.tables.add(name)

@@ -123,6 +123,8 @@ def incremental_bfs(edges: DataFrame, root: int) -> DataFrame:
             if not n:
                 return state
             state = scratch.save(state.unionByName(better).groupBy("id").agg(F.min(F.struct("level", "parent")).alias("s")).select("id", "s.parent", "s.level"), f"state-{epoch}-{r}")
+            for old_table in (f"state-{epoch}-{r - 1}", f"better-{epoch}-{r - 1}"):
+                scratch.drop(old_table)
             front, via = small(better, n), known
 
     return fold(edges, step, "bfs-incremental")
