@@ -12,7 +12,7 @@ training ends; scoring looks up one number an n-gram.
 
 Training takes about train_rows labelled documents at most, chosen by a hash of the id over all,
 each with its whole text, and fewer of them if they have more than
-train_bytes of text.
+train_bytes of text. n-grams met in fewer than min_docs of the texts trained on, an absolute number, weigh nothing.
 
 Cases: null texts and texts without words get the intercept's score; with no labelled row every
 score is 0.5, with one class it leans there; null and repeated ids are scored as they are; an empty
