@@ -33,6 +33,30 @@ def test_modes_equal_the_sequential_one(spark, how, dangling):
     assert mass == pytest.approx(1) if dangling != "leak" else mass < 1
 
 
+@pytest.mark.parametrize("window", [3, 1 << 21])
+@pytest.mark.parametrize("dangling", rank.DANGLING)
+def test_spooled_edges_rank_as_arrays(monkeypatch, window, dangling):
+    from tidegraph.operators import oneprocess
+
+    monkeypatch.setattr(oneprocess, "WINDOW", window)
+    s, d = (np.array([p[i] * 10**12 for p in PAIRS]) for i in (0, 1))
+    held = oneprocess.Spool()
+    for at in (slice(0, 2), slice(2, 5), slice(5, 6)):
+        held.add(s[at], d[at])
+    held.close()
+    want = rank.rank_seq(s, d, held.ids, tol=None, max_iter=3, dangling=dangling)
+    found = rank._iterate(held.degrees(), held.gained, 0.85, None, 3, dangling)
+    assert held.ids.tolist() == [i * 10**12 for i in range(5)] and np.allclose(found[0], want[0], atol=1e-12) and np.allclose(found[1], want[1], atol=1e-12)
+
+
+def test_sequential_rank_brings_no_edges_to_the_driver(spark, monkeypatch):
+    import __spark_entry__ as entry
+
+    monkeypatch.setattr(type(spark.range(0)), "toArrow", lambda self: pytest.fail("edges on the driver"))
+    assert entry.queries()["rank_sequential"](spark, "/root/testdata/sf0.001").count() == 200
+    assert rank.rank_one_task(make(spark, [])).count() == 0
+
+
 def test_uniform_and_errors(spark):
     full = make(spark, [(a, b) for a in range(4) for b in range(4) if a != b])
     assert all(x == pytest.approx(0.25) for x in got(rank.rank(full)).values())
