@@ -109,6 +109,34 @@ def test_sequential(pairs):
     assert sorted(zip(*(x.tolist() for x in bfs.bfs_sweep(src, dst, 0)), strict=True)) == plain(pairs, 0)
 
 
+@given(st.lists(st.tuples(st.integers(0, 12), st.integers(0, 12)), max_size=40), st.integers(1, 9), st.integers(1, 50))
+@settings(max_examples=60, deadline=None)
+def test_spooled_edges_are_searched_as_arrays(pairs, batch, window):
+    from tidegraph.operators import oneprocess
+
+    before, oneprocess.WINDOW = oneprocess.WINDOW, window
+    try:
+        held = oneprocess.Spool(also=(0,))
+        for i in range(0, len(pairs), batch):
+            held.add(*(np.array([p[k] for p in pairs[i : i + batch]], np.int64) for k in (0, 1)))
+        assert sorted(zip(*(x.tolist() for x in held.close().search(0)), strict=True)) == plain(pairs, 0)
+    finally:
+        oneprocess.WINDOW = before
+
+
+def test_sequential_searches_refuse_no_size(spark, monkeypatch):
+    """One task holds the vertices; arrays of all edges, and their limit, are not met."""
+    import __spark_entry__ as entry
+
+    # defaults of bfs_seq: no edge fits
+    monkeypatch.setattr(bfs.bfs_seq, "__defaults__", (0,))
+    monkeypatch.setattr(type(spark.range(0)), "toArrow", lambda self: pytest.fail("edges on the driver"))
+    g = make(spark, HAND["shortcut"][0])
+    assert rows(bfs.bfs_dropin(g, 0).state) == plain(*HAND["shortcut"])
+    assert rows(bfs.bfs_dropin(make(spark, []), 3).state) == [(3, 3, 0)]
+    assert entry.queries()["bfs_sequential"](spark, "/root/testdata/sf0.001").count() > 1
+
+
 def test_ownership_by_chain_needs_one_round(spark):
     pairs = [(i, i + 1) for i in range(40) if i % 10 != 9]
     g = make(spark, pairs)
