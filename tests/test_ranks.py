@@ -142,3 +142,24 @@ def test_edges_stay_where_they_are(spark):
     plan = edges.join(ranks.hint("merge"), "src")._jdf.queryExecution().executedPlan().toString()
     scratch.drop_table("edges")
     assert plan.count("Exchange") == 1
+
+
+@pytest.mark.parametrize("block_edges", [40, 1 << 23])
+def test_triangles_counted_without_wedges(spark, block_edges):
+    rng = np.random.default_rng(5)
+    pairs = [(int(a) * 10**11, int(b) * 10**11) for a, b in rng.integers(0, 90, (500, 2))] + [(0, i * 10**11) for i in range(90)]  # loops, repeats, a hub
+    near = {}
+    for a, b in pairs:
+        if a != b:
+            near.setdefault(a, set()).add(b)
+            near.setdefault(b, set()).add(a)
+    want = sum(len(near[a] & near[b]) for a in near for b in near[a]) // 6
+    assert analytics.triangle_count(make(spark, pairs), block_edges) == want
+    assert analytics.triangle_count(make(spark, []), block_edges) == 0
+
+
+def test_triangle_query_joins_no_wedges(spark, monkeypatch):
+    import __spark_entry__ as entry
+
+    monkeypatch.setattr(analytics, "oriented", lambda g: pytest.fail("wedges are joined"))
+    assert entry.queries()["triangle_count"](spark, "/root/testdata/sf0.001").first()["triangles"] > 0
