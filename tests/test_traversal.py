@@ -273,3 +273,18 @@ def test_nearest_do_not_depend_on_blocks_or_tiles(spark, tmp_path, most, tile):
     c = np.round((x @ x.T) / np.outer(*[np.linalg.norm(x, axis=1)] * 2), 9)
     want = {(i * 3, j * 3) for i in range(150) for j in sorted((j for j in range(150) if j != i), key=lambda j: (-c[i, j], j))[:5]}
     assert {tuple(r) for r in workloads.knn(spark, str(tmp_path), most=most, tile=tile).collect()} == want
+
+
+def test_random_source_draws_for_the_rows_of_a_table(spark, tmp_path):
+    """And the data source, read by itself, draws the same for the same numbers."""
+    import hashlib
+
+    import __spark_entry__ as entry
+    from tidegraph.sources.urand import UrandSource
+
+    end = lambda c, i: int(hashlib.md5(f"42:{c}:{i}".encode()).hexdigest()[:15], 16) % 1024
+    spark.createDataFrame([(5, 1), (5, 2), (10**12, 7), (None, 1)], "l_orderkey bigint, l_linenumber int").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert sorted(map(tuple, entry.queries()["source_urand"](spark, str(tmp_path)).collect())) == sorted((end("a", i), end("b", i)) for i in (41, 42, 8 * 10**12 + 7))
+    spark.dataSource.register(UrandSource)
+    got = spark.read.format("urand").option("k", 10).option("degree", 16).load()
+    assert sorted(map(tuple, got.collect())) == sorted((end("a", i), end("b", i)) for i in range(8192))
