@@ -64,3 +64,18 @@ def test_local_sums_move_nothing(spark, plans, monkeypatch):
     want = rank.rank(Graph(spark.createDataFrame(CHAIN, EDGES)), tol=None, max_iter=2)
     a, b = ({r["id"]: round(r["rank"], 12) for r in x.ranks.collect()} for x in (found, want))
     assert a == b and plans("2") <= 1
+
+
+def test_compared_searches_are_in_flight_together(spark, monkeypatch):
+    from threading import Barrier
+
+    from tidegraph.plans import method_queries
+
+    met = Barrier(4, timeout=20)  # breaks if they come one by one
+    log = [{"remote": 2, "corrections": 1}] * 3
+    monkeypatch.setattr(method_queries, "held", lambda spark, d, w: w)
+    monkeypatch.setattr(method_queries, "chained", lambda spark, d: ("order_chain", 4, None, 9))
+    for name in ("bfs_level", "bfs_relaxed"):
+        monkeypatch.setattr(bfs, name, lambda g, root, **how: (met.wait(), bfs.Traversal(None, log))[1])
+    got = method_queries.QUERIES["rounds_compare"](spark, "")
+    assert [tuple(r) for r in got.collect()] == [(w, 3, 3, 6, 3) for w in ("part_supplier", "order_part_window", "urand_dense", "order_chain")]
