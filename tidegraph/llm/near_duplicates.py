@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tidegraph.llm.common import per_batch, small_side
+from tidegraph.llm.common import give_back, per_batch, small_side
 from tidegraph.llm.textblocks import Block, blocks, mix64, seeds, shingles, sorted_sets, spaced_words, word_codes
 from tidegraph.operators.components import connected_components
 from tidegraph.plans.scratch import Scratch
@@ -225,6 +225,8 @@ def _across(known: DataFrame, how: NearDuplicates) -> DataFrame:
             kept = {k: v[cuts[-1] :].copy() for k, v in now.items()}
         if kept is not None:
             yield pairs(kept, np.array([0, len(kept["key"])]))
+        now = kept = None
+        give_back()
 
     def pairs(rows: dict[str, np.ndarray], cuts: np.ndarray) -> pa.RecordBatch:
         a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]

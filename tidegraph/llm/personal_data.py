@@ -339,7 +339,7 @@ def find(docs: DataFrame, model: PersonalData, text_column: str = "text", output
                 columns[chars] = pa.array([None if t is None else len(t) for t in new], columns[chars].type)
             return pa.RecordBatch.from_arrays(columns, names=names)
 
-        return per_batch(docs, clean, docs.schema)
+        return per_batch(docs, clean, docs.schema, cut=True)
 
     added = [*(f"n_{k}" for k in BASE_KINDS), "base_sha256", "spans"]
     kept = [i for i, x in enumerate(names) if i != at and x not in added]

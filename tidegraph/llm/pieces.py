@@ -38,6 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from tidegraph.llm.common import give_back
 from tidegraph.llm.ppm import KeyTable
 from tidegraph.llm.textblocks import Block, blocks, mix64, powers
 
@@ -455,6 +456,8 @@ def encode(docs: DataFrame, model: PieceModel, text_column: str = "text", digest
                 else:
                     made = [pa.array(np.diff(first)), pa.ListArray.from_arrays(pa.array(first.astype(np.int32)), pa.array(ids))]
                 yield pa.RecordBatch.from_arrays([*rows, *made], names=[*(names[i] for i in kept), *added])
+            batch = block = ids = first = rows = made = None
+            give_back()
 
     schema = T.StructType([docs.schema.fields[i] for i in kept]).add("n_pieces", "long")
     schema = schema.add("ids_sha256", "string").add("decoded_sha256", "string").add("round_trip", "boolean") if digest else schema.add("ids", T.ArrayType(T.IntegerType()))
