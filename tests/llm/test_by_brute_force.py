@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+import time
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -156,6 +157,82 @@ def test_toxicity_scores_by_single_grams(spark):
     assert got == pytest.approx({i: chance(t) for i, t, _ in rows}, abs=1e-5)
 
 
+def test_toxicity_training_by_single_grams(spark):
+    how = toxicity.Toxicity(bits=14, dim=3, min_docs=3, epochs=3, segment=20, batch=16)
+    rows = sorted(texts(spark, 0, 100))
+    labels = [int("o" in (t or "")[5:9]) for _, t, _ in rows]
+    model = toxicity.fit(frame(spark, rows), spark.createDataFrame([(r[0], y) for r, y in zip(rows, labels, strict=True)], "doc_id bigint, label int"), how)
+
+    def grams(word: bytes) -> list[int]:
+        marked = b"\0" + word + b"\0"
+        keys = [int.from_bytes(marked[k : k + size]) + size for size in (3, 4, 5) for k in range(len(marked) - size + 1)]
+        return [(key * 0x9E3779B97F4A7C15 & ALL) >> 64 - how.bits for key in keys]
+
+    # by document and segment
+    docs = []
+    for _, t, _ in rows:
+        held = [grams(w) for w in re.findall(rb"[0-9a-z\x80-\xff]+", (t or "").encode().lower())]
+        docs.append([sum(held[at : at + how.segment], []) for at in range(0, len(held), how.segment)])
+    rng = np.random.default_rng(how.seed)
+    spare = rng.random(len(docs)) < how.kept_back
+    used, kept = np.flatnonzero(~spare), np.flatnonzero(spare)
+    met = Counter(g for d in used for g in set(sum(docs[d], [])))
+    start = rng.normal(0, 0.01, (1 << how.bits, how.dim))
+    table = {g: start[g] for g, n in met.items() if n >= how.min_docs}
+    top = rng.normal(0, 1, (how.dim, 2))
+    top /= np.linalg.norm(top[:, 1] - top[:, 0])
+    prior = (sum(labels[d] for d in used) + 1) / (len(used) + 2)
+    bias = np.array([0.0, math.log(prior / (1 - prior))])
+
+    def gain(held: list[int]) -> float:
+        return how.scale * sum(float(table[g] @ (top[:, 1] - top[:, 0])) for g in held if g in table) / len(held)
+
+    for epoch in range(how.epochs):
+        order, rate = rng.permutation(used), how.rate * (1 - epoch / how.epochs)
+        for lo in range(0, len(order), how.batch):
+            part = [d for d in order[lo : lo + how.batch] if docs[d]]
+            step, step_top, step_bias = defaultdict(lambda: np.zeros(how.dim)), np.zeros_like(top), np.zeros(2)
+            for d in part:
+                held = max(docs[d], key=gain) if epoch else sum(docs[d], [])
+                hidden = how.scale * sum((table[g] for g in held if g in table), np.zeros(how.dim)) / len(held)
+                chance = np.exp(hidden @ top + bias)
+                error = (chance / chance.sum() - np.eye(2)[labels[d]]) * (0.5 / (prior if labels[d] else 1 - prior))
+                for g in held:
+                    if g in table:
+                        step[g] += top @ error * how.scale / len(held)
+                step_top += np.outer(hidden, error)
+                step_bias += error
+            for g, by in step.items():
+                table[g] = table[g] - rate * (by + how.decay * table[g])
+            top -= rate * 0.1 * step_top / len(part)
+            bias -= rate * 0.1 * step_bias / len(part)
+    want = np.zeros(1 << how.bits)
+    for g, row in table.items():
+        want[g] = how.scale * (row @ (top[:, 1] - top[:, 0]))
+    assert 100 < len(table) < (1 << how.bits) - 100 and np.std(want) > 0.01
+    assert model.values == pytest.approx(want, abs=1e-3)
+    odds = sorted((float(bias[1] - bias[0]) + max(map(gain, docs[d]), default=0.0), labels[d]) for d in kept)
+    wrong = [sum(y for _, y in odds[:cut]) + sum(1 - y for _, y in odds[cut:]) for cut in range(len(odds) + 1)]
+    best = [cut for cut, n in enumerate(wrong) if n == min(wrong)]
+    edges = [odds[0][0] - 1, *(o for o, _ in odds), odds[-1][0] + 1]
+    mid = best[len(best) // 2]
+    assert model.intercept == pytest.approx(float(bias[1] - bias[0]) - (edges[mid] + edges[mid + 1]) / 2, abs=1e-3)
+
+
+def test_toxicity_training_does_not_read_the_table_by_document():
+    texts = [f"wurst {i % 7} weather {i % 11} today" for i in range(800)]
+
+    def seconds(n: int, bits: int) -> float:
+        how = toxicity.Toxicity(bits=bits)
+        bags, labels = toxicity.WordBags(pa.chunked_array([texts[:n]]), how), np.arange(n) % 2
+        before = time.process_time()
+        toxicity.ToxicityModel(how).fit(bags, labels)
+        return time.process_time() - before
+
+    # what 700 documents more take in a large table, and in a small one
+    assert seconds(800, 20) - seconds(100, 20) < 3 * (seconds(800, 12) - seconds(100, 12)) + 1
+
+
 def test_languages_by_plain_tries(spark):
     how = language_id.LanguageId()
     rows = [r for r in texts(spark, 0, 120) if len(r[1] or "") < 3000]

@@ -6,6 +6,8 @@ ends, and each word is the bag of its character 3- to 5-grams with its ends mark
 the softmax over that average gives the segment's probability, and a text is as toxic as its most
 toxic segment, so a long text can't dilute an insult. Misspellings and inflections share n-grams
 with forms seen in training. In training, each document's steepest segment carries its label (in the first pass: the average of all).
+A step of training touches the n-grams of its batch only, and weighs each of the batch's distinct words once; the rows
+of n-grams that weigh nothing are left out of the table till training ends.
 
 Since the model is linear after the average, each n-gram's embedding meets the softmax once, when
 training ends; scoring looks up one number an n-gram.
@@ -89,6 +91,15 @@ def segments(block: Block, how: Toxicity) -> tuple[np.ndarray, np.ndarray, list[
     return seg_first, total, out
 
 
+def distinct(values: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """The distinct values in any order; place, with an entry for each value there may be, then holds where each is."""
+    at = np.arange(len(values))
+    place[values] = at
+    found = values[place[values] == at]
+    place[found] = at[: len(found)]
+    return found
+
+
 class WordBags:
     """The training texts as numbers of distinct words, and the n-grams of each word."""
 
@@ -119,10 +130,15 @@ class WordBags:
         self.first = np.concatenate(([0], np.cumsum(self.sizes)))
 
     def grams_of(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """n-grams of the words back to back, and where each word's begin; every word has some."""
+        """Where in grams the words' n-grams are, back to back, and where each word's begin; every word has some."""
         sizes = self.sizes[words]
         starts = np.cumsum(sizes) - sizes
-        return self.grams[np.repeat(self.first[words] - starts, sizes) + np.arange(sizes.sum())], starts
+        return np.repeat(self.first[words] - starts, sizes) + np.arange(sizes.sum()), starts
+
+    def word_sums(self, words: np.ndarray, values: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        """Sum over each word's n-grams of values, of which rows holds each n-gram's place."""
+        at, starts = self.grams_of(words)
+        return np.add.reduceat(values[rows[at]], starts)
 
     def segment_of(self, words: np.ndarray, gains: np.ndarray, segment: int) -> tuple[float, slice]:
         """The steepest segment's average gain, and where it is in words."""
@@ -150,10 +166,15 @@ class ToxicityModel:
         y = labels.astype(np.int64)
         # n-grams of too few documents would only be learnt by heart
         met = np.zeros(1 << h.bits, np.int32)
+        place, word_place = np.zeros((1 << h.bits) + 1, np.int32), np.zeros(len(bags.sizes), np.int32)
         for d in used:
-            met[np.unique(bags.grams_of(np.unique(bags.words[d]))[0])] += 1
-        common = met >= h.min_docs
-        table = (rng.normal(0, 0.01, (1 << h.bits, h.dim)) * common[:, None]).astype(np.float32)
+            met[distinct(bags.grams[bags.grams_of(distinct(bags.words[d], word_place))[0]], place)] += 1
+        common = np.flatnonzero(met >= h.min_docs)
+        # a row for each of the others' n-grams in one: zeros
+        table = np.vstack([rng.normal(0, 0.01, (1 << h.bits, h.dim))[common], np.zeros((1, h.dim))]).astype(np.float32)
+        rows = np.full(1 << h.bits, len(common), np.int32)
+        rows[common] = np.arange(len(common))
+        rows = rows[bags.grams]
         top = rng.normal(0, 1, (h.dim, 2)).astype(np.float32)
         top /= np.linalg.norm(top[:, 1] - top[:, 0])
         prior = (y[used].sum() + 1) / (len(used) + 2)
@@ -166,18 +187,16 @@ class ToxicityModel:
                 part = [d for d in order[lo : lo + h.batch] if len(bags.words[d])]
                 if not part:
                     continue
-                words, doc = [], []
-                for k, d in enumerate(part):
-                    own = bags.words[d]
-                    if epoch:  # else no segment stands out yet, and the average is over all
-                        own = own[bags.segment_of(own, self._word_sums(bags, own, table @ (top[:, 1] - top[:, 0])), h.segment)[1]]
-                    words.append(own)
-                    doc.append(np.full(len(own), k))
-                words, doc = np.concatenate(words), np.concatenate(doc)
+                words = [bags.words[d] for d in part]
+                if epoch:  # else no segment stands out yet, and the average is over all
+                    gains = bags.word_sums(distinct(np.concatenate(words), word_place), table @ (top[:, 1] - top[:, 0]), rows)
+                    words = [own[bags.segment_of(own, gains[word_place[own]], h.segment)[1]] for own in words]
+                doc = np.repeat(np.arange(len(part)), [len(own) for own in words])
+                words = np.concatenate(words)
                 total = np.bincount(doc, bags.sizes[words], len(part))
-                i, at = bags.grams_of(words)
+                i = rows[bags.grams_of(words)[0]]
                 doc = np.repeat(doc, bags.sizes[words])
-                w = (h.scale * common[i] / total[doc]).astype(np.float32)
+                w = (h.scale * (i < len(common)) / total[doc]).astype(np.float32)
                 hidden = np.add.reduceat(table[i] * w[:, None], np.searchsorted(doc, np.arange(len(part))))
                 z = hidden @ top + bias
                 g = np.exp(z - z.max(axis=1, keepdims=True))
@@ -185,25 +204,21 @@ class ToxicityModel:
                 g[np.arange(len(part)), y[part]] -= 1
                 g *= weight[part][:, None]
                 g_top, g_hidden = hidden.T @ g, g @ top.T
-                u, back = np.unique(i, return_inverse=True)
+                u = distinct(i, place)
+                back = place[i]
                 for k in range(h.dim):
                     table[u, k] -= rate * (np.bincount(back, g_hidden[doc, k] * w, len(u)) + h.decay * table[u, k])
                 top -= rate * 0.1 * g_top / len(part)
                 bias -= rate * 0.1 * g.sum(axis=0) / len(part)
-        self.values = (h.scale * (table @ (top[:, 1] - top[:, 0]))).astype(np.float32)
+        self.values[common] = h.scale * (table[:-1] @ (top[:, 1] - top[:, 0]))
         self.intercept = float(bias[1] - bias[0])
         return self._place(np.array([self.log_odds(bags, d) for d in kept]), y[kept])
 
-    @staticmethod
-    def _word_sums(bags: WordBags, words: np.ndarray, values: np.ndarray) -> np.ndarray:
-        i, at = bags.grams_of(words)
-        return np.add.reduceat(values[i], at)
-
     def log_odds(self, bags: WordBags, d: int) -> float:
         own = bags.words[d]
         if not len(own):
             return self.intercept
-        return self.intercept + float(bags.segment_of(own, self._word_sums(bags, own, self.values), self.how.segment)[0])
+        return self.intercept + float(bags.segment_of(own, bags.word_sums(own, self.values, bags.grams), self.how.segment)[0])
 
     def _place(self, odds: np.ndarray, y: np.ndarray) -> ToxicityModel:
         """Moves the intercept to where these documents are best told apart."""
