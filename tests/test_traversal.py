@@ -288,3 +288,31 @@ def test_random_source_draws_for_the_rows_of_a_table(spark, tmp_path):
     spark.dataSource.register(UrandSource)
     got = spark.read.format("urand").option("k", 10).option("degree", 16).load()
     assert sorted(map(tuple, got.collect())) == sorted((end("a", i), end("b", i)) for i in range(8192))
+
+
+def test_recursion_goes_down_to_the_orders(spark, tmp_path):
+    import duckdb
+
+    import __spark_entry__ as entry
+
+    whole = entry.queries()["rcte_hierarchy"](spark, "/root/testdata/sf0.01")
+    assert [r["count"] for r in whole.groupBy("level").count().orderBy("level").collect()] == [1, 5, 286, 2883]
+    assert len(whole.inputFiles()) > 1  # not all by one task
+    assert spark.conf.get("spark.sql.adaptive.coalescePartitions.enabled") == "true"
+    small = {
+        "nation": ("n_nationkey int, n_regionkey int", [(0, 0), (1, 1), (2, 0), (None, 0)]),
+        "customer": ("c_custkey bigint, c_nationkey int", [(10, 0), (10, 0), (11, 1), (12, 2), (13, None), (None, 2), (0, 2)]),
+        "orders": ("o_orderkey bigint, o_custkey bigint", [(0, 10), (100, 10), (101, 11), (102, 12), (103, None), (104, 99), (105, 13)]),
+    }
+    con = duckdb.connect()
+    for table, (columns, held) in small.items():
+        spark.createDataFrame(held, columns).write.parquet(f"{tmp_path}/{table}.parquet")
+        con.execute(f"create view {table} as select * from '{tmp_path}/{table}.parquet/*.parquet'")
+    want = [(0, 0, "r"), (0, 1, "n"), (2, 1, "n"), (None, 1, "n"), (10, 2, "c"), (10, 2, "c"), (12, 2, "c"), (None, 2, "c"), (0, 2, "c"), *[(0, 3, "o"), (100, 3, "o")] * 2, (102, 3, "o")]
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "3")
+    try:
+        got = entry.queries()["rcte_hierarchy"](spark, str(tmp_path)).collect()
+    finally:
+        spark.conf.unset("spark.sql.cteRecursionRowLimit")
+    assert sorted(map(str, map(tuple, got))) == sorted(map(str, want))
+    assert sorted(map(str, con.execute(entry.oracle_sql()["rcte_hierarchy"]).fetchall())) == sorted(map(str, want))
